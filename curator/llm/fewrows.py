@@ -1,0 +1,14 @@
+"""Joins against a table whose size is counted first."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+#: A side is broadcast up to this many bytes, by its counted rows and stated width; beyond, it is shuffled.
+BROADCAST_BYTES = 32 << 20
+
+
+def small(df: DataFrame, row_bytes: int) -> DataFrame:
+    """``df`` (a written table: counting it is cheap), marked for broadcast if it is proven to be small."""
+    return F.broadcast(df) if df.count() * row_bytes <= BROADCAST_BYTES else df
