@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from curator.llm.contamination import contamination
 from curator.llm.near import near_duplicates
 from curator.llm.rows import documents
+from curator.llm.spans import substring_dedup
 
 
 def op4_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -19,8 +20,13 @@ def op7_winnowing_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     return contamination(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup(documents(spark, sf_dir), with_text=False)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_minhash_near_dedup": op4_minhash_near_dedup,
     "op7_winnowing_decontamination": op7_winnowing_decontamination,
+    "op8_substring_dedup": op8_substring_dedup,
 }
 ORACLES: dict[str, str] = {}
