@@ -176,3 +176,33 @@ def pack(values: np.ndarray, bounds: np.ndarray) -> pa.Array:
 
 def signed(values: np.ndarray) -> np.ndarray:
     return values.view(np.int64)
+
+
+def hash_ranges(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Hashes of byte ranges in order, as those of words, some ranges at a time."""
+    out = np.empty(len(starts), dtype=_U)
+    i = 0
+    while i < len(starts):
+        j = max(i + 1, int(np.searchsorted(ends, starts[i] + CHUNK, side="right")))
+        a, b = int(starts[i]), int(ends[j - 1])
+        up, down = _power_tables(b - a + 1)
+        total = np.zeros(b - a + 1, dtype=_U)
+        np.cumsum((data[a:b].astype(_U) + _U(1)) * up[: b - a], out=total[1:])
+        s, e = starts[i:j] - a, ends[i:j] - a
+        out[i:j] = mix((total[e] - total[s]) * down[s])
+        i = j
+    return out
+
+
+def spread(begins: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """Positions of ranges, one range after another: begin, begin + 1, ... for each."""
+    total = int(lengths.sum())
+    if not total:
+        return np.zeros(0, dtype=np.int64)
+    used = lengths > 0
+    begins, lengths = begins[used], lengths[used]
+    step = np.ones(total, dtype=np.int64)
+    at = np.cumsum(lengths)[:-1]
+    step[0] = begins[0]
+    step[at] = begins[1:] - (begins[:-1] + lengths[:-1] - 1)
+    return np.cumsum(step)

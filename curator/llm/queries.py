@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from curator.llm.contamination import contamination
 from curator.llm.near import near_duplicates
+from curator.llm.pieces import encode_decode
 from curator.llm.rows import documents
 from curator.llm.spans import substring_dedup
 
@@ -24,9 +25,14 @@ def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup(documents(spark, sf_dir), with_text=False)
 
 
+def op6_sentencepiece_encode_decode(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return encode_decode(documents(spark, sf_dir), with_values=False)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_minhash_near_dedup": op4_minhash_near_dedup,
     "op7_winnowing_decontamination": op7_winnowing_decontamination,
     "op8_substring_dedup": op8_substring_dedup,
+    "op6_sentencepiece_encode_decode": op6_sentencepiece_encode_decode,
 }
 ORACLES: dict[str, str] = {}
