@@ -6,8 +6,8 @@ sketches (parity bitmaps of all samples, so that the XOR's population count tell
 those that are far too different; the survivors are confirmed on full shingle sets.
 
 A bucket of n classes proposes n - 1 pairs with its smallest member, never all pairs.  After the first
-components, buckets that still hold several components propose the remaining pairs between different ones, so
-links that no leader saw are found as well.
+components, buckets that still hold several components are judged in blocks, where an incidence product compares
+all their members at once and only joining links come out, so links that no leader saw are found as well.
 """
 
 from __future__ import annotations
@@ -30,6 +30,8 @@ SHINGLE_WORDS = 5
 BANDS, ROWS = 40, 5
 #: Bits of a parity bitmap.
 SKETCH_BITS = 1024
+#: Documents of a block; a bucket of several blocks is judged by pairs of blocks.
+BLOCK = 1024
 
 
 def shingle_sets(words: flat.Words, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -166,6 +168,56 @@ def _confirm(k: int, percent: int):
     return run
 
 
+def _between(k: int, percent: int):
+    """Links between documents of different components in one block: enough of them to join what belongs together.
+
+    All pairs of the block are judged exactly, by one product of the documents' incidence matrix with itself.
+    """
+
+    def run(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        keys, comps = table["key"].to_numpy(), table["component"].to_numpy()
+        parts = []
+        for i, _, words in flat.word_runs(table["text"], "space", True):
+            hashes, bounds = shingle_sets(words, k)
+            parts.append((hashes, np.repeat(np.arange(len(bounds) - 1) + i, np.diff(bounds))))
+        hashes, owner = (np.concatenate(x) for x in zip(*parts, strict=True))
+        n = len(keys)
+        sizes = np.bincount(owner, minlength=n)
+        _, column, often = np.unique(hashes, return_inverse=True, return_counts=True)
+        held = often[column] > 1
+        column, owner = column[held], owner[held]
+        order = np.argsort(column, kind="stable")
+        column, owner = column[order], owner[order]
+        column = np.cumsum(np.concatenate([[0], np.diff(column) != 0])) if len(column) else column
+        both = np.zeros((n, n), dtype=np.float32)
+        at = 0
+        while at < len(column):
+            stop = int(np.searchsorted(column, column[at] + 2048))
+            grid = np.zeros((n, 2048), dtype=np.float32)
+            grid[owner[at:stop], column[at:stop] - column[at]] = 1
+            both += grid @ grid.T
+            at = stop
+        linked = (100 * both >= percent * (sizes[:, None] + sizes[None, :] - both)) & (comps[:, None] != comps[None, :])
+        x, y = np.nonzero(np.triu(linked, 1))
+        head = {c: c for c in comps.tolist()}
+
+        def top(c: int) -> int:
+            while head[c] != c:
+                head[c] = c = head[head[c]]
+            return c
+
+        out = []
+        for i, j in zip(x.tolist(), y.tolist(), strict=True):
+            p, q = top(int(comps[i])), top(int(comps[j]))
+            if p != q:
+                head[max(p, q)] = min(p, q)
+                out.append((int(keys[i]), int(keys[j])))
+        return pa.table({"a": pa.array([o[0] for o in out], pa.int64()), "b": pa.array([o[1] for o in out], pa.int64())})
+
+    return run
+
+
 def near_groups(docs: DataFrame, k: int = SHINGLE_WORDS, percent: int = 80, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """(key, text) with unique keys -> (key, n_shingles, component, kept).
 
@@ -203,14 +255,18 @@ def near_groups(docs: DataFrame, k: int = SHINGLE_WORDS, percent: int = 80, band
     links = checked.where("linked").select("a", "b")
     found = stash(components(links), "found")
 
-    # buckets that hold more than one component: pairs between different ones, but for those already judged
+    # buckets that hold more than one component: the remaining pairs, block by block
     seen = shared.join(found, "key", "left").select("bucket", "key", F.coalesce("component", "key").alias("component"))
-    mixed = seen.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi and n > 2").select("bucket")
-    seen = stash(seen.join(mixed, "bucket", "left_semi"), "mixed")
-    x, y = seen.toDF("bucket", "a", "ca"), seen.toDF("bucket", "b", "cb")
-    rest = x.join(y, "bucket").where("a < b and ca <> cb").select("a", "b").distinct().join(first, ["a", "b"], "left_anti")
-    more = confirmed(stash(rest, "rest"))
-    final = components(links.unionAll(more.where("linked").select("a", "b")))
+    mixed = seen.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi and n > 2").select("bucket", "n")
+    seen = stash(seen.join(mixed, "bucket"), "mixed")
+    ids = stash(seen.select("key").distinct(), "ids")
+    texts = docs.join(small(ids, 40), "key", "left_semi")
+    blocks = F.ceil(F.col("n") / F.lit(BLOCK)).cast("int")
+    seen = seen.withColumn("own", F.pmod(F.xxhash64("key"), blocks).cast("int"))
+    seen = seen.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1))).withColumns({"lo": F.least("own", "other"), "hi": F.greatest("own", "other")})
+    meet = seen.select("bucket", "lo", "hi", "key", "component").join(texts, "key").select("bucket", "lo", "hi", "key", "component", "text")
+    more = stash(meet.groupBy("bucket", "lo", "hi").applyInArrow(_between(k, percent), "a long, b long"), "more")
+    final = components(links.unionAll(more))
 
     out = sigs.select("key", "n_shingles").join(member, "key", "left").join(final.withColumnRenamed("key", "head"), "head", "left")
     out = out.select("key", "n_shingles", F.coalesce("component", "head", "key").alias("component"))
