@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from curator.llm.classlm import language_scores
 from curator.llm.contamination import contamination
 from curator.llm.near import near_duplicates
 from curator.llm.pieces import encode_decode
@@ -29,10 +30,15 @@ def op6_sentencepiece_encode_decode(spark: SparkSession, sf_dir: str) -> DataFra
     return encode_decode(documents(spark, sf_dir), with_values=False)
 
 
+def op5_class_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_scores(documents(spark, sf_dir))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_minhash_near_dedup": op4_minhash_near_dedup,
     "op7_winnowing_decontamination": op7_winnowing_decontamination,
     "op8_substring_dedup": op8_substring_dedup,
     "op6_sentencepiece_encode_decode": op6_sentencepiece_encode_decode,
+    "op5_class_lm_scores": op5_class_lm_scores,
 }
 ORACLES: dict[str, str] = {}
