@@ -12,6 +12,7 @@ from curator.llm.near import near_duplicates
 from curator.llm.pieces import encode_decode
 from curator.llm.rows import documents
 from curator.llm.spans import substring_dedup
+from curator.llm.toxicity import toxicity
 
 
 def op4_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -34,11 +35,16 @@ def op5_class_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_scores(documents(spark, sf_dir))
 
 
+def op1_ftrl_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_minhash_near_dedup": op4_minhash_near_dedup,
     "op7_winnowing_decontamination": op7_winnowing_decontamination,
     "op8_substring_dedup": op8_substring_dedup,
     "op6_sentencepiece_encode_decode": op6_sentencepiece_encode_decode,
     "op5_class_lm_scores": op5_class_lm_scores,
+    "op1_ftrl_toxicity": op1_ftrl_toxicity,
 }
 ORACLES: dict[str, str] = {}
