@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from curator.llm.classlm import language_scores
 from curator.llm.contamination import contamination
+from curator.llm.licences import license_scan
 from curator.llm.near import near_duplicates
 from curator.llm.pieces import encode_decode
 from curator.llm.rows import documents
@@ -39,6 +40,10 @@ def op1_ftrl_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
+def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan(documents(spark, sf_dir), with_spans=False)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_minhash_near_dedup": op4_minhash_near_dedup,
     "op7_winnowing_decontamination": op7_winnowing_decontamination,
@@ -46,5 +51,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_sentencepiece_encode_decode": op6_sentencepiece_encode_decode,
     "op5_class_lm_scores": op5_class_lm_scores,
     "op1_ftrl_toxicity": op1_ftrl_toxicity,
+    "op9_license_scan": op9_license_scan,
 }
 ORACLES: dict[str, str] = {}
