@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from curator.llm.audio import audio_features
 from curator.llm.classlm import language_scores
 from curator.llm.contamination import contamination
 from curator.llm.licences import license_scan
@@ -44,6 +45,10 @@ def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan(documents(spark, sf_dir), with_spans=False)
 
 
+def op10_audio_features(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return audio_features(documents(spark, sf_dir), with_media=False)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_minhash_near_dedup": op4_minhash_near_dedup,
     "op7_winnowing_decontamination": op7_winnowing_decontamination,
@@ -52,5 +57,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_class_lm_scores": op5_class_lm_scores,
     "op1_ftrl_toxicity": op1_ftrl_toxicity,
     "op9_license_scan": op9_license_scan,
+    "op10_audio_features": op10_audio_features,
 }
 ORACLES: dict[str, str] = {}
