@@ -15,6 +15,7 @@ from curator.llm.pieces import encode_decode
 from curator.llm.rows import documents
 from curator.llm.spans import substring_dedup
 from curator.llm.toxicity import toxicity
+from curator.llm.unigram import token_counts
 
 
 def op4_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -49,6 +50,10 @@ def op10_audio_features(spark: SparkSession, sf_dir: str) -> DataFrame:
     return audio_features(documents(spark, sf_dir), with_media=False)
 
 
+def op2_unigram_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_counts(documents(spark, sf_dir))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_minhash_near_dedup": op4_minhash_near_dedup,
     "op7_winnowing_decontamination": op7_winnowing_decontamination,
@@ -58,5 +63,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_ftrl_toxicity": op1_ftrl_toxicity,
     "op9_license_scan": op9_license_scan,
     "op10_audio_features": op10_audio_features,
+    "op2_unigram_token_counts": op2_unigram_token_counts,
 }
 ORACLES: dict[str, str] = {}
