@@ -10,6 +10,7 @@ from curator.llm.audio import audio_features
 from curator.llm.classlm import language_scores
 from curator.llm.contamination import contamination
 from curator.llm.licences import license_scan
+from curator.llm.lines import line_dedup
 from curator.llm.near import near_duplicates
 from curator.llm.pieces import encode_decode
 from curator.llm.rows import documents
@@ -54,6 +55,10 @@ def op2_unigram_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(documents(spark, sf_dir))
 
 
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup(documents(spark, sf_dir)).drop("kept_text")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_minhash_near_dedup": op4_minhash_near_dedup,
     "op7_winnowing_decontamination": op7_winnowing_decontamination,
@@ -64,5 +69,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op9_license_scan": op9_license_scan,
     "op10_audio_features": op10_audio_features,
     "op2_unigram_token_counts": op2_unigram_token_counts,
+    "op3_line_dedup": op3_line_dedup,
 }
 ORACLES: dict[str, str] = {}
