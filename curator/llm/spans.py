@@ -17,7 +17,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from curator.functions.workspace import release, stash
@@ -54,73 +54,119 @@ def _windows(words: flat.Words, size: int) -> tuple[np.ndarray, np.ndarray, np.n
     return owner, at - words.first[owner], whole, least
 
 
+def _distinct_grams(owner: np.ndarray, least: np.ndarray, rows: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Each text's distinct smallest grams in hash order: their texts, values and numbers, and the number for each window."""
+    order = np.lexsort((least, owner))
+    new = np.ones(len(order), dtype=bool)
+    new[1:] = (least[order][1:] != least[order][:-1]) | (owner[order][1:] != owner[order][:-1])
+    heads = order[new]
+    who = owner[heads]
+    number = np.arange(len(heads)) - np.searchsorted(who, np.arange(rows))[who] if len(heads) else heads
+    of_window = np.empty(len(order), dtype=np.int64)
+    of_window[order] = number[np.cumsum(new) - 1] if len(heads) else 0
+    return who, least[heads], number, of_window
+
+
 def _anchors(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keys = batch.column(0).to_numpy()
-            for i, _, words in flat.word_runs(batch.column(1), "space", False):
+            for i, j, words in flat.word_runs(batch.column(1), "space", False):
                 owner, _, _, least = _windows(words, size)
-                if len(owner):
-                    new = np.ones(len(owner), dtype=bool)
-                    new[1:] = (least[1:] != least[:-1]) | (owner[1:] != owner[:-1])
-                    owner, least = owner[new], least[new]
-                    order = np.lexsort((least, owner))
-                    owner, least = owner[order], least[order]
-                    new = np.ones(len(owner), dtype=bool)
-                    new[1:] = (least[1:] != least[:-1]) | (owner[1:] != owner[:-1])
-                    owner, least = owner[new], least[new]
-                yield pa.RecordBatch.from_arrays([pa.array(flat.signed(least)), pa.array(keys[i + owner])], names=["anchor", "key"])
+                who, value, number, _ = _distinct_grams(owner, least, j - i)
+                yield pa.RecordBatch.from_arrays([pa.array(flat.signed(value)), pa.array(keys[i + who]), pa.array(number.astype(np.int32))], names=["anchor", "key", "number"])
 
     return run
 
 
 def _candidates(size: int):
-    """Windows whose smallest gram is listed for the text, or whose hash repeats within it."""
+    """Windows whose smallest gram is marked for the text, or whose hash repeats within it.
+
+    Of equal windows in a slice only the first has to meet the rest of the corpus: the others are known to repeat
+    (place -1 - at, under a hash of their own).
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keys = batch.column(0).to_numpy()
-            listed = batch.column(2)
-            have = listed.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
-            bounds = np.concatenate([[0], np.cumsum(np.nan_to_num(np.array(listed.value_lengths().fill_null(0)), nan=0))]).astype(np.int64)
+            masks = batch.column(2)
+            n_masks = np.asarray(masks.value_lengths().fill_null(0)).astype(np.int64)
+            mask_at = np.concatenate([[0], np.cumsum(n_masks)])
+            entries = masks.flatten()
+            chunk = entries.field("chunk").to_numpy(zero_copy_only=False).astype(np.int64)
+            bits = entries.field("bits").to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
             for i, j, words in flat.word_runs(batch.column(1), "space", False):
+                rows = j - i
                 owner, at, whole, least = _windows(words, size)
-                # a row's listed grams and its windows' grams meet as mixed numbers
-                rows = np.repeat(np.arange(i, j), np.diff(bounds[i : j + 1]))
-                mine = have[bounds[i] : bounds[j]].view(np.uint64)
-                take = np.isin(flat.mix(least ^ flat.mix((owner + i).astype(_U), 5)), flat.mix(mine ^ flat.mix(rows.astype(_U), 5)))
+                if not len(owner):
+                    continue
+                _, _, number, of_window = _distinct_grams(owner, least, rows)
+                width = np.zeros(rows, dtype=np.int64)
+                np.maximum.at(width, owner, of_window // 64 + 1)
+                base = np.concatenate([[0], np.cumsum(width)])
+                marked = np.zeros(int(base[-1]), dtype=_U)
+                mine = slice(int(mask_at[i]), int(mask_at[j]))
+                marked[base[np.repeat(np.arange(rows), n_masks[i:j])] + chunk[mine]] = bits[mine]
+                take = (marked[base[owner] + of_window // 64] >> (of_window % 64).astype(_U)) & _U(1) > 0
                 tag = flat.mix(whole ^ flat.mix(owner.astype(_U), 9))
                 order = np.argsort(tag, kind="stable")
                 same = tag[order][1:] == tag[order][:-1]
                 take[order[1:][same]] = True
                 take[order[:-1][same]] = True
-                yield pa.RecordBatch.from_arrays([pa.array(flat.signed(whole[take])), pa.array(keys[i + owner[take]]), pa.array(at[take].astype(np.int32))], names=["h", "key", "at"])
+                h, key, place = flat.signed(whole[take]), keys[i + owner[take]], at[take]
+                order = np.lexsort((place, key, h))
+                h, key, place = h[order], key[order], place[order]
+                again = np.zeros(len(h), dtype=bool)
+                again[1:] = h[1:] == h[:-1]
+                place = np.where(again, -1 - place, place)
+                own = flat.signed(flat.mix(key.astype(_U) ^ flat.mix(place.astype(_U), 13)))
+                yield pa.RecordBatch.from_arrays([pa.array(np.where(again, own, h)), pa.array(key), pa.array(place.astype(np.int32))], names=["h", "key", "at"])
+
+    return run
+
+
+def _merged(size: int):
+    """Starts of repeated windows -> maximal intervals of words (first, stop)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            spans = []
+            for at in batch.column(1):
+                s = np.sort(np.asarray(at.values.to_numpy(zero_copy_only=False), dtype=np.int64))
+                cut = np.flatnonzero(s[1:] > s[:-1] + size) + 1
+                first, last = s[np.concatenate([[0], cut])], s[np.concatenate([cut - 1, [len(s) - 1]])]
+                spans.append(np.stack([first, last + size], axis=1).reshape(-1).tolist())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(spans, pa.list_(pa.int32()))], names=["key", "spans"])
 
     return run
 
 
-def repeated_windows(docs: DataFrame, size: int = WINDOW_WORDS) -> DataFrame:
-    """(key, text) -> (key, starts): sorted first words of windows that start earlier elsewhere."""
-    grams = stash(docs.select("key", "text").mapInArrow(_anchors(size), "anchor long, key long"), "anchors")
+def _few(df: DataFrame, bytes_each: str) -> DataFrame:
+    """A written table, marked for broadcast if its measured bytes allow it."""
+    n, width = df.agg(F.count(F.lit(1)), F.sum(F.expr(bytes_each))).first()
+    return F.broadcast(df) if n and width <= BROADCAST_BYTES else df
+
+
+def repeated_spans(docs: DataFrame, size: int = WINDOW_WORDS) -> DataFrame:
+    """(key, text) -> (key, spans): flat (first, stop) word intervals covered by windows that start earlier elsewhere."""
+    grams = stash(docs.select("key", "text").mapInArrow(_anchors(size), "anchor long, key long, number int"), "anchors")
     often = grams.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("anchor")
-    marked = stash(grams.join(often, "anchor").groupBy("key").agg(F.collect_list("anchor").alias("anchors")), "marked")
+    marked = grams.join(often, "anchor").groupBy("key", F.expr("number div 64").cast("int").alias("chunk")).agg(F.expr("bit_or(shiftleft(1L, number % 64))").alias("bits"))
+    marked = stash(marked.groupBy("key").agg(F.collect_list(F.struct("chunk", "bits")).alias("masks")), "marked")
     release(grams)
-    n, width = marked.agg(F.count(F.lit(1)), F.sum(8 * F.size("anchors") + 40)).first()
-    listed = F.broadcast(marked) if n and width <= BROADCAST_BYTES else marked
-    found = docs.select("key", "text").join(listed, "key", "left").select("key", "text", "anchors").mapInArrow(_candidates(size), "h long, key long, at int")
-    found = stash(found, "windows")
+    found = docs.select("key", "text").join(_few(marked, "40 + 16 * size(masks)"), "key", "left").select("key", "text", "masks").mapInArrow(_candidates(size), "h long, key long, at int")
+    # a hash has one row for each slice of the corpus at most, so its rows fit one sorted run
+    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("h").orderBy("key", "at")))
+    again = ranked.where("rank > 1 or at < 0").select("key", F.expr("if(at < 0, -1 - at, at)").alias("at"))
+    out = stash(again.groupBy("key").agg(F.collect_list("at").alias("at")).mapInArrow(_merged(size), "key long, spans array<int>"), "spans")
     release(marked)
-    firsts = found.groupBy("h").agg(F.min(F.struct("key", "at")).alias("one"), F.count(F.lit(1)).alias("n")).where("n > 1").select("h", F.col("one.key").alias("k0"), F.col("one.at").alias("a0"))
-    again = found.join(firsts, "h").where("key <> k0 or at <> a0")
-    out = stash(again.groupBy("key").agg(F.array_sort(F.collect_list("at")).alias("starts")), "repeats")
-    release(found)
     return out
 
 
-def _cut(size: int, with_text: bool):
+def _cut(with_text: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            starts = batch.column(2)
+            spans_of = batch.column(2)
             for i, j, words in flat.word_runs(batch.column(1), "space", False):
                 n_words = words.counts
                 removed, digests, texts, spans = [], [], [], []
@@ -128,14 +174,11 @@ def _cut(size: int, with_text: bool):
                 for d in range(i, j):
                     lo, n = int(words.first[d - i]), int(n_words[d - i])
                     s, e = words.starts[lo : lo + n], words.ends[lo : lo + n]
-                    at = starts[d]
+                    at = spans_of[d]
                     gone = np.zeros(n, dtype=bool)
                     if at.is_valid:
-                        edges = np.zeros(n + 1, dtype=np.int64)
-                        first = np.asarray(at.values.to_numpy(zero_copy_only=False), dtype=np.int64)
-                        np.add.at(edges, first, 1)
-                        np.add.at(edges, first + size, -1)
-                        gone = np.cumsum(edges[:-1]) > 0
+                        edges = np.asarray(at.values.to_numpy(zero_copy_only=False), dtype=np.int64)
+                        gone[flat.spread(edges[::2], edges[1::2] - edges[::2])] = True
                     kept = b" ".join([raw[a:b] for a, b in zip(s[~gone].tolist(), e[~gone].tolist(), strict=True)])
                     removed.append(int(gone.sum()))
                     digests.append(hashlib.sha256(kept).hexdigest())
@@ -161,9 +204,7 @@ def substring_dedup(docs: DataFrame, size: int = WINDOW_WORDS, with_text: bool =
     the order of their texts' hashes.
     """
     base, rows = keyed(docs)
-    repeats = repeated_windows(base, size)
-    n, width = repeats.agg(F.count(F.lit(1)), F.sum(4 * F.size("starts") + 40)).first()
-    repeats = F.broadcast(repeats) if n and width <= BROADCAST_BYTES else repeats
+    repeats = _few(repeated_spans(base, size), "40 + 4 * size(spans)")
     schema = "key long, n_words long, n_removed long, kept_sha256 string" + ", kept_text string, removed array<struct<first:int,stop:int>>" * with_text
-    out = base.join(repeats, "key", "left").select("key", "text", "starts").mapInArrow(_cut(size, with_text), schema)
+    out = base.join(repeats, "key", "left").select("key", "text", "spans").mapInArrow(_cut(with_text), schema)
     return per_row(out, rows)
