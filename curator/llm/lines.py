@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from curator.functions.workspace import release, stash
 from curator.llm import flat
 from curator.llm.fewrows import BROADCAST_BYTES
-from curator.llm.rows import keyed, per_row
+from curator.llm.rows import attached, keyed, per_row
 
 RARE = 50
 MIN_WORDS = 8
@@ -211,15 +211,15 @@ def line_dedup(docs: DataFrame, rare: int = RARE, least: int = MIN_WORDS) -> Dat
 def without_repeated_lines(docs: DataFrame, rare: int = RARE, least: int = MIN_WORDS) -> DataFrame:
     """The documents with aligned lines deleted; one of which nothing is left goes, if it had any text.
 
-    Needs unique doc_ids, as pipeline stages have; other columns stay, n_chars follows the text.
+    Other columns stay, n_chars follows the text.
     """
-    base = docs.select(F.col("doc_id").cast("long").alias("key"), F.col("text").cast("string").alias("text"))
-    gone = repeated_lines(base.where("key is not null"), rare, least)
+    rows, base = attached(docs)
+    gone = repeated_lines(base, rare, least)
     n, width = gone.agg(F.count(F.lit(1)), F.sum(4 * F.size("gone") + 40)).first()
     gone = F.broadcast(gone) if n and width <= BROADCAST_BYTES else gone
-    kept = docs.join(gone.withColumnRenamed("key", "__key").withColumnRenamed("gone", "__gone"), F.col("doc_id") == F.col("__key"), "left").drop("__key")
+    kept = rows.join(gone.toDF("__key", "__gone"), "__key", "left").drop("__key")
     lines = F.split("text", "\n")
     left = F.array_join(F.filter(F.transform(lines, lambda x, i: F.when(~F.array_contains("__gone", i), x)), lambda x: x.isNotNull()), "\n")
     kept = kept.withColumn("text", F.when(F.col("__gone").isNull(), F.col("text")).otherwise(left))
-    kept = kept.where(F.col("__gone").isNull() | (F.trim(F.regexp_replace("text", r"\s+", " ")) != "")).drop("__gone")
+    kept = kept.where(F.col("__gone").isNull() | F.col("text").rlike(r"[^\x20\x09-\x0D]")).drop("__gone").select(docs.columns)
     return kept.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else kept

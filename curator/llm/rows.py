@@ -38,3 +38,13 @@ def per_row(result: DataFrame, rows: DataFrame | None) -> DataFrame:
         return result.withColumnRenamed("key", "doc_id")
     cols = [c for c in result.columns if c != "key"]
     return rows.select("doc_id", "key").join(result, "key").select("doc_id", *cols)
+
+
+def attached(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The documents with all their columns and ``__key``, and (key, text) with one row per document."""
+    base, rows = keyed(docs)
+    if rows is None:
+        return docs.withColumn("__key", F.col("doc_id").cast("long")), base
+    known = rows.dropDuplicates(["key"]).select(F.col("doc_id").alias("__id"), F.col("text").alias("__text"), F.col("key").alias("__key"))
+    same = F.col("doc_id").cast("long").eqNullSafe(F.col("__id")) & F.col("text").cast("string").eqNullSafe(F.col("__text"))
+    return docs.join(known, same).drop("__id", "__text"), base
