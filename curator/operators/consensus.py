@@ -16,6 +16,12 @@ from curator.operators.features import FEATURES
 SIGNS = {"coh": 1.0, "size": -1.0, "len": -1.0, "ent": -1.0}
 
 
+def safe_corr(x: str, y: str):
+    """Correlation, null where a side is constant (the built-in one divides by zero there in ANSI mode)."""
+    spread = F.stddev_pop(x) * F.stddev_pop(y)
+    return F.covar_pop(x, y) / F.when(spread > 1e-12, spread)
+
+
 def correlations(z: DataFrame, method: str = "pearson") -> DataFrame:
     """(f, g, rho) of the oriented normalised features, all sixteen; 0 where a feature is constant, 1 on the diagonal."""
     cols = {n: f"zn_{n}" for n in FEATURES}
@@ -26,8 +32,8 @@ def correlations(z: DataFrame, method: str = "pearson") -> DataFrame:
             z = z.withColumn(f"rk_{n}", F.rank().over(Window.orderBy(f"zn_{n}")))
         cols = {n: f"rk_{n}" for n in FEATURES}
     pairs = [(f, g) for f in FEATURES for g in FEATURES]
-    got = z.agg(*[F.corr(cols[f], cols[g]).alias(f"{f}_{g}") for f, g in pairs])
-    rho = lambda f, g: F.lit(1.0) if f == g else F.coalesce(F.nanvl(F.col(f"{f}_{g}"), F.lit(None)), F.lit(0.0)) * (SIGNS[f] * SIGNS[g])
+    got = z.agg(*[safe_corr(cols[f], cols[g]).alias(f"{f}_{g}") for f, g in pairs])
+    rho = lambda f, g: F.lit(1.0) if f == g else F.coalesce(F.col(f"{f}_{g}"), F.lit(0.0)) * (SIGNS[f] * SIGNS[g])
     return got.select(F.explode(F.array(*[F.struct(F.lit(f).alias("f"), F.lit(g).alias("g"), rho(f, g).alias("rho")) for f, g in pairs])).alias("x")).select("x.f", "x.g", "x.rho")
 
 

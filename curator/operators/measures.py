@@ -89,9 +89,9 @@ def coverage(rows: DataFrame, subset: DataFrame, keys: tuple[str, ...] = ("k",))
     """(covered, tv, entropy): share of cells with a selected row, total variation of cell masses, entropy of the selection's."""
     flags = subset.select("doc_id", F.lit(1).alias("__in"))
     by = rows.select("doc_id", *keys).join(flags, "doc_id", "left").groupBy(*keys).agg(F.count(F.lit(1)).alias("n"), F.count("__in").alias("s"))
-    by = by.crossJoin(F.broadcast(by.agg(F.sum("n").alias("N"), F.sum("s").alias("S"))))
-    q = F.col("s") / F.nullif(F.col("S"), F.lit(0))
-    return by.agg(F.avg((F.col("s") > 0).cast("double")).alias("covered"), (F.sum(F.abs(q - F.col("n") / F.col("N"))) / 2).alias("tv"), (-F.sum(F.when(q > 0, q * F.log(q)).otherwise(0.0))).alias("entropy"))
+    by = by.crossJoin(F.broadcast(by.agg(F.sum("n").alias("all_n"), F.sum("s").alias("all_s"))))
+    q = F.col("s") / F.nullif(F.col("all_s"), F.lit(0))
+    return by.agg(F.avg((F.col("s") > 0).cast("double")).alias("covered"), (F.sum(F.abs(q - F.col("n") / F.col("all_n"))) / 2).alias("tv"), (-F.sum(F.when(q > 0, q * F.log(q)).otherwise(0.0))).alias("entropy"))
 
 
 def rejected(rows: DataFrame, subset: DataFrame, dist: str = "dist") -> DataFrame:

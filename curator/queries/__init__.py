@@ -6,9 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLES: dict[str, str] = {}
+from curator.plans.workloads import WORKLOADS
+from curator.queries import core, relational
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = core.QUERIES | relational.QUERIES | WORKLOADS
+ORACLES: dict[str, str] = core.ORACLES | relational.ORACLES
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """Macro shares, micro weights, quotas and a keyed draw over the corpus with given vectors."""
+    return core.curate_given_clusters(spark, sf_dir)
