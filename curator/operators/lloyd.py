@@ -140,12 +140,14 @@ def fit(probe: DataFrame, k: int, iters: int = 20, tol: float = 1e-4, seed: int
 
 def assign(feats: DataFrame, centres: np.ndarray, keep: tuple[str, ...] = (), k: str = "k", dist: str = "dist") -> DataFrame:
     """(doc_id, kept columns, k, dist): nearest centre of every sample; map-only, centres broadcast (K x d numbers)."""
-    shared = feats.sparkSession.sparkContext.broadcast(centres)
+    # a stream's plan outlives the broadcasts of the call that made it: its centres travel in the function
+    shared = None if feats.isStreaming else feats.sparkSession.sparkContext.broadcast(centres)
     columns = ["doc_id", *[c for c in keep if c != "doc_id"]]
     source = feats.select(*columns, F.col("emb").alias("__emb"))
+    own = centres if shared is None else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        mu = shared.value
+        mu = own if shared is None else shared.value
         for batch in batches:
             x = matrix(batch.column(batch.num_columns - 1))
             ks, ds = _nearest(x, mu) if len(x) else (np.zeros(0, dtype=np.int32), np.zeros(0))

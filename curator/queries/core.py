@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from curator.functions.keyed import key32
 from curator.functions.vectors import centres, dot, with_distance
+from curator.functions.workspace import stash
 from curator.operators import baselines, consensus, hygiene, lloyd, measures, mixing, probes, refine, resolution, sampling, theory
 from curator.operators.features import cluster_features, znorm
 from curator.plans.curation import blend
@@ -16,9 +17,32 @@ QUERIES: dict = {}
 ORACLES: dict = {}
 
 
+_memo: dict = {}
+
+
+def once(f):
+    """Within one query, the frame of an intermediate step is written once and read wherever it is used."""
+
+    def get(spark, d):
+        key = (f.__name__, d)
+        if key not in _memo:
+            _memo[key] = stash(f(spark, d), f.__name__)
+        return _memo[key]
+
+    return get
+
+
 def query(sql: str | None = None):
     def add(f):
-        QUERIES[f.__name__] = f
+        def run(spark, d):
+            _memo.clear()
+            try:
+                return f(spark, d)
+            finally:
+                _memo.clear()
+
+        run.__name__, run.__doc__ = f.__name__, f.__doc__
+        QUERIES[f.__name__] = run
         if sql is not None:
             ORACLES[f.__name__] = sql
         return f
@@ -85,37 +109,45 @@ H = lambda x: f"('0x' || substr(md5('42:' || {x}), 1, 8))::BIGINT"
 
 
 # ---------------------------------------------------------------- the same in Spark
+@once
 def assigned(spark: SparkSession, d: str) -> DataFrame:
     c = corpus_vec(spark, d)
     return with_distance(c, centres(c, ["k"]), ["k"])
 
 
+@once
 def feats(spark, d):
     return cluster_features(assigned(spark, d), ["k"])
 
 
+@once
 def scored(spark, d):
     z = znorm(feats(spark, d))
     return mixing.score(z, consensus.weights(z, "power"))
 
 
+@once
 def budgeted(spark, d):
     return mixing.budget(scored(spark, d))
 
 
+@once
 def subs(spark, d):
     a = assigned(spark, d).withColumn("j", (F.col("doc_id") % 4).cast("int"))
     return with_distance(a, centres(a, ["k", "j"]), ["k", "j"], "dist_sub")
 
 
+@once
 def sub_feats(spark, d):
     return cluster_features(subs(spark, d), ["k", "j"], "dist_sub")
 
 
+@once
 def gated(spark, d):
     return refine.gate(refine.penalty(sub_feats(spark, d)), feats(spark, d))
 
 
+@once
 def label_scores(spark, d):
     return probes.score_labels(probes.select(subs(spark, d)), table(spark, d, "labels"))
 
@@ -125,6 +157,7 @@ def weighted(spark, d, normalise="global"):
     return refine.weight(rows, normalise=normalise)
 
 
+@once
 def cells(spark, d):
     supply = subs(spark, d).groupBy("k", "j").agg(F.sum("n_tokens").alias("supply"))
     return weighted(spark, d).select("k", "j", "w").join(supply, ["k", "j"])
@@ -272,6 +305,7 @@ def bridged(spark, d):
     return resolution.bridge(centres(corpus_vec(spark, d), ["k"]).withColumnRenamed("k", "i"), centres(fine(spark, d), ["j"]))
 
 
+@once
 def both_scores(spark, d):
     f = fine(spark, d)
     z = znorm(cluster_features(with_distance(f, centres(f, ["j"]), ["j"]), ["j"]))
@@ -403,6 +437,7 @@ def quantisation_term(spark, d):
 GAINS = f"WITH {FEATURES}, sel AS (SELECT *, ({H('doc_id')} / 4294967296.0 < 0.4) AS chosen FROM a), gn AS (SELECT k, count(*)::BIGINT AS n, avg(dist * dist) AS sigma2, count(*) FILTER (chosen) AS n_sel, avg(dist * dist) FILTER (chosen) AS sel2 FROM sel GROUP BY k), ga AS (SELECT *, n / sum(n) OVER () AS alpha FROM gn)"
 
 
+@once
 def gains(spark, d):
     a = assigned(spark, d)
     return theory.gain(a, baselines.random(a.select("doc_id"), 0.4))

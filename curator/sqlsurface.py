@@ -4,17 +4,18 @@ from __future__ import annotations
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from curator.sources.tables import corpus_vec, register
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def vec_dot(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([float((x * y).sum()) for x, y in zip(a, b, strict=True)])
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def entropy_of(c: pd.Series) -> float:
     """Shannon entropy of the values of a group (small groups; cluster_features does it for large ones)."""
     import numpy as np
@@ -23,7 +24,7 @@ def entropy_of(c: pd.Series) -> float:
     return float(-(q * np.log(q)).sum()) + 0.0
 
 
-@udtf(returnType="position int, shingle string")
+@udtf(returnType=T.StructType([T.StructField("position", T.IntegerType()), T.StructField("shingle", T.StringType())]))
 class Shingles:
     """n-word shingles of a text as rows."""
 
