@@ -18,3 +18,17 @@ def local_session(cores: int | str = "*", partitions: int = 8) -> SparkSession:
         .config("spark.ui.showConsoleProgress", "false")
         .getOrCreate()
     )
+
+
+def visible(spark: SparkSession) -> SparkSession:
+    """Let the session's Python workers import this package from where the driver has it.
+
+    On a cluster install the package on the workers or pass it with --py-files; the path then changes nothing.
+    """
+    from pathlib import Path
+
+    root = str(Path(__file__).resolve().parent.parent)
+    paths = spark.sparkContext.environment.get("PYTHONPATH", "").split(":")
+    if root not in paths:
+        spark.sparkContext.environment["PYTHONPATH"] = ":".join([root, *[p for p in paths if p]])
+    return spark
