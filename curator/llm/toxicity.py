@@ -20,8 +20,9 @@ _U = np.uint64
 BITS = 20
 #: Bound on the labelled rows that the model is fitted on.
 MAX_TRAIN = 20_000
+#: The setting of least log loss in ``compare_settings``, on the two largest tables it was run on.
 EPOCHS = 4
-ALPHA, BETA, L1, L2 = 1.0, 1.0, 4.0, 0.5
+ALPHA, BETA, L1, L2 = 2.0, 1.0, 8.0, 0.5
 THRESHOLD = 0.3
 
 
@@ -49,7 +50,7 @@ def _distinct(index: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndar
     return both & ((1 << BITS) - 1), both >> BITS
 
 
-def fit(examples: list[np.ndarray], labels: np.ndarray, epochs: int = EPOCHS) -> tuple[np.ndarray, np.ndarray, float]:
+def fit(examples: list[np.ndarray], labels: np.ndarray, epochs: int = EPOCHS, alpha: float = ALPHA, l1: float = L1) -> tuple[np.ndarray, np.ndarray, float]:
     """Indexes and values of the non-zero weights, and the bias."""
     z, n = np.zeros(1 << BITS), np.zeros(1 << BITS)
     bz = bn = bias = 0.0
@@ -57,36 +58,40 @@ def fit(examples: list[np.ndarray], labels: np.ndarray, epochs: int = EPOCHS) ->
         for x, y in zip(examples, labels, strict=True):
             zx, nx = z[x], n[x]
             root = np.sqrt(nx)
-            w = np.where(np.abs(zx) <= L1, 0.0, -(zx - np.sign(zx) * L1) / ((BETA + root) / ALPHA + L2))
-            bias = -bz / ((BETA + np.sqrt(bn)) / ALPHA)
+            w = np.where(np.abs(zx) <= l1, 0.0, -(zx - np.sign(zx) * l1) / ((BETA + root) / alpha + L2))
+            bias = -bz / ((BETA + np.sqrt(bn)) / alpha)
             g = 1 / (1 + np.exp(-np.clip(w.sum() + bias, -35, 35))) - y
             after = nx + g * g
-            z[x] = zx + g - (np.sqrt(after) - root) / ALPHA * w
+            z[x] = zx + g - (np.sqrt(after) - root) / alpha * w
             n[x] = after
-            bz += g - (np.sqrt(bn + g * g) - np.sqrt(bn)) / ALPHA * bias
+            bz += g - (np.sqrt(bn + g * g) - np.sqrt(bn)) / alpha * bias
             bn += g * g
-    w = np.where(np.abs(z) <= L1, 0.0, -(z - np.sign(z) * L1) / ((BETA + np.sqrt(n)) / ALPHA + L2))
+    w = np.where(np.abs(z) <= l1, 0.0, -(z - np.sign(z) * l1) / ((BETA + np.sqrt(n)) / alpha + L2))
     at = np.flatnonzero(w)
-    return at, w[at], float(-bz / ((BETA + np.sqrt(bn)) / ALPHA))
+    return at, w[at], float(-bz / ((BETA + np.sqrt(bn)) / alpha))
+
+
+def _examples(texts: pa.Array) -> list[np.ndarray]:
+    """Distinct features of each text."""
+    out: list[np.ndarray] = []
+    for i, j, words in flat.word_runs(texts, "alnum", True):
+        index, owner = _distinct(*features(words))
+        at = np.searchsorted(owner, np.arange(j - i + 1))
+        out += [index[a:b] for a, b in zip(at[:-1], at[1:], strict=True)]
+    return out
 
 
 def _fit_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     examples, labels = [], []
     for batch in batches:
-        for i, j, words in flat.word_runs(batch.column(0), "alnum", True):
-            index, owner = _distinct(*features(words))
-            at = np.searchsorted(owner, np.arange(j - i + 1))
-            examples += [index[a:b] for a, b in zip(at[:-1], at[1:], strict=True)]
+        examples += _examples(batch.column(0))
         labels.append(batch.column(1).to_numpy())
     at, w, bias = fit(examples, np.concatenate(labels) if labels else np.zeros(0))
     yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1)), pa.array(np.append(w, bias))], names=["at", "weight"])
 
 
-def train(docs: DataFrame, labels: DataFrame, may_learn: Column, most: int = MAX_TRAIN) -> tuple[np.ndarray, np.ndarray, float]:
-    """Weights learned from labelled documents for which ``may_learn`` (on doc_id) holds.
-
-    Labels that are null, or of documents that aren't there, are not used; a document with several is toxic if one says so.
-    """
+def _learnable(docs: DataFrame, labels: DataFrame, may_learn: Column, most: int) -> DataFrame:
+    """(doc_id, text, y, place) of at most ``most`` labelled rows, chosen and placed by a hash of doc_id."""
     given = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & may_learn)
     given = given.groupBy("doc_id").agg(F.max(F.col("toxic").cast("double")).alias("y")).withColumn("place", F.xxhash64("doc_id"))
     n = given.count()
@@ -94,13 +99,50 @@ def train(docs: DataFrame, labels: DataFrame, may_learn: Column, most: int = MAX
         cut = int((2**64) * min(1.0, 1.1 * most / n)) - 2**63
         given = given.where(F.col("place") <= F.lit(min(cut, 2**63 - 1)).cast("long"))
     given = F.broadcast(given.orderBy("place", "doc_id").limit(most))
-    texts = docs.select("doc_id", "text").join(given, "doc_id").select("text", "y", "place")
+    return docs.select("doc_id", "text").join(given, "doc_id")
+
+
+def train(docs: DataFrame, labels: DataFrame, may_learn: Column, most: int = MAX_TRAIN) -> tuple[np.ndarray, np.ndarray, float]:
+    """Weights learned from labelled documents for which ``may_learn`` (on doc_id) holds.
+
+    Labels that are null, or of documents that aren't there, are not used; a document with several is toxic if one says so.
+    """
+    texts = _learnable(docs, labels, may_learn, most)
     ordered = texts.repartition(1).sortWithinPartitions("place", F.xxhash64("text"))
     rows = ordered.select("text", "y").mapInArrow(_fit_task, "at long, weight double").toPandas()
     at, w = rows["at"].to_numpy(), rows["weight"].to_numpy()
     return at[at >= 0], w[at >= 0], float(w[at < 0].sum())
 
 
+def _compare_task(table: pa.Table) -> pa.Table:
+    table = table.sort_by("place").combine_chunks()
+    alpha, l1, epochs = (table[c][0].as_py() for c in ("alpha", "l1", "epochs"))
+    x, y, inner = _examples(table["text"].combine_chunks()), table["y"].to_numpy(), table["inner"].to_numpy()
+    at, w, bias = fit([x[i] for i in np.flatnonzero(~inner)], y[~inner], epochs, alpha, l1)
+    dense = np.zeros(1 << BITS)
+    dense[at] = w
+    total = np.array([dense[x[i]].sum() for i in np.flatnonzero(inner)]) + bias
+    p, truth = 1 / (1 + np.exp(-np.clip(total, -35, 35))), y[inner] > 0
+    loss = -np.log(np.clip(np.where(truth, p, 1 - p), 1e-9, 1))
+    hits = (p >= THRESHOLD) & truth
+    row = (alpha, l1, epochs, len(at), loss.mean() if len(loss) else None, hits.sum() / max(1, (p >= THRESHOLD).sum()), hits.sum() / max(1, truth.sum()))
+    return pa.table({name: [value] for name, value in zip(("alpha", "l1", "epochs", "n_weights", "log_loss", "precision", "recall"), row, strict=True)})
+
+
+def compare_settings(docs: DataFrame, labels: DataFrame, settings: list[tuple[float, float, int]], most: int = MAX_TRAIN) -> DataFrame:
+    """(alpha, l1, epochs) settings -> a row each with log loss, precision and recall on an inner fold.
+
+    Only rows that may be learned from are read: those whose crc32(doc_id) mod 4 is 3 judge, 0 and 1 are fitted
+    on, and the held-out fold (2) takes no part.  A task fits one setting on at most ``most`` rows.
+    """
+    fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4
+    rows = _learnable(_typed(docs), labels.select(F.col("doc_id").cast("long").alias("doc_id"), "toxic"), fold != 2, most)
+    grid = F.array(*[F.struct(F.lit(float(a)).alias("alpha"), F.lit(float(b)).alias("l1"), F.lit(int(e)).alias("epochs")) for a, b, e in settings])
+    rows = rows.select("text", "y", "place", (fold == 3).alias("inner"), F.explode(grid).alias("s")).select("text", "y", "place", "inner", "s.*")
+    kinds = "alpha double, l1 double, epochs long, n_weights long, log_loss double, precision double, recall double"
+    return rows.groupBy("alpha", "l1", "epochs").applyInArrow(_compare_task, kinds)
+
+
 def _score_task(shared):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at, w, bias = shared.value

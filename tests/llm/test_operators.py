@@ -13,6 +13,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from curator.llm import audio, classlm, contamination, flat, licences, lines, near, pieces, spans, toxicity, unigram
 
@@ -234,6 +235,13 @@ def test_toxicity(spark, odd, empty):
     scored = toxicity.toxicity(odd, labels).collect()
     assert len(scored) == len(ROWS) and all(0 <= r["score"] <= 1 for r in scored)
     assert toxicity.toxicity(empty, labels.limit(0)).count() == 0
+    settings = [(1.0, 8.0, 1), (2.0, 8.0, 4)]
+    compared = toxicity.compare_settings(docs, labels, settings).collect()
+    assert sorted((r["alpha"], r["l1"], r["epochs"]) for r in compared) == settings and all(r["log_loss"] > 0 for r in compared)
+    # rows of the held-out fold take no part in the choice
+    fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4
+    without = toxicity.compare_settings(docs.where(fold != 2), labels.where(fold != 2), settings).collect()
+    assert sorted(without) == sorted(compared)
 
 
 def test_licences(unique, empty):
