@@ -65,12 +65,12 @@ class Lab:
             share = self.plan.budget.volume(self.tokens) / self.tokens
             corpus = self.docs.join(self.store.select("doc_id"), "doc_id", "left_semi")
             if method == "random":
-                rows = baselines.random(self.store, share)
+                rows = baselines.random(self.store, share, self.plan.seed)
             elif method == "rating selector":
                 rows = baselines.rating_selector(baselines.rated(corpus, labels=self.labels), share * self.tokens)
             elif method == "mixture optimiser":
-                shares, _ = baselines.mixture_optimiser(corpus, self.held_out, rounds=2, candidates=24, buckets=2048)
-                rows = baselines.by_shares(self.store, shares, share * self.store.count())
+                shares, _ = baselines.mixture_optimiser(corpus, self.held_out, rounds=2, candidates=24, buckets=2048, seed=self.plan.seed)
+                rows = baselines.by_shares(self.store, shares, share * self.store.count(), seed=self.plan.seed)
             elif method == "rules":
                 rows = baselines.rules(corpus).select("doc_id")
             elif method == "curator":
@@ -117,6 +117,19 @@ def main_compare(spark, sf_dir):
     return _union(parts)
 
 
+def seed_spread(spark, sf_dir, seeds: int = 3):
+    """The main comparison once for each seed; mean, least and most of each measure tell a ranking from chance."""
+    parts = []
+    for k in range(seeds):
+        lab = Lab(spark, sf_dir, replace(PLAN, seed=PLAN.seed + 1000 * k))
+        parts += [lab.proxies("seeds", m, lab.subset(m)) for m in ("random", "rating selector", "mixture optimiser", "curator")]
+    many = _union(parts).where("metric in ('entropy', 'quality')").groupBy("workload", "method", "epoch", "metric", "lang")
+    spread = many.agg(F.avg("value").alias("mean"), F.min("value").alias("least"), F.max("value").alias("most"))
+    kinds = F.explode(F.array(*[F.struct(F.lit(c).alias("name"), F.col(c).alias("value")) for c in ("mean", "least", "most")])).alias("x")
+    rows = spread.select("workload", "method", "epoch", "metric", "lang", kinds)
+    return rows.select("workload", "method", "epoch", F.concat_ws("_", "metric", "x.name").alias("metric"), "lang", "x.value")
+
+
 def capacity_scaling(spark, sf_dir):
     lab = Lab(spark, sf_dir)
     return _union([lab.proxies(f"capacity 2^{b}", m, lab.subset(m), buckets=1 << b) for b in (14, 16) for m in ("random", "curator")])
