@@ -325,7 +325,7 @@ def error_bound(spark, sf_dir):
 
 
 WORKLOADS = {
-    "wl_main_compare": main_compare, "wl_capacity_scaling": capacity_scaling, "wl_ablation": ablation, "wl_by_language": by_language, "wl_k_sweep": k_sweep, "wl_landscape": landscape,
+    "wl_main_compare": main_compare, "wl_seed_spread": seed_spread, "wl_capacity_scaling": capacity_scaling, "wl_ablation": ablation, "wl_by_language": by_language, "wl_k_sweep": k_sweep, "wl_landscape": landscape,
     "wl_feature_shape": feature_shape, "wl_efficiency": efficiency, "wl_blend": blend, "wl_decontaminate": decontaminate, "wl_probe_scale": probe_scale, "wl_hyper": hyper, "wl_saturation": saturation,
     "wl_progress_radar": progress_radar, "wl_overhead": overhead, "wl_suite_groups": suite_groups, "wl_error_bound": error_bound,
 }

@@ -65,3 +65,15 @@ def test_centroid_joins_are_broadcast(spark, sf):
     c = corpus_vec(spark, sf)
     plan = with_distance(c, centres(c, ["k"]), ["k"])._jdf.queryExecution().toString()
     assert "BroadcastHashJoin" in plan
+
+
+def test_seed_spread(spark, sf):
+    from curator.plans.workloads import seed_spread
+
+    got = {(r["method"], r["metric"], r["lang"]): r["value"] for r in seed_spread(spark, sf, seeds=2).collect()}
+    assert {m for m, _, _ in got} == {"random", "rating selector", "mixture optimiser", "curator"}
+    for (method, metric, lang), value in got.items():
+        if metric.endswith("_mean"):
+            stem = metric.removesuffix("_mean")
+            least, most = got[method, f"{stem}_least", lang], got[method, f"{stem}_most", lang]
+            assert value is None or least - 1e-9 <= value <= most + 1e-9
