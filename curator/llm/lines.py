@@ -1,11 +1,12 @@
-"""Line dedup by pairwise alignment of documents that share rare lines.
-
-Lines are known by hashes.  A line that several documents have, and that is rare (at most ``RARE`` of them have it)
-or substantial (at least ``MIN_WORDS`` words), pairs each of its documents with the first one that has it: as many
-pairs as places, never all pairs of a group.  Each pair is aligned with patience diff on its line hashes alone:
-lines that stand once in both are matched in their longest common order, and matches grow over equal neighbours.
-Aligned blocks of at least ``MIN_WORDS`` words are deleted from the later document.  The first document that has a
-line never loses it, so nothing disappears from the corpus.
+"""Line dedup by pairwise alignment of documents that share runs of lines.
+
+Lines are known by hashes.  A run is the shortest row of consecutive lines, from a line on or up to a line, that has
+at least ``MIN_WORDS`` words; runs of one document may overlap.  Every run that several documents have, however many,
+pairs each of its documents with the first one that has it: as many pairs as places, never all pairs of a group.
+Each pair is aligned with patience diff on its line hashes alone: lines that stand once in both are matched in their
+longest common order, and matches grow over equal neighbours.  Aligned blocks of at least ``MIN_WORDS`` words are
+deleted from the later document.  The first document that has a run never loses it, so nothing disappears from the
+corpus.
 """
 
 from __future__ import annotations
@@ -24,7 +25,6 @@ from curator.llm import flat
 from curator.llm.fewrows import BROADCAST_BYTES
 from curator.llm.rows import attached, keyed, per_row
 
-RARE = 50
 MIN_WORDS = 8
 
 
@@ -66,19 +66,40 @@ def _line_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), flat.pack(h, first), flat.pack(n.astype(np.int32), first)], names=["key", "hashes", "sizes"])
 
 
-def _occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(line, key, words): distinct lines of each document."""
-    for batch in batches:
-        data, at = flat.buffers(batch.column(1))
-        sizes, _ = flat.buffers(batch.column(2))
-        h, n = np.frombuffer(data.tobytes(), dtype=np.int64), np.frombuffer(sizes.tobytes(), dtype=np.int32)
-        owner = np.repeat(np.arange(batch.num_rows), np.diff(at) // 8)
-        order = np.lexsort((h, owner))
-        h, n, owner = h[order], n[order], owner[order]
-        new = np.ones(len(h), dtype=bool)
-        new[1:] = (h[1:] != h[:-1]) | (owner[1:] != owner[:-1])
-        new &= n > 0
-        yield pa.RecordBatch.from_arrays([pa.array(h[new]), pa.array(batch.column(0).to_numpy()[owner[new]]), pa.array(n[new])], names=["line", "key", "words"])
+def runs(h: np.ndarray, n: np.ndarray, first: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First line, last line and hash of each run of texts with the line hashes h, words n and bounds first (n+1).
+
+    Runs begin and end at lines with words.  Those from each line on and those up to each line cover every block of
+    ``least`` words or more without leaving it.
+    """
+    m = len(h)
+    total = np.concatenate([[0], np.cumsum(n, dtype=np.int64)])
+    owner = np.repeat(np.arange(len(first) - 1), np.diff(first))
+    line = np.flatnonzero(n > 0)
+    to = np.searchsorted(total, total[line] + least, side="left") - 1
+    since = np.searchsorted(total, total[line + 1] - least, side="right") - 1
+    down, up = to < first[owner[line] + 1], since >= first[owner[line]]
+    both = np.unique(np.concatenate([line[down] * m + to[down], since[up] * m + line[up]]))
+    begin, last = both // max(1, m), both % max(1, m)
+    power, inverse = flat._power_tables(m + 1)
+    sums = np.concatenate([np.zeros(1, dtype=np.uint64), np.cumsum((h + np.uint64(1)) * power[:m])])
+    return begin, last, flat.mix((sums[last + 1] - sums[begin]) * inverse[begin], 8)
+
+
+def _run_places(least: int):
+    """(run, key, begin, last): runs of each document by the numbers of their lines."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, at = flat.buffers(batch.column(1))
+            sizes, _ = flat.buffers(batch.column(2))
+            first = at // 8
+            begin, last, h = runs(np.frombuffer(data.tobytes(), dtype=np.uint64), np.frombuffer(sizes.tobytes(), dtype=np.int32), first, least)
+            owner = np.searchsorted(first, begin, side="right") - 1
+            begin, last = (begin - first[owner]).astype(np.int32), (last - first[owner]).astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.array(flat.signed(h)), pa.array(batch.column(0).to_numpy()[owner]), pa.array(begin), pa.array(last)], names=["run", "key", "begin", "last"])
+
+    return run
 
 
 def patience(a: list[int], b: list[int]) -> list[tuple[int, int]]:
@@ -153,13 +174,12 @@ def _align(least: int):
     return run
 
 
-def repeated_lines(docs: DataFrame, rare: int = RARE, least: int = MIN_WORDS) -> DataFrame:
+def repeated_lines(docs: DataFrame, least: int = MIN_WORDS) -> DataFrame:
     """(key, text) -> (key, gone): numbers of the lines to delete, for documents that lose any."""
     table = stash(docs.select("key", "text").mapInArrow(_line_rows, "key long, hashes binary, sizes binary"), "lines")
-    places = stash(table.mapInArrow(_occurrences, "line long, key long, words int"), "places")
-    firsts = places.groupBy("line").agg(F.min("key").alias("first"), F.count(F.lit(1)).alias("n"), F.max("words").alias("words"))
-    firsts = firsts.where((F.col("n") > 1) & ((F.col("n") <= rare) | (F.col("words") >= least))).select("line", "first")
-    pairs = stash(places.join(firsts, "line").where("key <> first").select("key", "first").distinct(), "aligned")
+    places = stash(table.mapInArrow(_run_places(least), "run long, key long, begin int, last int"), "places")
+    firsts = places.groupBy("run").agg(F.min("key").alias("first"), F.max("key").alias("end")).where("first < end").select("run", "first")
+    pairs = stash(places.join(firsts, "run").where("key <> first").select("key", "first").distinct(), "aligned")
     release(places)
     both = pairs.join(table, "key").join(table.select(F.col("key").alias("first"), F.col("hashes").alias("other")), "first").select("key", "hashes", "sizes", "other")
     found = both.mapInArrow(_align(least), "key long, gone array<int>")
@@ -193,7 +213,7 @@ def _without(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             )
 
 
-def line_dedup(docs: DataFrame, rare: int = RARE, least: int = MIN_WORDS) -> DataFrame:
+def line_dedup(docs: DataFrame, least: int = MIN_WORDS) -> DataFrame:
     """documents -> (doc_id, n_lines, n_removed, kept_sha256, kept_text) for every row.
 
     Lines end at line feeds; white space between and around words doesn't tell lines apart.  A null text stays null
@@ -201,20 +221,20 @@ def line_dedup(docs: DataFrame, rare: int = RARE, least: int = MIN_WORDS) -> Dat
     doc_id, then by the text's hash.
     """
     base, rows = keyed(docs)
-    gone = repeated_lines(base, rare, least)
+    gone = repeated_lines(base, least)
     n, width = gone.agg(F.count(F.lit(1)), F.sum(4 * F.size("gone") + 40)).first()
     gone = F.broadcast(gone) if n and width <= BROADCAST_BYTES else gone
     out = base.join(gone, "key", "left").select("key", "text", "gone").mapInArrow(_without, "key long, n_lines long, n_removed long, kept_sha256 string, kept_text string")
     return per_row(out, rows)
 
 
-def without_repeated_lines(docs: DataFrame, rare: int = RARE, least: int = MIN_WORDS) -> DataFrame:
+def without_repeated_lines(docs: DataFrame, least: int = MIN_WORDS) -> DataFrame:
     """The documents with aligned lines deleted; one of which nothing is left goes, if it had any text.
 
     Other columns stay, n_chars follows the text.
     """
     rows, base = attached(docs)
-    gone = repeated_lines(base, rare, least)
+    gone = repeated_lines(base, least)
     n, width = gone.agg(F.count(F.lit(1)), F.sum(4 * F.size("gone") + 40)).first()
     gone = F.broadcast(gone) if n and width <= BROADCAST_BYTES else gone
     kept = rows.join(gone.toDF("__key", "__gone"), "__key", "left").drop("__key")

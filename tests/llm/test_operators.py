@@ -284,3 +284,10 @@ def test_lines(spark, odd, empty):
     assert set(kept) == {1, 2, 4} and kept[2] == "other\ntail"
     assert lines.line_dedup(odd).count() == len(ROWS) and lines.line_dedup(empty).count() == 0
     assert lines.without_repeated_lines(empty).count() == 0
+
+
+def test_short_lines_of_many_documents(spark):
+    verse = "roses are red\nviolets are blue\nsugar is sweet"
+    rows = [(i, f"own{i} text{i} of{i} document{i}\n{verse}\nend{i} of{i} it{i}") for i in range(80)]
+    got = {r["doc_id"]: r["n_removed"] for r in lines.line_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {i: 3 if i else 0 for i in range(80)}
