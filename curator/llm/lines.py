@@ -3,10 +3,12 @@
 Lines are known by hashes.  A run is the shortest row of consecutive lines, from a line on or up to a line, that has
 at least ``MIN_WORDS`` words; runs of one document may overlap.  Every run that several documents have, however many,
 pairs each of its documents with the first one that has it: as many pairs as places, never all pairs of a group.
-Each pair is aligned with patience diff on its line hashes alone: lines that stand once in both are matched in their
-longest common order, and matches grow over equal neighbours.  Aligned blocks of at least ``MIN_WORDS`` words are
-deleted from the later document.  The first document that has a run never loses it, so nothing disappears from the
-corpus.
+Each pair is aligned with patience diff on its line hashes alone: equal lines at both ends are matched, then lines that
+stand once in both in their longest common order, and so on inside each gap.  Where no line is left that stands once,
+and for blocks that were moved or that the later document has again, which no alignment in order reaches, the runs
+that proposed the pair are matched one by one.  Blocks of at least ``MIN_WORDS`` words are deleted from the later
+document; every line of a block that any earlier document has goes.  The first document that has a run never loses it,
+so nothing disappears from the corpus.
 """
 
 from __future__ import annotations
@@ -102,8 +104,8 @@ def _run_places(least: int):
     return run
 
 
-def patience(a: list[int], b: list[int]) -> list[tuple[int, int]]:
-    """Matched places of two sequences: unique common elements in their longest common order, grown over equal neighbours."""
+def _anchors(a: list[int], b: list[int]) -> list[tuple[int, int]]:
+    """Places of the elements that stand once in both sequences, in their longest common order."""
     once_a: dict[int, int] = {}
     for i, x in enumerate(a):
         once_a[x] = -1 if x in once_a else i
@@ -128,20 +130,27 @@ def patience(a: list[int], b: list[int]) -> list[tuple[int, int]]:
         chain.append(common[k])
         k = back[k]
     chain.reverse()
+    return chain
+
+
+def patience(a: list[int], b: list[int]) -> list[tuple[int, int]]:
+    """Matched places of two sequences: equal ends, then anchors, then the same inside each gap between them."""
     out: list[tuple[int, int]] = []
-    low = (-1, -1)
-    for place, (i, j) in enumerate(chain):
-        if j <= low[1] or i <= low[0]:
-            continue  # grown over by the match before
-        p, q = i, j
-        while p - 1 > low[0] and q - 1 > low[1] and a[p - 1] == b[q - 1]:
-            p, q = p - 1, q - 1
-        stop = chain[place + 1] if place + 1 < len(chain) else (len(a), len(b))
-        while i + 1 < len(a) and j + 1 < len(b) and (i + 1, j + 1) != stop and i + 1 < stop[0] and j + 1 < stop[1] and a[i + 1] == b[j + 1]:
+    gaps = [(0, len(a), 0, len(b))]
+    while gaps:
+        i, p, j, q = gaps.pop()
+        while i < p and j < q and a[i] == b[j]:
+            out.append((i, j))
             i, j = i + 1, j + 1
-        out += list(zip(range(p, i + 1), range(q, j + 1), strict=True))
-        low = (i, j)
-    return out
+        while i < p and j < q and a[p - 1] == b[q - 1]:
+            p, q = p - 1, q - 1
+            out.append((p, q))
+        chain = [(i + x, j + y) for x, y in _anchors(a[i:p], b[j:q])] if i < p and j < q else []
+        if chain:
+            out += chain
+            edges = [(i - 1, j - 1), *chain, (p, q)]
+            gaps += [(x[0] + 1, y[0], x[1] + 1, y[1]) for x, y in zip(edges, edges[1:])]
+    return sorted(out)
 
 
 def aligned_blocks(a: list[int], b: list[int], sizes: list[int], least: int) -> list[int]:
@@ -162,13 +171,14 @@ def _align(least: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keys, gone = [], []
-            for key, mine, sizes, other in zip(*(batch.column(c) for c in range(4)), strict=True):
+            for key, mine, sizes, other, spans in zip(*(batch.column(c) for c in range(5)), strict=True):
                 b = np.frombuffer(mine.as_buffer(), dtype=np.int64).tolist()
                 a = np.frombuffer(other.as_buffer(), dtype=np.int64).tolist()
-                places = aligned_blocks(a, b, np.frombuffer(sizes.as_buffer(), dtype=np.int32).tolist(), least)
-                if places:
-                    keys.append(key.as_py())
-                    gone.append(places)
+                places = set(aligned_blocks(a, b, np.frombuffer(sizes.as_buffer(), dtype=np.int32).tolist(), least))
+                for span in spans.as_py():
+                    places.update(range(span >> 32, (span & 0xFFFFFFFF) + 1))
+                keys.append(key.as_py())
+                gone.append(sorted(places))
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(gone, pa.list_(pa.int32()))], names=["key", "gone"])
 
     return run
@@ -179,9 +189,10 @@ def repeated_lines(docs: DataFrame, least: int = MIN_WORDS) -> DataFrame:
     table = stash(docs.select("key", "text").mapInArrow(_line_rows, "key long, hashes binary, sizes binary"), "lines")
     places = stash(table.mapInArrow(_run_places(least), "run long, key long, begin int, last int"), "places")
     firsts = places.groupBy("run").agg(F.min("key").alias("first"), F.max("key").alias("end")).where("first < end").select("run", "first")
-    pairs = stash(places.join(firsts, "run").where("key <> first").select("key", "first").distinct(), "aligned")
+    span = F.shiftleft(F.col("begin").cast("long"), 32) + F.col("last")
+    pairs = stash(places.join(firsts, "run").where("key <> first").groupBy("key", "first").agg(F.collect_list(span).alias("spans")), "aligned")
     release(places)
-    both = pairs.join(table, "key").join(table.select(F.col("key").alias("first"), F.col("hashes").alias("other")), "first").select("key", "hashes", "sizes", "other")
+    both = pairs.join(table, "key").join(table.select(F.col("key").alias("first"), F.col("hashes").alias("other")), "first").select("key", "hashes", "sizes", "other", "spans")
     found = both.mapInArrow(_align(least), "key long, gone array<int>")
     out = stash(found.groupBy("key").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("gone")))).alias("gone")), "gone")
     for used in (table, pairs):

@@ -291,3 +291,30 @@ def test_short_lines_of_many_documents(spark):
     rows = [(i, f"own{i} text{i} of{i} document{i}\n{verse}\nend{i} of{i} it{i}") for i in range(80)]
     got = {r["doc_id"]: r["n_removed"] for r in lines.line_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == {i: 3 if i else 0 for i in range(80)}
+
+
+def test_repeated_and_moved_lines():
+    assert lines.patience([1, 2, 2, 3, 9, 4], [1, 2, 2, 3, 8, 4]) == [(0, 0), (1, 1), (2, 2), (3, 3), (5, 5)]
+    # 5 stands twice, but once in each gap
+    assert lines.patience([1, 5, 2, 5, 3], [7, 1, 8, 5, 2, 9, 5, 3, 6]) == [(0, 1), (1, 3), (2, 4), (3, 6), (4, 7)]
+
+
+def test_every_block_of_an_earlier_document_goes(spark):
+    rng = np.random.default_rng(7)
+    kinds = ["", "a", "b c", "d e f", "g h i j k", "l m n o p q r s t"]
+    rows = [(i, "\n".join(kinds[x] for x in rng.integers(0, 6, int(rng.integers(1, 14))))) for i in range(60)]
+    rows += [(100, "x1 y z\n" + kinds[5] + "\n" + kinds[5]), (101, "\n".join([kinds[5], "x2 y z", kinds[5], "x3 y z", kinds[5], kinds[5]]))]
+    seen, want = set(), {}
+    for i, t in rows:
+        part, new = [x.split() for x in t.split("\n")], set()
+        gone: set[int] = set()
+        for a in range(len(part)):
+            for b in range(a + 1, len(part) + 1):
+                if sum(map(len, part[a:b])) >= lines.MIN_WORDS:
+                    block = tuple(map(tuple, part[a:b]))
+                    new.add(block)
+                    gone |= set(range(a, b)) if block in seen else set()
+        seen |= new
+        want[i] = "\n".join(" ".join(x) for k, x in enumerate(part) if x and k not in gone)
+    got = lines.line_dedup(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+    assert {r["doc_id"]: "\n".join(x for x in r["kept_text"].split("\n") if x) for r in got} == want
