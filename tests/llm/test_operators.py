@@ -318,3 +318,45 @@ def test_every_block_of_an_earlier_document_goes(spark):
         want[i] = "\n".join(" ".join(x) for k, x in enumerate(part) if x and k not in gone)
     got = lines.line_dedup(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
     assert {r["doc_id"]: "\n".join(x for x in r["kept_text"].split("\n") if x) for r in got} == want
+
+
+def sample(tree, k: int) -> str:
+    """A string of a parsed regex; k chooses among alternatives."""
+    out = ""
+    for kind, value in tree:
+        name = str(kind)
+        if name == "LITERAL":
+            out += chr(value)
+        elif name == "IN":
+            sort, what = value[k % len(value)]
+            out += chr(what) if str(sort) == "LITERAL" else {"CATEGORY_SPACE": " ", "CATEGORY_DIGIT": "7"}.get(str(what), "x")
+        elif name == "BRANCH":
+            out += sample(value[1][k % len(value[1])], k // len(value[1]))
+        elif name == "SUBPATTERN":
+            out += sample(value[3], k)
+        elif name == "MAX_REPEAT":
+            out += sample(value[2], k) * max(value[0], k % 2)
+    return out
+
+
+def test_licence_gates_drop_no_match():
+    compiled = 0
+    for rule in licences.rules():
+        regex = re.compile(rule.pattern)
+        texts = {sample(licences.parser.parse(rule.pattern), k) for k in range(24)}
+        texts = {t for t in texts if regex.search(t)}
+        compiled += bool(texts)
+        for t in texts:
+            assert licences.detections(t) == licences.detections(t, gated=False) != []
+    assert compiled > 300
+
+
+@pytest.mark.parametrize(
+    "text, label",
+    [
+        ("GPLv2", "gpl-2"), ("GPLv3+", "gpl-3-or-later"), ("LGPLv2.1", "lgpl-2.1"), ("AGPLv3", "agpl-3"), ("MIT licence", "mit"), ("Expat License", "mit"), ("do what the heck you want to public license", "wtfpl"),
+        ("beer-ware", "beerware"), ("(c) 2020", "copyright"), ("©2020", "copyright"),
+    ],
+)
+def test_licence_spellings(text, label):
+    assert [x.label for _, _, x in licences.detections(text)] == [label]
