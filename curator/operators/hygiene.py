@@ -12,12 +12,17 @@ from curator.functions.workspace import stash
 SMALL_ROWS = 2_000_000
 
 
-def _gram_hashes(df: DataFrame, key: str, n: int) -> DataFrame:
-    """(key, g): distinct hashes of the n-word grams of a text; a shorter text is one gram."""
+def _gram_sets(df: DataFrame, key: str, n: int) -> DataFrame:
+    """(key, grams): distinct hashes of the n-word grams of a text; a shorter text is one gram."""
     low = df.select(key, F.transform(words(F.lower("text")), lambda w: F.xxhash64(w)).alias("h")).where(F.size("h") > 0)
     last = F.greatest(F.size("h") - n, F.lit(0))
     grams = F.transform(F.sequence(F.lit(0), last), lambda i: F.xxhash64(F.slice("h", i + 1, F.lit(n))))
-    return low.select(key, F.explode(F.array_distinct(grams)).alias("g"))
+    return low.select(key, F.array_distinct(grams).alias("grams"))
+
+
+def _gram_hashes(df: DataFrame, key: str, n: int) -> DataFrame:
+    """(key, g): a row for each distinct gram."""
+    return _gram_sets(df, key, n).select(key, F.explode("grams").alias("g"))
 
 
 def overlap(docs: DataFrame, bench: DataFrame, n: int = 8) -> DataFrame:
@@ -65,25 +70,36 @@ def minhash(docs: DataFrame, hashes: int = 32, n: int = 3) -> DataFrame:
     return grams.groupBy("doc_id").agg(F.array(*[F.min(F.xxhash64(F.lit(i), "g")) for i in range(hashes)]).alias("sig"))
 
 
-def near_pairs(sig: DataFrame, bands: int = 8, threshold: float = 0.7) -> DataFrame:
-    """(a, b, similarity): each document of a bucket with the bucket's first, kept if enough minima agree."""
-    sig = stash(sig.withColumn("size", F.size("sig")), "sig")
-    rows = int(sig.select("size").limit(1).first()[0]) // bands if not sig.isEmpty() else 1
+def candidates(sig: DataFrame, bands: int = 8) -> DataFrame:
+    """(a, b): each document of a bucket with the bucket's first (two that meet only in buckets led by others have no row)."""
+    rows = int(sig.select(F.size("sig")).limit(1).first()[0]) // bands if not sig.isEmpty() else 1
     keys = F.array(*[F.xxhash64(F.lit(b), F.slice("sig", b * rows + 1, rows)) for b in range(bands)])
     buckets = sig.select("doc_id", F.explode(keys).alias("bucket"))
     lead = buckets.groupBy("bucket").agg(F.min("doc_id").alias("a"), F.count(F.lit(1)).alias("c")).where("c > 1").select("bucket", "a")
-    pairs = buckets.join(lead, "bucket").where("doc_id <> a").select("a", F.col("doc_id").alias("b")).distinct()
+    return buckets.join(lead, "bucket").where("doc_id <> a").select("a", F.col("doc_id").alias("b")).distinct()
+
+
+def near_pairs(sig: DataFrame, bands: int = 8, threshold: float = 0.7) -> DataFrame:
+    """(a, b, similarity): candidates of which enough minima agree."""
+    sig = stash(sig, "sig")
     x, y = sig.select(F.col("doc_id").alias("a"), F.col("sig").alias("sa")), sig.select(F.col("doc_id").alias("b"), F.col("sig").alias("sb"))
     same = F.size(F.filter(F.zip_with("sa", "sb", lambda p, q: p == q), lambda e: e)) / F.size("sa")
-    return pairs.join(x, "a").join(y, "b").select("a", "b", same.alias("similarity")).where(F.col("similarity") >= threshold)
+    return candidates(sig, bands).join(x, "a").join(y, "b").select("a", "b", same.alias("similarity")).where(F.col("similarity") >= threshold)
 
 
-def dedup_near(docs: DataFrame, hashes: int = 32, bands: int = 8, threshold: float = 0.7, rounds: int = 20) -> DataFrame:
-    """One survivor (lowest id) per group of near copies; groups by repeated least labels, each round a written table."""
-    pairs = stash(near_pairs(minhash(docs, hashes), bands, threshold).select("a", "b"), "near")
+def dedup_near(docs: DataFrame, hashes: int = 64, bands: int = 16, threshold: float = 0.8, n: int = 5) -> DataFrame:
+    """One survivor (lowest id) per group of near copies: candidates by bands, decided on the whole sets of n-word grams.
+
+    Groups are found by repeated least labels until none moves, each round a written table.
+    """
+    found = stash(candidates(stash(minhash(docs, hashes, n), "sig"), bands), "candidates")
+    sets = _gram_sets(docs, "doc_id", n)
+    x, y = sets.select(F.col("doc_id").alias("a"), F.col("grams").alias("ga")), sets.select(F.col("doc_id").alias("b"), F.col("grams").alias("gb"))
+    judged = found.join(x, "a").join(y, "b").select("a", "b", F.size(F.array_intersect("ga", "gb")).alias("both"), (F.size("ga") + F.size("gb")).alias("sum"))
+    pairs = stash(judged.where(F.col("both") >= F.lit(threshold) * (F.col("sum") - F.col("both"))).select("a", "b"), "near")
     both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
     label = stash(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("l")), "labels")
-    for _ in range(rounds):
+    while True:
         seen = both.join(label.select(F.col("a").alias("b"), "l"), "b").groupBy("a").agg(F.min("l").alias("m"))
         new = stash(label.join(seen, "a").select("a", F.least("l", "m").alias("l"), (F.col("m") < F.col("l")).alias("moved")), "labels")
         label = new.select("a", "l")

@@ -141,3 +141,15 @@ def test_lloyd_equals_numpy(spark):
     got = {r["doc_id"]: r["k"] for r in lloyd.assign(df, mu).collect()}
     want = np.argmax(np.round(x @ mu.T, 12), axis=1)
     assert all(got[i] == want[i] for i in range(200))
+
+
+def test_near_copies_decided_on_whole_sets(spark):
+    from curator.operators import hygiene
+
+    words = [f"w{i}" for i in range(200)]
+    edited = [f"e{i}" if i % 33 == 16 else w for i, w in enumerate(words)]
+    copy = [*words[:-1], "end"]
+    rows = [(1, " ".join(words)), (2, " ".join(edited)), (3, " ".join(copy))]
+    # 196 grams each: 1 and 2 share 166 (0.73 of the union), 1 and 3 share 195
+    kept = hygiene.dedup_near(spark.createDataFrame(rows, "doc_id long, text string")).select("doc_id").collect()
+    assert sorted(r[0] for r in kept) == [1, 2]
