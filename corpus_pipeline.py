@@ -25,10 +25,13 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The smallest doc_id of each near-duplicate group (five-word shingles, similarity of 0.8 or more)."""
+    """The smallest doc_id of each near-duplicate group (five-word shingles, similarity of 0.8 or more), in one row."""
     rows, base = attached(docs)
     others = near_groups(base, k=5, percent=80).where(~F.col("kept")).select(F.col("key").alias("__key"))
-    return rows.join(others, "__key", "left_anti").select(docs.columns)
+    kept = rows.join(others, "__key", "left_anti")
+    n, keys = rows.agg(F.count(F.lit(1)), F.count_distinct("__key")).first()
+    kept = kept.dropDuplicates(["__key"]) if keys < n else kept
+    return kept.select(docs.columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -17,3 +17,12 @@ def test_pipeline(spark, sf):
             assert docs.columns == columns
     assert n > 0 and docs.select("doc_id").distinct().count() == n
     assert corpus_pipeline.run(spark, sf).count() == n
+
+
+def test_repeated_rows_leave_one(spark, sf):
+    import corpus_pipeline
+
+    text = "one two three four five six seven eight nine ten"
+    rows = [(1, text), (1, text), (1, text), (2, text), (3, "something else is written here"), (3, "something else is written here")]
+    kept = corpus_pipeline.keep_one_of_each_group(spark, spark.createDataFrame(rows, "doc_id long, text string"), sf).collect()
+    assert sorted(r["doc_id"] for r in kept) == [1, 3]
