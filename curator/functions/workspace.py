@@ -8,6 +8,7 @@ re-run of everything before, and no block lives in one executor's memory only.
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
@@ -18,11 +19,13 @@ _own_root: str | None = None
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The shared folder named by the session; a private one only where none is set (tests, one machine)."""
+    """The shared folder named by the session; a private one only where none is set and all tasks run in this process."""
     global _own_root
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if named:
         return named.rstrip("/")
+    if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
     if _own_root is None:
         _own_root = tempfile.mkdtemp(prefix="curator-")
         atexit.register(shutil.rmtree, _own_root, ignore_errors=True)
