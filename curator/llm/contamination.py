@@ -13,8 +13,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from curator.functions.joins import small
 from curator.functions.workspace import release, stash
-from curator.llm.fewrows import small
 from curator.llm.rows import keyed, per_row
 
 WINDOW_WORDS = 13

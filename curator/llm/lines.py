@@ -22,9 +22,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from curator.functions.joins import BROADCAST_BYTES, spread
 from curator.functions.workspace import release, stash
 from curator.llm import flat
-from curator.llm.fewrows import BROADCAST_BYTES
 from curator.llm.rows import attached, keyed, per_row
 
 MIN_WORDS = 8

@@ -6,8 +6,9 @@ sketches (parity bitmaps of all samples, so that the XOR's population count tell
 those that are far too different; the survivors are confirmed on full shingle sets.
 
 A bucket of n classes proposes n - 1 pairs with its smallest member, never all pairs.  After the first
-components, buckets that still hold several components are judged in blocks, where an incidence product compares
-all their members at once and only joining links come out, so links that no leader saw are found as well.
+components, what buckets that still hold several components have outside their largest one is compared with the rest
+of the bucket, in blocks: by sketches first, then by an incidence product of the few that are left.  Only joining links
+come out, so links that no leader saw are found as well.
 """
 
 from __future__ import annotations
@@ -19,10 +20,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from curator.functions.graph import components
+from curator.functions.joins import small, spread
 from curator.functions.workspace import release, stash
 from curator.llm import flat
-from curator.llm.fewrows import small
-from curator.llm.graph import components
 from curator.llm.rows import keyed, per_row
 
 _U = np.uint64
@@ -30,8 +31,10 @@ SHINGLE_WORDS = 5
 BANDS, ROWS = 40, 5
 #: Bits of a parity bitmap.
 SKETCH_BITS = 1024
-#: Documents of a block; a bucket of several blocks is judged by pairs of blocks.
-BLOCK = 1024
+#: Documents and shingles that a block of a bucket has on average at most.
+BLOCK, BLOCK_SHINGLES = 2048, 1 << 20
+#: Bytes of two texts' pairs that are judged at once.
+PAIR_BYTES = 4 << 20
 
 
 def shingle_sets(words: flat.Words, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -145,22 +148,26 @@ def _unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(values[i : i + (1 << 18)]), pa.array(keys[i : i + (1 << 18)])], names=["bucket", "key"])
 
 
-def _confirm(k: int, percent: int):
-    """Exact check of pairs of texts on their full shingle sets."""
+def _sets(keys: np.ndarray, column: pa.Array, k: int) -> list[np.ndarray]:
+    """Shingle sets of a column of texts; a key that comes again is not read again."""
+    _, at, which = np.unique(keys, return_index=True, return_inverse=True)
+    out: list[np.ndarray] = []
+    for _, _, words in flat.word_runs(column.take(pa.array(at)), "space", True):
+        hashes, bounds = shingle_sets(words, k)
+        out += [hashes[a:b] for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
+    return [out[i] for i in which.tolist()]
 
-    def sets(column: pa.Array) -> list[np.ndarray]:
-        out: list[np.ndarray] = []
-        for _, _, words in flat.word_runs(column, "space", True):
-            hashes, bounds = shingle_sets(words, k)
-            out += [hashes[a:b] for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-        return out
+
+def _confirm(k: int, percent: int):
+    """Exact check of pairs of texts on their full shingle sets, some bytes of text at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for i in range(0, whole.num_rows, 512):
-                batch = whole.slice(i, 512)
+            sizes = np.diff(flat.buffers(whole.column(2))[1]) + np.diff(flat.buffers(whole.column(3))[1])
+            for i, j in flat.slices(np.concatenate([[0], np.cumsum(sizes)]), PAIR_BYTES):
+                batch = whole.slice(i, j - i)
                 ok = []
-                for x, y in zip(sets(batch.column(2)), sets(batch.column(3)), strict=True):
+                for x, y in zip(*(_sets(batch.column(c).to_numpy(), batch.column(c + 2), k) for c in (0, 1)), strict=True):
                     both = len(np.intersect1d(x, y, assume_unique=True))
                     ok.append(100 * both >= percent * (len(x) + len(y) - both))
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(ok, type=pa.bool_())], names=["a", "b", "linked"])
@@ -168,38 +175,66 @@ def _confirm(k: int, percent: int):
     return run
 
 
+def _suspects(percent: int, limit: int):
+    """Of two blocks of a bucket, the documents whose sketch and size allow a link to one of the other block in another component."""
+
+    def run(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        left = table["left"].to_numpy()
+        x, y = np.flatnonzero(left), np.flatnonzero(~left)
+        bits = np.frombuffer(flat.buffers(table["sketch"])[0].tobytes(), dtype=_U).reshape(len(left), -1)
+        size, comp = table["n_shingles"].to_numpy(), table["component"].to_numpy()
+        keep = np.zeros(len(left), dtype=bool)
+        for a in range(0, len(x), 32):
+            part = x[a : a + 32]
+            off = np.bitwise_count(bits[part][:, None, :] ^ bits[y][None, :, :]).sum(axis=2, dtype=np.int32)
+            least, most = np.minimum(size[part][:, None], size[y][None, :]), np.maximum(size[part][:, None], size[y][None, :])
+            may = (off <= limit) & (100 * least >= percent * most) & (comp[part][:, None] != comp[y][None, :])
+            keep[part] |= may.any(axis=1)
+            keep[y] |= may.any(axis=0)
+        return table.select(["bucket", "i", "j", "left", "key", "component"]).filter(pa.array(keep))
+
+    return run
+
+
 def _between(k: int, percent: int):
-    """Links between documents of different components in one block: enough of them to join what belongs together.
+    """Links between two blocks' documents of different components: enough of them to join what belongs together.
 
-    All pairs of the block are judged exactly, by one product of the documents' incidence matrix with itself.
+    All pairs are judged exactly, by a product of the blocks' incidence matrices, some shingles at a time.
     """
 
     def run(table: pa.Table) -> pa.Table:
         table = table.combine_chunks()
-        keys, comps = table["key"].to_numpy(), table["component"].to_numpy()
+        keys, comps, left = table["key"].to_numpy(), table["component"].to_numpy(), table["left"].to_numpy()
         parts = []
         for i, _, words in flat.word_runs(table["text"], "space", True):
             hashes, bounds = shingle_sets(words, k)
             parts.append((hashes, np.repeat(np.arange(len(bounds) - 1) + i, np.diff(bounds))))
         hashes, owner = (np.concatenate(x) for x in zip(*parts, strict=True))
-        n = len(keys)
-        sizes = np.bincount(owner, minlength=n)
+        sizes = np.bincount(owner, minlength=len(keys))
         _, column, often = np.unique(hashes, return_inverse=True, return_counts=True)
         held = often[column] > 1
         column, owner = column[held], owner[held]
         order = np.argsort(column, kind="stable")
         column, owner = column[order], owner[order]
         column = np.cumsum(np.concatenate([[0], np.diff(column) != 0])) if len(column) else column
-        both = np.zeros((n, n), dtype=np.float32)
+        sides = [np.flatnonzero(left), np.flatnonzero(~left)]
+        place = np.empty(len(keys), dtype=np.int64)
+        for side in sides:
+            place[side] = np.arange(len(side))
+        x, y = sides
+        both = np.zeros((len(x), len(y)), dtype=np.float32)
         at = 0
         while at < len(column):
-            stop = int(np.searchsorted(column, column[at] + 2048))
-            grid = np.zeros((n, 2048), dtype=np.float32)
-            grid[owner[at:stop], column[at:stop] - column[at]] = 1
-            both += grid @ grid.T
+            stop = int(np.searchsorted(column, column[at] + 1024))
+            grids = []
+            for side, mine in zip(sides, (left[owner[at:stop]], ~left[owner[at:stop]]), strict=True):
+                grid = np.zeros((len(side), 1024), dtype=np.float32)
+                grid[place[owner[at:stop][mine]], column[at:stop][mine] - column[at]] = 1
+                grids.append(grid)
+            both += grids[0] @ grids[1].T
             at = stop
-        linked = (100 * both >= percent * (sizes[:, None] + sizes[None, :] - both)) & (comps[:, None] != comps[None, :])
-        x, y = np.nonzero(np.triu(linked, 1))
+        linked = (100 * both >= percent * (sizes[x][:, None] + sizes[y][None, :] - both)) & (comps[x][:, None] != comps[y][None, :])
         head = {c: c for c in comps.tolist()}
 
         def top(c: int) -> int:
@@ -208,16 +243,52 @@ def _between(k: int, percent: int):
             return c
 
         out = []
-        for i, j in zip(x.tolist(), y.tolist(), strict=True):
-            p, q = top(int(comps[i])), top(int(comps[j]))
+        for i, j in zip(*(side.tolist() for side in np.nonzero(linked)), strict=True):
+            p, q = top(int(comps[x[i]])), top(int(comps[y[j]]))
             if p != q:
                 head[max(p, q)] = min(p, q)
-                out.append((int(keys[i]), int(keys[j])))
+                out.append((int(keys[x[i]]), int(keys[y[j]])))
         return pa.table({"a": pa.array([o[0] for o in out], pa.int64()), "b": pa.array([o[1] for o in out], pa.int64())})
 
     return run
 
 
+def _across(shared: DataFrame, heads: DataFrame, found: DataFrame, docs: DataFrame, k: int, percent: int, limit: int) -> DataFrame:
+    """(a, b): the links within buckets that no leader saw.
+
+    Only buckets that still hold several components are looked at, and of those with the same members one.  A link that
+    is left has an end outside the bucket's largest component, so the documents out there, in blocks, meet all of the
+    bucket's, in blocks.  Sketches and sizes drop nearly all of them before a text is read.
+    """
+    seen = shared.join(found, "key", "left").select("bucket", "key", F.coalesce("component", "key").alias("component"))
+    seen = stash(seen.join(heads.select("key", "n_shingles"), "key"), "seen")
+    mark = [F.bit_xor(F.xxhash64(F.lit(salt), "key")).alias(f"m{salt}") for salt in (1, 2)]
+    by = seen.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("c"), F.sum("n_shingles").alias("s"), *mark)
+    by = by.groupBy("bucket").agg(
+        F.count(F.lit(1)).alias("kinds"), F.sum("c").alias("n"), F.sum("s").alias("s"), F.bit_xor("m1").alias("m1"), F.bit_xor("m2").alias("m2"), F.max(F.struct("c", "component", "s")).alias("main")
+    )
+    mixed = by.where("kinds > 1 and n > 2").dropDuplicates(["n", "m1", "m2"])
+    blocks = lambda count, shingles: F.ceil(F.greatest(count / F.lit(BLOCK), shingles / F.lit(BLOCK_SHINGLES))).cast("int")
+    mixed = mixed.select("bucket", "n", F.col("main.component").alias("main"), blocks(F.col("n"), F.col("s")).alias("all_blocks"), blocks(F.col("n") - F.col("main.c"), F.col("s") - F.col("main.s")).alias("few_blocks"))
+    mixed = stash(mixed, "mixed")
+    rows = spread(seen.select("bucket", "key", "component", "n_shingles"), mixed, ["bucket"])
+    at = lambda salt, n: F.pmod(F.xxhash64(F.lit(salt), "key"), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    few = rows.where("component <> main").withColumn("i", at(3, "few_blocks")).withColumn("j", every("all_blocks")).withColumn("left", F.lit(True))
+    whole = rows.withColumn("j", at(4, "all_blocks")).withColumn("i", every("few_blocks")).withColumn("left", F.lit(False))
+    names = ["bucket", "i", "j", "left", "key", "component", "n_shingles"]
+    meet = few.select(names).unionAll(whole.select(names)).join(heads.select("key", "sketch"), "key").select(*names, "sketch")
+    kinds = "bucket long, i int, j int, left boolean, key long, component long"
+    close = stash(meet.groupBy("bucket", "i", "j").applyInArrow(_suspects(percent, limit), kinds), "suspects")
+    ids = stash(close.select("key").distinct(), "ids")
+    texts = docs.join(small(ids, 40), "key", "left_semi")
+    meet = close.join(texts, "key").select("bucket", "i", "j", "left", "key", "component", "text")
+    out = stash(meet.groupBy("bucket", "i", "j").applyInArrow(_between(k, percent), "a long, b long"), "more")
+    for used in (seen, mixed, close, ids):
+        release(used)
+    return out
+
+
 def near_groups(docs: DataFrame, k: int = SHINGLE_WORDS, percent: int = 80, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """(key, text) with unique keys -> (key, n_shingles, component, kept).
 
@@ -226,47 +297,36 @@ def near_groups(docs: DataFrame, k: int = SHINGLE_WORDS, percent: int = 80, band
     100 * |intersection| >= percent * |union|; ``component`` is the smallest key reachable.
     """
     sigs = stash(signatures(docs, k, bands, rows), "sigs")
-    classes = sigs.where("n_shingles > 0").groupBy("n_shingles", "set_a", "set_b").agg(F.min("key").alias("head"))
-    member = stash(sigs.select("key", "n_shingles", "set_a", "set_b").join(classes, ["n_shingles", "set_a", "set_b"]).select("key", "head"), "heads")
-    heads = sigs.join(member.where("key = head").select("key"), "key", "left_semi")
-    heads = stash(heads.select("key", "sketch", "bands"), "reps")
+    identity = ["n_shingles", "set_a", "set_b"]
+    full = sigs.where("n_shingles > 0")
+    classes = stash(full.groupBy(*identity).agg(F.min("key").alias("head"), F.count(F.lit(1)).alias("n")).where("n > 1"), "classes")
+    member = spread(full.select("key", *identity), classes, identity, "left").select("key", F.coalesce("head", "key").alias("head"))
+    member = stash(member, "heads")
+    heads = full.join(member.where("key = head").select("key"), "key", "left_semi")
+    heads = stash(heads.select("key", "n_shingles", "sketch", "bands"), "reps")
     loose = heads.select("key", "bands").mapInArrow(_unpack, "bucket long, key long")
-    lead = loose.groupBy("bucket").agg(F.min("key").alias("lead"), F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket", "lead")
-    shared = stash(loose.join(lead, "bucket"), "buckets")
+    lead = stash(loose.groupBy("bucket").agg(F.min("key").alias("lead"), F.count(F.lit(1)).alias("n")).where("n > 1"), "leads")
+    shared = stash(spread(loose, lead, ["bucket"]).select("bucket", "key", "lead"), "buckets")
+    for used in (classes, lead):
+        release(used)
 
-    sketch = heads.select("key", "sketch")
     limit = most_parity(bands * rows, percent / 100)
-
-    def confirmed(pairs: DataFrame) -> DataFrame:
-        """(a, b) -> (a, b, linked); pairs whose sketches differ too much are told apart without their texts."""
-        x, y = sketch.toDF("a", "sx"), sketch.toDF("b", "sy")
-        near = pairs.join(x, "a").join(y, "b").select("a", "b", _parity("sx", "sy").alias("off"))
-        near = stash(near.where(F.col("off") <= limit).select("a", "b"), "near")
-        ids = stash(near.select(F.col("a").alias("key")).unionAll(near.select(F.col("b").alias("key"))).distinct(), "ids")
-        texts = stash(docs.join(small(ids, 40), "key", "left_semi"), "texts")
-        full = near.join(texts.toDF("a", "ta"), "a").join(texts.toDF("b", "tb"), "b").select("a", "b", "ta", "tb")
-        out = stash(full.mapInArrow(_confirm(k, percent), "a long, b long, linked boolean"), "checked")
-        for used in (ids, texts, near):
-            release(used)
-        return out
-
-    first = stash(shared.where("key <> lead").select(F.col("lead").alias("a"), F.col("key").alias("b")).distinct(), "pairs")
-    checked = confirmed(first)
-    links = checked.where("linked").select("a", "b")
-    found = stash(components(links), "found")
-
-    # buckets that hold more than one component: the remaining pairs, block by block
-    seen = shared.join(found, "key", "left").select("bucket", "key", F.coalesce("component", "key").alias("component"))
-    mixed = seen.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi and n > 2").select("bucket", "n")
-    seen = stash(seen.join(mixed, "bucket"), "mixed")
-    ids = stash(seen.select("key").distinct(), "ids")
-    texts = docs.join(small(ids, 40), "key", "left_semi")
-    blocks = F.ceil(F.col("n") / F.lit(BLOCK)).cast("int")
-    seen = seen.withColumn("own", F.pmod(F.xxhash64("key"), blocks).cast("int"))
-    seen = seen.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1))).withColumns({"lo": F.least("own", "other"), "hi": F.greatest("own", "other")})
-    meet = seen.select("bucket", "lo", "hi", "key", "component").join(texts, "key").select("bucket", "lo", "hi", "key", "component", "text")
-    more = stash(meet.groupBy("bucket", "lo", "hi").applyInArrow(_between(k, percent), "a long, b long"), "more")
-    final = components(links.unionAll(more))
+    x, y = (heads.select("key", "n_shingles", "sketch").toDF(side, f"n{side}", f"s{side}") for side in "ab")
+    first = shared.where("key <> lead").select(F.col("lead").alias("a"), F.col("key").alias("b")).distinct()
+    near = first.join(x, "a").join(y, "b").where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb"))
+    # pairs whose sketches differ too much are told apart without their texts
+    near = stash(near.select("a", "b", _parity("sa", "sb").alias("off")).where(F.col("off") <= limit).select("a", "b"), "near")
+    ids = stash(near.select(F.col("a").alias("key")).unionAll(near.select(F.col("b").alias("key"))).distinct(), "ids")
+    texts = stash(docs.join(small(ids, 40), "key", "left_semi"), "texts")
+    pairs = near.join(texts.toDF("a", "ta"), "a").join(texts.toDF("b", "tb"), "b").select("a", "b", "ta", "tb")
+    checked = stash(pairs.mapInArrow(_confirm(k, percent), "a long, b long, linked boolean").where("linked").select("a", "b"), "checked")
+    for used in (near, ids, texts):
+        release(used)
+    found = stash(components(checked), "found")
+    more = _across(shared, heads, found, docs, k, percent, limit)
+    final = found if more.isEmpty() else stash(components(checked.unionAll(more)), "found")
+    for used in (shared, heads, checked, more):
+        release(used)
 
     out = sigs.select("key", "n_shingles").join(member, "key", "left").join(final.withColumnRenamed("key", "head"), "head", "left")
     out = out.select("key", "n_shingles", F.coalesce("component", "head", "key").alias("component"))
@@ -275,7 +335,7 @@ def near_groups(docs: DataFrame, k: int = SHINGLE_WORDS, percent: int = 80, band
 
 
 def _parity(a: str, b: str):
-    """Bits that differ between two equally long binary columns, JVM-side."""
+    """Bits that differ between two equally long binary columns."""
     from pyspark.sql.pandas.functions import pandas_udf
 
     @pandas_udf("int")
