@@ -1,6 +1,7 @@
 """Line dedup by pairwise alignment of documents that share runs of lines.
 
-Lines are known by hashes.  A run is the shortest row of consecutive lines, from a line on or up to a line, that has
+Lines are known by hashes of 64 bits, which are compared within a pair of documents only; runs, which are looked up in
+the whole corpus, have 128.  A run is the shortest row of consecutive lines, from a line on or up to a line, that has
 at least ``MIN_WORDS`` words; runs of one document may overlap.  Every run that several documents have, however many,
 pairs each of its documents with the first one that has it: as many pairs as places, never all pairs of a group.
 Each pair is aligned with patience diff on its line hashes alone: equal lines at both ends are matched, then lines that
@@ -31,7 +32,7 @@ MIN_WORDS = 8
 
 
 def _lines(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Begin and stop byte of each line, blanks at its ends left off, and the first line of each text (n+1)."""
+    """Begin and stop byte of each line and the first line of each text (n+1)."""
     data, offsets = data[int(offsets[0]) : int(offsets[-1])], offsets - offsets[0]
     rows = len(offsets) - 1
     brk = np.flatnonzero(data == 0x0A)
@@ -68,8 +69,8 @@ def _line_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), flat.pack(h, first), flat.pack(n.astype(np.int32), first)], names=["key", "hashes", "sizes"])
 
 
-def runs(h: np.ndarray, n: np.ndarray, first: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """First line, last line and hash of each run of texts with the line hashes h, words n and bounds first (n+1).
+def runs(h: np.ndarray, n: np.ndarray, first: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """First line, last line and both hashes of each run of texts with the line hashes h, words n and bounds first (n+1).
 
     Runs begin and end at lines with words.  Those from each line on and those up to each line cover every block of
     ``least`` words or more without leaving it.
@@ -84,22 +85,25 @@ def runs(h: np.ndarray, n: np.ndarray, first: np.ndarray, least: int) -> tuple[n
     both = np.unique(np.concatenate([line[down] * m + to[down], since[up] * m + line[up]]))
     begin, last = both // max(1, m), both % max(1, m)
     power, inverse = flat._power_tables(m + 1)
-    sums = np.concatenate([np.zeros(1, dtype=np.uint64), np.cumsum((h + np.uint64(1)) * power[:m])])
-    return begin, last, flat.mix((sums[last + 1] - sums[begin]) * inverse[begin], 8)
+    both_hashes = []
+    for salt in (8, 9):
+        sums = np.concatenate([np.zeros(1, dtype=np.uint64), np.cumsum(flat.mix(h, salt) * power[:m])])
+        both_hashes.append(flat.mix((sums[last + 1] - sums[begin]) * inverse[begin], salt))
+    return begin, last, *both_hashes
 
 
 def _run_places(least: int):
-    """(run, key, begin, last): runs of each document by the numbers of their lines."""
+    """(run, check, key, begin, last): runs of each document by two hashes and the numbers of their lines."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, at = flat.buffers(batch.column(1))
             sizes, _ = flat.buffers(batch.column(2))
             first = at // 8
-            begin, last, h = runs(np.frombuffer(data.tobytes(), dtype=np.uint64), np.frombuffer(sizes.tobytes(), dtype=np.int32), first, least)
+            begin, last, h, check = runs(np.frombuffer(data.tobytes(), dtype=np.uint64), np.frombuffer(sizes.tobytes(), dtype=np.int32), first, least)
             owner = np.searchsorted(first, begin, side="right") - 1
             begin, last = (begin - first[owner]).astype(np.int32), (last - first[owner]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(flat.signed(h)), pa.array(batch.column(0).to_numpy()[owner]), pa.array(begin), pa.array(last)], names=["run", "key", "begin", "last"])
+            yield pa.RecordBatch.from_arrays([pa.array(flat.signed(h)), pa.array(flat.signed(check)), pa.array(batch.column(0).to_numpy()[owner]), pa.array(begin), pa.array(last)], names=["run", "check", "key", "begin", "last"])
 
     return run
 
@@ -187,11 +191,15 @@ def _align(least: int):
 def repeated_lines(docs: DataFrame, least: int = MIN_WORDS) -> DataFrame:
     """(key, text) -> (key, gone): numbers of the lines to delete, for documents that lose any."""
     table = stash(docs.select("key", "text").mapInArrow(_line_rows, "key long, hashes binary, sizes binary"), "lines")
-    places = stash(table.mapInArrow(_run_places(least), "run long, key long, begin int, last int"), "places")
-    firsts = places.groupBy("run").agg(F.min("key").alias("first"), F.max("key").alias("end")).where("first < end").select("run", "first")
+    places = stash(table.mapInArrow(_run_places(least), "run long, check long, key long, begin int, last int"), "places")
+    run = ["run", "check"]
+    firsts = places.groupBy(*run).agg(F.min("key").alias("first"), F.max("key").alias("end"), F.count(F.lit(1)).alias("n")).where("first < end")
+    firsts = stash(firsts.select(*run, "first", "n"), "firsts")
     span = F.shiftleft(F.col("begin").cast("long"), 32) + F.col("last")
-    pairs = stash(places.join(firsts, "run").where("key <> first").groupBy("key", "first").agg(F.collect_list(span).alias("spans")), "aligned")
-    release(places)
+    met = spread(places, firsts, run).where("key <> first")
+    pairs = stash(met.groupBy("key", "first").agg(F.collect_set(span).alias("spans")), "aligned")
+    for used in (places, firsts):
+        release(used)
     both = pairs.join(table, "key").join(table.select(F.col("key").alias("first"), F.col("hashes").alias("other")), "first").select("key", "hashes", "sizes", "other", "spans")
     found = both.mapInArrow(_align(least), "key long, gone array<int>")
     out = stash(found.groupBy("key").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("gone")))).alias("gone")), "gone")
