@@ -1,6 +1,6 @@
 """Substring dedup: repeated windows of words, found by rolling hashes and removed after their first place.
 
-Every window of ``size`` words has a rolling hash.  Most windows occur once, and shuffling them all would move
+Every window of ``size`` words has a rolling hash (of 128 bits where windows of the whole corpus meet).  Most windows occur once, and shuffling them all would move
 several times the input.  So each window is first known by the smallest hash among its short grams: equal
 windows have equal smallest grams, and runs of neighbouring windows share one.  Only the distinct smallest grams
 are counted over the corpus; a window is counted itself if its gram is in another document too, or if its hash
@@ -41,17 +41,23 @@ def _sliding_min(values: np.ndarray, width: int) -> np.ndarray:
     return out
 
 
-def _windows(words: flat.Words, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Of each window: its row, first word (in the row), hash and smallest gram."""
+def _windows(words: flat.Words, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of each window: its row, first word (in the row) and smallest gram."""
     at = flat.gram_starts(words.first, size)
     owner = words.owners()[at]
     if not len(at):
-        none = np.zeros(0, dtype=_U)
-        return owner, at, none, none
+        return owner, at, np.zeros(0, dtype=_U)
     short = min(GRAM, size)
-    whole = flat.grams(words.hashes, size)[at]
     least = _sliding_min(flat.grams(words.hashes, short), size - short + 1)[at]
-    return owner, at - words.first[owner], whole, least
+    return owner, at - words.first[owner], least
+
+
+def _identity(words: flat.Words, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Two hashes of each window, in the order of :func:`_windows`."""
+    at = flat.gram_starts(words.first, size)
+    if not len(at):
+        return np.zeros(0, dtype=_U), np.zeros(0, dtype=_U)
+    return flat.grams(words.hashes, size)[at], flat.grams(flat.mix(words.hashes, 17), size)[at]
 
 
 def _distinct_grams(owner: np.ndarray, least: np.ndarray, rows: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -72,7 +78,7 @@ def _anchors(size: int):
         for batch in batches:
             keys = batch.column(0).to_numpy()
             for i, j, words in flat.word_runs(batch.column(1), "space", False):
-                owner, _, _, least = _windows(words, size)
+                owner, _, least = _windows(words, size)
                 who, value, number, _ = _distinct_grams(owner, least, j - i)
                 yield pa.RecordBatch.from_arrays([pa.array(flat.signed(value)), pa.array(keys[i + who]), pa.array(number.astype(np.int32))], names=["anchor", "key", "number"])
 
@@ -97,9 +103,10 @@ def _candidates(size: int):
             bits = entries.field("bits").to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
             for i, j, words in flat.word_runs(batch.column(1), "space", False):
                 rows = j - i
-                owner, at, whole, least = _windows(words, size)
+                owner, at, least = _windows(words, size)
                 if not len(owner):
                     continue
+                whole, check = _identity(words, size)
                 _, _, number, of_window = _distinct_grams(owner, least, rows)
                 width = np.zeros(rows, dtype=np.int64)
                 np.maximum.at(width, owner, of_window // 64 + 1)
@@ -113,14 +120,14 @@ def _candidates(size: int):
                 same = tag[order][1:] == tag[order][:-1]
                 take[order[1:][same]] = True
                 take[order[:-1][same]] = True
-                h, key, place = flat.signed(whole[take]), keys[i + owner[take]], at[take]
-                order = np.lexsort((place, key, h))
-                h, key, place = h[order], key[order], place[order]
+                h, g, key, place = flat.signed(whole[take]), flat.signed(check[take]), keys[i + owner[take]], at[take]
+                order = np.lexsort((place, key, g, h))
+                h, g, key, place = h[order], g[order], key[order], place[order]
                 again = np.zeros(len(h), dtype=bool)
-                again[1:] = h[1:] == h[:-1]
+                again[1:] = (h[1:] == h[:-1]) & (g[1:] == g[:-1])
                 place = np.where(again, -1 - place, place)
                 own = flat.signed(flat.mix(key.astype(_U) ^ flat.mix(place.astype(_U), 13)))
-                yield pa.RecordBatch.from_arrays([pa.array(np.where(again, own, h)), pa.array(key), pa.array(place.astype(np.int32))], names=["h", "key", "at"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.where(again, own, h)), pa.array(g), pa.array(key), pa.array(place.astype(np.int32))], names=["h", "g", "key", "at"])
 
     return run
 
@@ -150,13 +157,14 @@ def _few(df: DataFrame, bytes_each: str) -> DataFrame:
 def repeated_spans(docs: DataFrame, size: int = WINDOW_WORDS) -> DataFrame:
     """(key, text) -> (key, spans): flat (first, stop) word intervals covered by windows that start earlier elsewhere."""
     grams = stash(docs.select("key", "text").mapInArrow(_anchors(size), "anchor long, key long, number int"), "anchors")
-    often = grams.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("anchor")
-    marked = grams.join(often, "anchor").groupBy("key", F.expr("number div 64").cast("int").alias("chunk")).agg(F.expr("bit_or(shiftleft(1L, number % 64))").alias("bits"))
+    often = stash(grams.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "often")
+    marked = spread(grams, often, ["anchor"]).groupBy("key", F.expr("number div 64").cast("int").alias("chunk")).agg(F.expr("bit_or(shiftleft(1L, number % 64))").alias("bits"))
     marked = stash(marked.groupBy("key").agg(F.collect_list(F.struct("chunk", "bits")).alias("masks")), "marked")
-    release(grams)
-    found = docs.select("key", "text").join(_few(marked, "40 + 16 * size(masks)"), "key", "left").select("key", "text", "masks").mapInArrow(_candidates(size), "h long, key long, at int")
-    # a hash has one row for each slice of the corpus at most, so its rows fit one sorted run
-    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("h").orderBy("key", "at")))
+    for used in (grams, often):
+        release(used)
+    found = docs.select("key", "text").join(_few(marked, "40 + 16 * size(masks)"), "key", "left").select("key", "text", "masks").mapInArrow(_candidates(size), "h long, g long, key long, at int")
+    # equal windows are known by 128 bits; a window has one row for each slice of the corpus at most, so its rows fit one sorted run
+    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("h", "g").orderBy("key", "at")))
     again = ranked.where("rank > 1 or at < 0").select("key", F.expr("if(at < 0, -1 - at, at)").alias("at"))
     out = stash(again.groupBy("key").agg(F.collect_list("at").alias("at")).mapInArrow(_merged(size), "key long, spans array<int>"), "spans")
     release(marked)
