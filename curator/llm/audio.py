@@ -3,7 +3,7 @@
 A payload is stored without loss as an 8-bit mono WAV file, read back from the file's bytes, resampled by a rational
 factor with a polyphase windowed-sinc filter, cut into overlapping frames, and turned into log-mel energies.  Frames
 whose energy passes the upper threshold open a segment, which lasts until the energy falls under the lower one.
-Log-mel frames leave as tensors of fixed shape (``TENSOR_FRAMES`` x ``MELS``) with the time span of each.
+Log-mel frames are stored as an Arrow stream of fixed-shape tensors (``TENSOR_FRAMES`` x ``MELS``) with the time span of each.
 
 Every text is handled by itself, in blocks of frames, so equal texts give equal values wherever they stand and a
 very long one needs no more memory than a block beyond its own bytes.
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from curator.llm import flat
 
-RATE, UP, DOWN = 16000, 1, 2
+RATE, UP, DOWN = 16000, 3, 4
 #: Filter taps of one phase.
 TAPS = 16
 FRAME, HOP, MELS = 256, 128, 40
@@ -166,15 +166,32 @@ class Analysis:
         return out
 
 
-#: Arrow type of one tensor.
+#: Arrow type of one tensor, and what is stored of a document: its tensors and the time that each spans.
 TENSOR = pa.fixed_shape_tensor(pa.float32(), (TENSOR_FRAMES, MELS), dim_names=["frame", "mel"])
+STORED = pa.schema([("tensor", TENSOR), ("begin", pa.float64()), ("end", pa.float64())])
+
+
+def write_tensors(pieces: list[tuple[float, float, np.ndarray]]) -> bytes:
+    """An Arrow stream of the pieces' fixed-shape tensors and spans."""
+    values = pa.FixedSizeListArray.from_arrays(pa.array(np.concatenate([p[2].reshape(-1) for p in pieces])), TENSOR_FRAMES * MELS)
+    columns = [pa.ExtensionArray.from_storage(TENSOR, values), pa.array([p[0] for p in pieces]), pa.array([p[1] for p in pieces])]
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, STORED) as writer:
+        writer.write_batch(pa.RecordBatch.from_arrays(columns, schema=STORED))
+    return sink.getvalue().to_pybytes()
+
+
+def read_tensors(stored: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """The tensors (pieces, TENSOR_FRAMES, MELS) and spans (pieces, 2) of such a stream."""
+    table = pa.ipc.open_stream(stored).read_all().combine_chunks()
+    return table["tensor"].chunk(0).to_numpy_ndarray(), np.stack([table["begin"].to_numpy(), table["end"].to_numpy()], axis=1)
 
 
 def _run(with_media: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = flat.buffers(batch.column(1))
-            for i, j in flat.slices(offsets):
+            for i, j in flat.slices(offsets, 1 << 20):
                 cols: list[list] = [[] for _ in range(11)]
                 for d in range(i, j):
                     text = data[offsets[d] : offsets[d + 1]].tobytes()
@@ -184,14 +201,14 @@ def _run(with_media: bool):
                     row = [len(text), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(stored), hashlib.sha256(stored).hexdigest(), seen.feature()]
                     if with_media:
                         pieces = seen.tensors()
-                        row += [stored, [p[2].reshape(-1) for p in pieces], [{"begin": p[0], "end": p[1]} for p in pieces], [{"first": a, "stop": b} for a, b in seen.segments]]
+                        row += [stored, write_tensors(pieces), [{"begin": p[0], "end": p[1]} for p in pieces], [{"first": a, "stop": b} for a, b in seen.segments]]
                     for c, value in zip(cols, row, strict=False):
                         c.append(value)
                 types = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
                 names = ["n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
                 if with_media:
                     span = pa.struct([("begin", pa.float64()), ("end", pa.float64())])
-                    types += [pa.binary(), pa.list_(pa.list_(pa.float32())), pa.list_(span), pa.list_(pa.struct([("first", pa.int32()), ("stop", pa.int32())]))]
+                    types += [pa.binary(), pa.binary(), pa.list_(span), pa.list_(pa.struct([("first", pa.int32()), ("stop", pa.int32())]))]
                     names += ["media", "tensors", "spans", "segments"]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), *[pa.array(c, t) for c, t in zip(cols, types, strict=False)]], names=["doc_id", *names])
 
@@ -201,17 +218,12 @@ def _run(with_media: bool):
 def audio_features(docs: DataFrame, with_media: bool = True) -> DataFrame:
     """documents -> digests, feature string and, if asked, the stored file, tensors, their spans and segments; map-only.
 
-    Null reads as empty: a payload of 64 zero bytes.  ``tensors`` holds TENSOR_FRAMES x MELS values each, row by row;
-    :func:`tensor_column` gives them as Arrow's fixed-shape tensor type.
+    Null reads as empty: a payload of 64 zero bytes.  ``tensors`` is an Arrow stream of TENSOR_FRAMES x MELS fixed-shape
+    tensors with their spans in seconds, which :func:`read_tensors` reads; ``segments`` are runs of frames.  Every row
+    is handled by itself: repeated rows give repeated results, and other columns are ignored.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
     if with_media:
-        schema += ", media binary, tensors array<array<float>>, spans array<struct<begin:double,end:double>>, segments array<struct<first:int,stop:int>>"
+        schema += ", media binary, tensors binary, spans array<struct<begin:double,end:double>>, segments array<struct<first:int,stop:int>>"
     return rows.mapInArrow(_run(with_media), schema)
-
-
-def tensor_column(values: list) -> pa.Array:
-    """Flat tensors as an Arrow fixed-shape tensor array."""
-    storage = pa.FixedSizeListArray.from_arrays(pa.array(np.concatenate(values) if values else np.zeros(0), pa.float32()), TENSOR_FRAMES * MELS)
-    return pa.ExtensionArray.from_storage(TENSOR, storage)

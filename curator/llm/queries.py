@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from curator.llm.audio import audio_features
 from curator.llm.classlm import language_scores
@@ -48,7 +49,13 @@ def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_audio_features(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return audio_features(documents(spark, sf_dir), with_media=False)
+    """Digests of the stored tensors, their number, and the spans of the first and last; segments as first-stop frames."""
+    seen = audio_features(documents(spark, sf_dir))
+    segments = F.array_join(F.transform("segments", lambda s: F.concat_ws("-", s["first"].cast("string"), s["stop"].cast("string"))), ",")
+    return seen.select(
+        "doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", F.length("media").cast("long").alias("media_bytes"), F.sha2("media", 256).alias("media_sha256"), "feature",
+        F.size("spans").alias("n_tensors"), F.element_at("spans", -1)["end"].alias("seconds"), F.sha2("tensors", 256).alias("tensors_sha256"), segments.alias("segments"),
+    )
 
 
 def op2_unigram_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
