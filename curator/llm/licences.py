@@ -268,7 +268,8 @@ def license_scan(docs: DataFrame, with_spans: bool = True) -> DataFrame:
     """documents -> (doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score[, spans]), map-only.
 
     Words are runs of letters, digits and non-ASCII characters, A-Z lowered.  Null reads as empty: no words, empty
-    labels, null places, score 0.  Spans are character ranges of accepted detections.
+    labels, null places, score 0.  Spans are character ranges of accepted detections.  Rows are scanned one by one,
+    repeated ones alike; other columns are ignored.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     schema = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double"

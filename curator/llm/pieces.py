@@ -294,7 +294,8 @@ def _run(path: str, with_values: bool):
 def encode_decode(docs: DataFrame, path: str | None = None, with_values: bool = True) -> DataFrame:
     """documents -> (doc_id, n_tokens, ids_sha256, decoded_sha256[, ids, decoded]) for every row, map-only.
 
-    Null reads as empty: begin and end ids only.  ``path`` names the model file on every worker.
+    Null reads as empty: begin and end ids only.  ``path`` names the model file on every worker.  Rows are coded one by
+    one, repeated ones alike; other columns are ignored.
     """
     from pyspark.sql import functions as F
 

@@ -180,7 +180,8 @@ def _typed(docs: DataFrame) -> DataFrame:
 def toxicity(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """documents, labels -> (doc_id, held_out, score, predicted) for every row.
 
-    Rows whose crc32(doc_id) mod 4 is 2 are never learned from.  A null doc_id is not held out.
+    Rows whose crc32(doc_id) mod 4 is 2 are never learned from.  A null doc_id is not held out.  Rows are scored one by
+    one, repeated ones alike; a repeated labelled row is learned from as often as it stands in ``docs``.
     """
     fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4
     docs = _typed(docs)
@@ -190,7 +191,7 @@ def toxicity(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -
 
 
 def clean_documents(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The documents that score under the threshold, with all their columns."""
+    """The documents that score under the threshold, with all their columns; null and empty texts have the bias's score."""
     fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4
     typed = _typed(docs)
     shared = docs.sparkSession.sparkContext.broadcast(train(typed, labels.select(F.col("doc_id").cast("long").alias("doc_id"), "toxic"), fold != 2))

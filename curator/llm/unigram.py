@@ -119,7 +119,8 @@ def token_counts(docs: DataFrame, path: str | None = None) -> DataFrame:
     """documents -> (doc_id, n_tokens, n_unknown, best_score) for every row, map-only.
 
     A blank is put before each text that isn't empty and blanks are written as the vocabulary writes them.  Null
-    and empty texts have no token and score 0.  A literal blank mark in a text reads as a blank.
+    and empty texts have no token and score 0.  A literal blank mark in a text reads as a blank.  Rows are counted one by
+    one, repeated ones alike; other columns are ignored.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.replace(F.col("text").cast("string"), F.lit(_SPACE), F.lit(" ")).alias("text"))
     return rows.mapInArrow(_run(path or model_path()), "doc_id long, n_tokens long, n_unknown long, best_score double")
