@@ -16,7 +16,7 @@ import numpy as np
 import pyarrow as pa
 
 #: Bytes of text handled at once, and bytes hashed at once.
-SLICE = 4 << 20
+SLICE = 2 << 20
 CHUNK = 1 << 20
 
 _BASE = 0x9E3779B97F4A7C15

@@ -22,6 +22,8 @@ from curator.llm import flat
 
 MODEL = "piece_bpe_32k.model"
 _SPACE = "▁"
+#: Bytes of text coded at once.
+SLICE = 1 << 20
 _NEVER = np.int32(2**31 - 1)
 
 
@@ -276,7 +278,7 @@ def _run(path: str, with_values: bool):
         v = vocabulary(path)
         for batch in batches:
             data, offsets = flat.buffers(batch.column(1))
-            for i, j in flat.slices(offsets):
+            for i, j in flat.slices(offsets, SLICE):
                 ids, bounds = encode_flat(v, data, offsets[i : j + 1])
                 texts = decode_flat(v, ids, bounds)
                 raw = ids.astype("<u4").tobytes()
