@@ -5,18 +5,19 @@ from __future__ import annotations
 from collections.abc import Callable
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from curator.functions.keyed import SEED, draw
 from curator.functions.text import n_tokens, words
+from curator.functions.workspace import stash
 
 Raters = dict[str, Column]
 
 
 def random(docs: DataFrame, share: float, seed: int = SEED) -> DataFrame:
     """Uniform over the corpus: a keyed threshold, map-only."""
-    return docs.where(draw("doc_id", seed) < share)
+    return docs.where(draw("doc_id", seed, "random") < share)
 
 
 def default_raters(text: str = "text") -> Raters:
@@ -35,12 +36,27 @@ def default_raters(text: str = "text") -> Raters:
     }
 
 
+def code_raters(raters: Raters, text: str = "text") -> Raters:
+    """The adapter to program text: reasoning words and sentence ends make way for nesting, layout and symbols."""
+    t = F.col(text)
+    count = lambda pattern: F.regexp_count(t, F.lit(pattern))
+    opened, closed = count(r"[(\[{]"), count(r"[)\]}]")
+    lines = F.size(F.split(t, "\n"))
+    own = {
+        "balanced": 1 - F.abs(opened - closed) / F.greatest(opened + closed, F.lit(1)),
+        "laid_out": count(r"(?m)^[ \t]+[^ \t\n]") / F.greatest(lines, F.lit(1)),
+        "symbols": F.least(F.lit(1.0), 20 * count(r"[(){};=<>]") / F.greatest(F.length(t), F.lit(1))),
+    }
+    return {n: c for n, c in raters.items() if n not in ("reasoning", "complete")} | own
+
+
 def rated(docs: DataFrame, raters: Raters | None = None, weights: dict[str, float] | None = None, labels: DataFrame | None = None, adapter: Callable[[Raters], Raters] | None = None) -> DataFrame:
     """(doc_id, n_tokens, ratings, rating).  Weights: equal, given, or a logistic fit on quality x (1 - toxic)."""
     raters = raters or default_raters()
     raters = adapter(raters) if adapter else raters
     names = list(raters)
-    out = docs.select("doc_id", n_tokens("text").alias("n_tokens"), *[F.coalesce(raters[n], F.lit(0.0)).cast("double").alias(n) for n in names])
+    # written once: the ratings are read for the fit, the histogram and both parts of the selection
+    out = stash(docs.select("doc_id", n_tokens("text").alias("n_tokens"), *[F.coalesce(raters[n], F.lit(0.0)).cast("double").alias(n) for n in names]), "ratings")
     if labels is not None:
         from pyspark.ml.classification import LogisticRegression
         from pyspark.ml.functions import array_to_vector
@@ -60,7 +76,8 @@ def rated(docs: DataFrame, raters: Raters | None = None, weights: dict[str, floa
 def rating_selector(scored: DataFrame, tokens: float, steps: int = 1000) -> DataFrame:
     """The best rated documents up to a token budget.
 
-    No global sort: a histogram of tokens by rating gives the bin in which the budget ends; only that bin is ordered.
+    A histogram of tokens by rating gives the bin in which the budget ends; only that bin is ordered, by ranges of (rating,
+    id), each with its running sum after the sums of those before, so equal ratings of very many documents are no task's load.
     """
     bin_ = F.least(F.floor(F.col("rating") * steps), F.lit(steps - 1)).cast("int")
     filled, cut = 0.0, -1
@@ -70,11 +87,18 @@ def rating_selector(scored: DataFrame, tokens: float, steps: int = 1000) -> Data
             break
         filled += row["t"]
     sure = scored.where(bin_ > cut)
-    from pyspark.sql import Window
-
-    w = Window.orderBy(F.desc("rating"), "doc_id").rowsBetween(Window.unboundedPreceding, 0)
-    edge = scored.where(bin_ == cut).withColumn("__run", F.sum("n_tokens").over(w)).where(F.col("__run") <= tokens - filled).drop("__run")
-    return sure.unionByName(edge)
+    if cut < 0:
+        return sure
+    ranges = scored.where(bin_ == cut).repartitionByRange(F.desc("rating"), "doc_id").withColumn("__range", F.spark_partition_id())
+    ranges = stash(ranges, "edge")
+    before, begins = 0.0, []
+    for row in sorted(ranges.groupBy("__range").agg(F.sum("n_tokens").alias("t")).collect(), key=lambda r: r["__range"]):  # a row per partition
+        begins.append((row["__range"], before))
+        before += row["t"]
+    begins = scored.sparkSession.createDataFrame(begins, "__range int, __before double")
+    w = Window.partitionBy("__range").orderBy(F.desc("rating"), "doc_id").rowsBetween(Window.unboundedPreceding, 0)
+    edge = ranges.withColumn("__run", F.sum("n_tokens").over(w)).join(F.broadcast(begins), "__range")
+    return sure.unionByName(edge.where(F.col("__before") + F.col("__run") <= tokens - filled).select(scored.columns))
 
 
 def flat_mix(docs: DataFrame, budget_docs: float, kind: str = "natural", domain: str = "source", temperature: float = 2.0, seed: int = SEED) -> DataFrame:
@@ -83,7 +107,7 @@ def flat_mix(docs: DataFrame, budget_docs: float, kind: str = "natural", domain:
     weight = {"natural": F.col("n").cast("double"), "uniform": F.lit(1.0), "temperature": F.pow(F.col("n").cast("double"), F.lit(1 / temperature))}[kind]
     w = sizes.withColumn("w", weight)
     share = w.crossJoin(F.broadcast(w.agg(F.sum("w").alias("all")))).select(domain, F.least(F.lit(1.0), F.lit(float(budget_docs)) * F.col("w") / F.col("all") / F.col("n")).alias("__share"))
-    return docs.join(F.broadcast(share), domain).where(draw("doc_id", seed) < F.col("__share")).drop("__share")
+    return docs.join(F.broadcast(share), domain).where(draw("doc_id", seed, "mix") < F.col("__share")).drop("__share")
 
 
 def domain_counts(docs: DataFrame, domain: str = "source", buckets: int = 4096) -> DataFrame:
@@ -142,7 +166,7 @@ def by_shares(docs: DataFrame, shares: dict, budget_docs: float, domain: str = "
     table = spark.createDataFrame([(d, float(s)) for d, s in shares.items()], f"`{domain}` {docs.schema[domain].dataType.simpleString()}, s double")
     sizes = docs.groupBy(domain).agg(F.count(F.lit(1)).alias("n")).join(F.broadcast(table), domain)
     share = sizes.select(domain, F.least(F.lit(1.0), F.lit(float(budget_docs)) * F.col("s") / F.col("n")).alias("__share"))
-    return docs.join(F.broadcast(share), domain).where(draw("doc_id", seed) < F.col("__share")).drop("__share")
+    return docs.join(F.broadcast(share), domain).where(draw("doc_id", seed, "mix") < F.col("__share")).drop("__share")
 
 
 def rules(docs: DataFrame) -> DataFrame:

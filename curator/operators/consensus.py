@@ -56,6 +56,20 @@ def power(a: np.ndarray, steps: int = 30) -> np.ndarray:
     return v
 
 
+def weights_of(zn: dict[str, np.ndarray], how: str = "spectral", kind: str = "shifted") -> dict[str, float]:
+    """The same as :func:`weights` by Pearson's correlation, for normalised features that are on the driver (a number per cluster)."""
+    if how == "uniform":
+        return dict.fromkeys(FEATURES, 0.25)
+    x = np.array([SIGNS[f] * np.asarray(zn[f], dtype=float) for f in FEATURES])
+    x = x - x.mean(axis=1, keepdims=True)
+    sd = x.std(axis=1)
+    spread = np.outer(sd, sd)
+    rho = np.where(spread > 1e-12, x @ x.T / x.shape[1] / np.where(spread > 1e-12, spread, 1.0), 0.0)
+    np.fill_diagonal(rho, 1.0)
+    a = affinity(rho, kind)
+    return dict(zip(FEATURES, (leading(a) if how == "spectral" else power(a)).tolist(), strict=True))
+
+
 def weights(z: DataFrame, how: str = "spectral", kind: str = "shifted", method: str = "pearson", given: dict[str, float] | None = None) -> dict[str, float]:
     """Weight of each feature.  how: 'spectral', 'power', 'uniform' or 'given'.  Sixteen numbers reach the driver."""
     if how == "given":

@@ -6,6 +6,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -19,36 +20,58 @@ def from_column(df: DataFrame, column: str = "embedding", d: int = 64) -> DataFr
     return df.withColumn("emb", unit(checked, d))
 
 
+#: Bytes of text hashed at once.
+SLICE = 1 << 20
+
+
 def _hashed(d: int, ngram: tuple[int, int], seed: int):
+    odd = [int(x) | 1 for x in np.random.default_rng(seed).integers(1, 1 << 62, ngram[1])]
+
+    def vectors(data: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """Unnormalised vectors of the texts at data[at[i] : at[i + 1]]."""
+        rows = len(at) - 1
+        out = np.zeros(rows * d)
+        b, owner = data.astype(np.uint64), np.repeat(np.arange(rows), np.diff(at))
+        for n in range(ngram[0], ngram[1] + 1):
+            if len(b) < n:
+                continue
+            h = np.zeros(len(b) - n + 1, dtype=np.uint64)
+            for k in range(n):
+                h = (h + b[k : k + len(h)] + np.uint64(1)) * np.uint64(odd[k])
+            h ^= h >> np.uint64(29)
+            h *= np.uint64(0xBF58476D1CE4E5B9)
+            h ^= h >> np.uint64(32)
+            who = owner[: len(h)]
+            inside = who == owner[n - 1 :]
+            h, who = h[inside], who[inside]
+            order = np.lexsort((h, who))
+            h, who = h[order], who[order]
+            first = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (who[1:] != who[:-1])])) if len(h) else np.zeros(0, dtype=np.int64)
+            counts = np.diff(np.append(first, len(h)))
+            h, who = h[first], who[first]
+            sign = np.where(h >> np.uint64(63), 1.0, -1.0)
+            out += np.bincount(who * d + (h % np.uint64(d)).astype(np.int64), weights=sign * np.log1p(counts), minlength=rows * d)
+        return out.reshape(rows, d)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rng = np.random.default_rng(seed)
         for batch in batches:
-            rng = np.random.default_rng(seed)
-            odd = [int(x) | 1 for x in rng.integers(1, 1 << 62, ngram[1])]
-            out = np.zeros((batch.num_rows, d))
-            for row, text in enumerate(batch.column(batch.num_columns - 1).to_pylist()):
-                b = np.frombuffer((text or "").lower().encode(), dtype=np.uint8).astype(np.uint64)
-                for n in range(ngram[0], ngram[1] + 1):
-                    if len(b) < n:
-                        continue
-                    h = np.zeros(len(b) - n + 1, dtype=np.uint64)
-                    for k in range(n):
-                        h = (h + b[k : k + len(h)] + np.uint64(1)) * np.uint64(odd[k])
-                    h ^= h >> np.uint64(29)
-                    h *= np.uint64(0xBF58476D1CE4E5B9)
-                    h ^= h >> np.uint64(32)
-                    values, counts = np.unique(h, return_counts=True)
-                    sign = np.where(values >> np.uint64(63), 1.0, -1.0)
-                    out[row] += np.bincount((values % np.uint64(d)).astype(np.int64), weights=sign * np.log1p(counts), minlength=d)
-            length = np.linalg.norm(out, axis=1, keepdims=True)
-            out = np.divide(out, length, out=np.zeros_like(out), where=length > 0)
-            vectors = pa.ListArray.from_arrays(pa.array(np.arange(0, out.size + 1, d, dtype=np.int32)), pa.array(out.reshape(-1)))
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], vectors], names=[*batch.schema.names[:-1], "emb"])
+            texts = pc.utf8_lower(pc.fill_null(batch.column(batch.num_columns - 1), ""))
+            lengths = np.concatenate([[0], np.cumsum(np.asarray(pc.binary_length(texts)).astype(np.int64))])
+            i = 0
+            while i < batch.num_rows:
+                j = max(i + 1, int(np.searchsorted(lengths, lengths[i] + SLICE, side="right")) - 1)
+                part = np.frombuffer(b"".join(texts.slice(i, j - i).cast(pa.binary()).to_pylist()), dtype=np.uint8)
+                out = vectors(part, lengths[i : j + 1] - lengths[i])
+                length = np.linalg.norm(out, axis=1, keepdims=True)
+                out = np.divide(out, length, out=np.zeros_like(out), where=length > 0)
+                embedded = pa.ListArray.from_arrays(pa.array(np.arange(0, out.size + 1, d, dtype=np.int32)), pa.array(out.reshape(-1)))
+                yield pa.RecordBatch.from_arrays([*[c.slice(i, j - i) for c in batch.columns[:-1]], embedded], names=[*batch.schema.names[:-1], "emb"])
+                i = j
 
     return run
 
 
-def hashed_text(df: DataFrame, d: int = 64, ngram: tuple[int, int] = (3, 4), seed: int = 42, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+def hashed_text(df: DataFrame, d: int = 64, ngram: tuple[int, int] = (3, 5), seed: int = 42, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """Signed feature hashing of character n-grams with log-scaled counts, scaled to length one; empty texts give zeros."""
     source = df.select(*keep, "text")
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema.fields[:-1])

@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from curator.functions.graph import components
+from curator.functions.joins import small, spread
 from curator.functions.text import words
-from curator.functions.workspace import stash
-
-#: A table is broadcast up to so many rows of hashes (16 bytes each).
-SMALL_ROWS = 2_000_000
+from curator.functions.workspace import release, stash
 
 
 def _gram_sets(df: DataFrame, key: str, n: int) -> DataFrame:
@@ -28,32 +27,53 @@ def _gram_hashes(df: DataFrame, key: str, n: int) -> DataFrame:
 def overlap(docs: DataFrame, bench: DataFrame, n: int = 8) -> DataFrame:
     """(doc_id, item_id, overlap): share of an item's distinct n-grams that a document has; only pairs that share any."""
     item = stash(_gram_hashes(bench, "item_id", n), "item-grams")
-    sizes = item.groupBy("item_id").agg(F.count(F.lit(1)).alias("size"))
-    item = F.broadcast(item) if item.count() <= SMALL_ROWS else item
-    hits = _gram_hashes(docs, "doc_id", n).join(item, "g").groupBy("doc_id", "item_id").agg(F.count(F.lit(1)).alias("shared"))
-    return hits.join(F.broadcast(sizes), "item_id").select("doc_id", "item_id", (F.col("shared") / F.col("size")).alias("overlap"))
+    sizes = stash(item.groupBy("item_id").agg(F.count(F.lit(1)).alias("size")), "item-sizes")
+    hits = _gram_hashes(docs, "doc_id", n).join(small(item, 40), "g").groupBy("doc_id", "item_id").agg(F.count(F.lit(1)).alias("shared"))
+    return hits.join(small(sizes, 40), "item_id").select("doc_id", "item_id", (F.col("shared") / F.col("size")).alias("overlap"))
+
 
+def contains(docs: DataFrame, bench: DataFrame, anchor: int = 5) -> DataFrame:
+    """(doc_id, item_id): documents with an item's text verbatim.
 
-def contains(docs: DataFrame, bench: DataFrame) -> DataFrame:
-    """(doc_id, item_id): documents with an item's text verbatim (one pass; for item tables of a few thousand rows)."""
-    items = bench.select("item_id", F.col("text").alias("item"))
-    return docs.select("doc_id", "text").join(F.broadcast(items), F.col("text").contains(F.col("item"))).select("doc_id", "item_id")
+    The words of an item but for its first and last stand as words in every text that contains it: up to ``anchor`` of them,
+    in a row, are looked up among the documents' rows of words, and the texts that meet are searched.  Items of fewer than three
+    words are searched for in every text; they are broadcast if counted as few.
+    """
+    inner = words("item")
+    items = bench.select("item_id", F.col("text").alias("item")).where(F.col("item").isNotNull()).withColumn("inner", F.slice(inner, 2, F.greatest(F.size(inner) - 2, F.lit(0))))
+    items = stash(items.withColumn("g", F.least(F.size("inner"), F.lit(anchor))), "items")
+    sizes = sorted(r[0] for r in items.select("g").distinct().collect())  # at most anchor + 1 numbers
+    docs = docs.select("doc_id", "text").where(F.col("text").isNotNull())
+    out = docs.join(small(items.where("g = 0").select("item_id", "item"), 200), F.col("text").contains(F.col("item"))).select("doc_id", "item_id")
+    for n in (n for n in sizes if n):
+        keyed = items.where(F.col("g") == n).select("item_id", "item", F.xxhash64(F.slice("inner", 1, n)).alias("mark"))
+        keyed = keyed.join(small(stash(keyed.select("mark").distinct(), "marks"), 40), "mark")
+        ws = docs.select("doc_id", "text", words("text").alias("w")).where(F.size("w") >= n)
+        marks = F.array_distinct(F.transform(F.sequence(F.lit(0), F.size("w") - n), lambda i: F.xxhash64(F.slice("w", i + 1, F.lit(n)))))
+        met = ws.select("doc_id", F.explode(marks).alias("mark")).join(small(stash(keyed, "anchors"), 400), "mark").select("doc_id", "item_id", "item")
+        out = out.unionAll(met.join(docs, "doc_id").where(F.col("text").contains(F.col("item"))).select("doc_id", "item_id"))
+    return out
 
 
 def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 8, threshold: float = 0.5, mode: str = "ngram") -> tuple[DataFrame, DataFrame]:
     """Documents kept, and the audit of those that left.
 
-    mode: 'ngram' (an item's grams by share), 'contains' (verbatim), 'minhash' (a document near to an item as a whole).
+    mode: 'ngram' (an item's grams by share), 'contains' (verbatim), 'minhash' (a document near to an item as a whole:
+    candidates share a band of minima, and the similarity is that of the whole gram sets).
     """
     if mode == "contains":
         audit = contains(docs, bench).withColumn("overlap", F.lit(1.0))
     elif mode == "ngram":
         audit = overlap(docs, bench, n).where(F.col("overlap") >= threshold)
     else:
-        both = docs.select(F.col("doc_id").alias("id"), "text", F.lit(0).alias("side")).unionByName(bench.select((-1 - F.col("item_id")).alias("id"), "text", F.lit(1).alias("side")))
-        sig = minhash(both.select(F.col("id").alias("doc_id"), "text"), n=3)
-        near = near_pairs(sig, threshold=threshold).where("(a < 0) <> (b < 0)")
-        audit = near.select(F.greatest("a", "b").alias("doc_id"), (-1 - F.least("a", "b")).alias("item_id"), F.col("similarity").alias("overlap"))
+        hashes, bands = 64, 32  # bands of two: pairs of 0.5 are missed once in ten thousand
+        ours, theirs = stash(_gram_sets(docs, "doc_id", 3), "grams"), stash(_gram_sets(bench, "item_id", 3), "item-grams")
+        marked = stash(_buckets(_minima(theirs, "item_id", hashes), "item_id", bands), "item-buckets")
+        pairs = stash(_buckets(stash(_minima(ours, "doc_id", hashes), "sig"), "doc_id", bands).join(small(marked, 40), "bucket").select("doc_id", "item_id").distinct(), "pairs")
+        a, b = ours.withColumnRenamed("grams", "ga"), theirs.withColumnRenamed("grams", "gb")
+        both = pairs.join(a, "doc_id").join(b, "item_id").select("doc_id", "item_id", F.size(F.array_intersect("ga", "gb")).alias("both"), (F.size("ga") + F.size("gb")).alias("sum"))
+        audit = both.select("doc_id", "item_id", (F.col("both") / (F.col("sum") - F.col("both"))).alias("overlap")).where(F.col("overlap") >= threshold)
+    audit = stash(audit, "audit")
     return docs.join(audit.select("doc_id").distinct(), "doc_id", "left_anti"), audit
 
 
@@ -64,45 +84,66 @@ def dedup_exact(docs: DataFrame) -> DataFrame:
     return marked.join(first, "doc_id", "left_semi").drop("__mark")
 
 
-def minhash(docs: DataFrame, hashes: int = 32, n: int = 3) -> DataFrame:
-    """(doc_id, sig): minima of ``hashes`` keyed hashes over the distinct n-word grams, in built-in functions."""
-    grams = _gram_hashes(docs, "doc_id", n)
-    return grams.groupBy("doc_id").agg(F.array(*[F.min(F.xxhash64(F.lit(i), "g")) for i in range(hashes)]).alias("sig"))
+def _minima(sets: DataFrame, key: str, hashes: int) -> DataFrame:
+    """(key, sig): minima of ``hashes`` keyed hashes over the grams of each set."""
+    grams = sets.select(key, F.explode("grams").alias("g"))
+    return grams.groupBy(key).agg(F.array(*[F.min(F.xxhash64(F.lit(i), "g")) for i in range(hashes)]).alias("sig"))
 
 
-def candidates(sig: DataFrame, bands: int = 8) -> DataFrame:
-    """(a, b): each document of a bucket with the bucket's first (two that meet only in buckets led by others have no row)."""
-    rows = int(sig.select(F.size("sig")).limit(1).first()[0]) // bands if not sig.isEmpty() else 1
-    keys = F.array(*[F.xxhash64(F.lit(b), F.slice("sig", b * rows + 1, rows)) for b in range(bands)])
-    buckets = sig.select("doc_id", F.explode(keys).alias("bucket"))
-    lead = buckets.groupBy("bucket").agg(F.min("doc_id").alias("a"), F.count(F.lit(1)).alias("c")).where("c > 1").select("bucket", "a")
-    return buckets.join(lead, "bucket").where("doc_id <> a").select("a", F.col("doc_id").alias("b")).distinct()
+def minhash(docs: DataFrame, hashes: int = 64, n: int = 5) -> DataFrame:
+    """(doc_id, sig): minima of ``hashes`` keyed hashes over the distinct n-word grams, in built-in functions."""
+    return _minima(_gram_sets(docs, "doc_id", n), "doc_id", hashes)
 
 
-def near_pairs(sig: DataFrame, bands: int = 8, threshold: float = 0.7) -> DataFrame:
-    """(a, b, similarity): candidates of which enough minima agree."""
-    sig = stash(sig, "sig")
-    x, y = sig.select(F.col("doc_id").alias("a"), F.col("sig").alias("sa")), sig.select(F.col("doc_id").alias("b"), F.col("sig").alias("sb"))
-    same = F.size(F.filter(F.zip_with("sa", "sb", lambda p, q: p == q), lambda e: e)) / F.size("sa")
-    return candidates(sig, bands).join(x, "a").join(y, "b").select("a", "b", same.alias("similarity")).where(F.col("similarity") >= threshold)
+def _buckets(sig: DataFrame, key: str, bands: int) -> DataFrame:
+    """(key, bucket): a row for each band of minima."""
+    rows = F.size("sig") / bands
+    keys = F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.xxhash64(b, F.slice("sig", (b * rows + 1).cast("int"), rows.cast("int"))))
+    return sig.select(key, F.explode(keys).alias("bucket"))
 
 
-def dedup_near(docs: DataFrame, hashes: int = 64, bands: int = 16, threshold: float = 0.8, n: int = 5) -> DataFrame:
-    """One survivor (lowest id) per group of near copies: candidates by bands, decided on the whole sets of n-word grams.
+def near_links(docs: DataFrame, hashes: int = 64, bands: int = 16, threshold: float = 0.8, n: int = 5, rounds: int = 40) -> DataFrame:
+    """(key, component) of the documents (unique ids) linked with others: their sets of n-word grams have that similarity.
 
-    Groups are found by repeated least labels until none moves, each round a written table.
+    Documents of a bucket (equal minima in a band) are candidates.  First all meet the bucket's first; then, while a bucket
+    holds several components, documents outside its largest one lead in turn, twice as many each round, until every one
+    of them has met the whole bucket.  So all pairs of a bucket that could still join components are judged, on whole sets.
     """
-    found = stash(candidates(stash(minhash(docs, hashes, n), "sig"), bands), "candidates")
-    sets = _gram_sets(docs, "doc_id", n)
+    sets = stash(_gram_sets(docs, "doc_id", n), "grams")
+    sig = stash(_minima(sets, "doc_id", hashes), "sig")
+    buckets = stash(_buckets(sig, "doc_id", bands), "buckets")
+    sizes = stash(buckets.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("lead")).where("n > 1"), "leads")
+    shared = stash(spread(buckets, sizes, ["bucket"]).select("bucket", "doc_id", "lead"), "shared")
     x, y = sets.select(F.col("doc_id").alias("a"), F.col("grams").alias("ga")), sets.select(F.col("doc_id").alias("b"), F.col("grams").alias("gb"))
-    judged = found.join(x, "a").join(y, "b").select("a", "b", F.size(F.array_intersect("ga", "gb")).alias("both"), (F.size("ga") + F.size("gb")).alias("sum"))
-    pairs = stash(judged.where(F.col("both") >= F.lit(threshold) * (F.col("sum") - F.col("both"))).select("a", "b"), "near")
-    both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    label = stash(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("l")), "labels")
-    while True:
-        seen = both.join(label.select(F.col("a").alias("b"), "l"), "b").groupBy("a").agg(F.min("l").alias("m"))
-        new = stash(label.join(seen, "a").select("a", F.least("l", "m").alias("l"), (F.col("m") < F.col("l")).alias("moved")), "labels")
-        label = new.select("a", "l")
-        if new.where("moved").isEmpty():
-            break
-    return docs.join(label.where("l <> a").select(F.col("a").alias("doc_id")), "doc_id", "left_anti")
+
+    def judged(pairs: DataFrame) -> DataFrame:
+        alike = F.least(F.size("ga"), F.size("gb")) >= F.lit(threshold) * F.greatest(F.size("ga"), F.size("gb"))
+        both = pairs.distinct().join(x, "a").join(y, "b").where(alike).select("a", "b", F.size(F.array_intersect("ga", "gb")).alias("both"), (F.size("ga") + F.size("gb")).alias("sum"))
+        return both.where(F.col("both") >= F.lit(threshold) * (F.col("sum") - F.col("both"))).select("a", "b")
+
+    links = stash(judged(shared.where("doc_id <> lead").select(F.col("lead").alias("a"), F.col("doc_id").alias("b"))), "near")
+    met = stash(shared.select("bucket", F.col("lead").alias("doc_id")).distinct(), "met")
+    for turn in range(rounds):
+        found = stash(components(links), "found")
+        seen = shared.select("bucket", "doc_id").join(found.withColumnRenamed("key", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+        by = seen.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("c")).groupBy("bucket").agg(F.max(F.struct("c", "component")).alias("main"), F.count(F.lit(1)).alias("kinds"), F.sum("c").alias("n"))
+        mixed = stash(by.where("kinds > 1").select("bucket", F.col("main.component").alias("main"), "n"), "mixed")
+        rest = stash(spread(seen, mixed, ["bucket"]), "rest")
+        order = Window.partitionBy("bucket").orderBy("doc_id")
+        leads = rest.where("component <> main").join(met, ["bucket", "doc_id"], "left_anti").withColumn("turn", F.row_number().over(order)).where(F.col("turn") <= 2**turn)
+        leads = stash(leads.select("bucket", "doc_id", "component"), "leaders")
+        if leads.isEmpty():
+            return found
+        lead = leads.select("bucket", F.col("doc_id").alias("lead"), F.col("component").alias("own"))
+        pairs = rest.join(lead, "bucket").where("component <> own").select(F.least("lead", "doc_id").alias("a"), F.greatest("lead", "doc_id").alias("b"))
+        links = stash(links.unionAll(judged(pairs)), "near")
+        met = stash(met.unionAll(leads.select("bucket", "doc_id")), "met")
+        for used in (mixed, rest):
+            release(used)
+    raise RuntimeError("near copies did not settle")
+
+
+def dedup_near(docs: DataFrame, hashes: int = 64, bands: int = 16, threshold: float = 0.8, n: int = 5) -> DataFrame:
+    """One survivor (lowest id) per group of near copies; ids are unique, texts without words are kept."""
+    found = near_links(docs, hashes, bands, threshold, n)
+    return docs.join(found.where("key <> component").select(F.col("key").alias("doc_id")), "doc_id", "left_anti")

@@ -1,7 +1,8 @@
 """K-means on the unit sphere: one scan per iteration serves all numbers of clusters at once.
 
 A task multiplies its Arrow batches with the stacked centres of every resolution and sends back one partial sum per
-centre; only centres, never samples, reach the driver.  Ties go to the lowest cluster number.
+centre; only centres, and of each resolution the one sample farthest from its centre, reach the driver.  Ties go to the
+lowest cluster number.  ``metric`` 'l2' takes plain distances and means instead.
 """
 
 from __future__ import annotations
@@ -31,12 +32,12 @@ def probe_sample(feats: DataFrame, fraction: float = 0.2, seed: int = SEED, cap:
     if cap is not None:
         n = feats.count()
         fraction = min(fraction, cap / n) if n else fraction
-    return feats.where(draw("doc_id", seed) < fraction)
+    return feats.where(draw("doc_id", seed, "probe") < fraction)
 
 
 def seed_rows(probe: DataFrame, k: int, seed: int = SEED, how: str = "hash", rounds: int = 4) -> np.ndarray:
     """k starting centres: the k smallest keyed hashes, or spread out by oversampling far samples ('parallel')."""
-    first = probe.select("emb", key32("doc_id", seed).alias("h"), "doc_id").orderBy("h", "doc_id").limit(k)
+    first = probe.select("emb", key32("doc_id", seed, "seeds").alias("h"), "doc_id").orderBy("h", "doc_id").limit(k)
     rows = [r["emb"] for r in first.collect()]  # k vectors
     if how == "hash" or len(rows) < 2:
         return np.array(rows)
@@ -47,7 +48,8 @@ def seed_rows(probe: DataFrame, k: int, seed: int = SEED, how: str = "hash", rou
         if total <= 0:
             break
         chance = F.col("cost") * F.lit(2.0 * k / rounds / total)
-        picked = scored.where(draw("doc_id", seed + 1 + step) < chance).select("emb", draw("doc_id", seed + 1 + step).alias("u")).orderBy("u").limit(4 * k)
+        u = draw("doc_id", seed + 1 + step, "seeds")
+        picked = scored.where(u < chance).select("emb", u.alias("u")).orderBy("u").limit(4 * k)
         more = [r["emb"] for r in picked.collect()]
         chosen = np.concatenate([chosen, np.array(more)]) if more else chosen
     if len(chosen) < k:
@@ -65,59 +67,74 @@ def seed_rows(probe: DataFrame, k: int, seed: int = SEED, how: str = "hash", rou
     return chosen[take]
 
 
-def _nearest(x: np.ndarray, mu: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Nearest centre (highest cosine, lowest number on ties) and the distance to it, by differences."""
+def _nearest(x: np.ndarray, mu: np.ndarray, metric: str = "cosine") -> tuple[np.ndarray, np.ndarray]:
+    """Nearest centre (highest cosine or least distance, lowest number on ties) and the distance to it, by differences."""
     k = np.empty(len(x), dtype=np.int32)
     d = np.empty(len(x))
+    handicap = np.zeros(len(mu)) if metric == "cosine" else (mu * mu).sum(axis=1) / 2
     for a in range(0, len(x), 4096):
         part = x[a : a + 4096]
-        k[a : a + 4096] = np.argmax(np.round(part @ mu.T, 12), axis=1)
+        k[a : a + 4096] = np.argmax(np.round(part @ mu.T - handicap, 12), axis=1)
         d[a : a + 4096] = np.sqrt(((part - mu[k[a : a + 4096]]) ** 2).sum(axis=1))
     return k, d
 
 
-def _partial_sums(shared):
+def _partial_sums(shared, metric: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         centres: Centres = shared.value
         sums = {r: np.zeros((len(mu), mu.shape[1] + 2)) for r, mu in centres.items()}
+        far: dict[int, tuple[float, list[float]]] = {}
         for batch in batches:
             x = matrix(batch.column(0))
             if not len(x):
                 continue
             for r, mu in centres.items():
-                k, d = _nearest(x, mu)
+                k, d = _nearest(x, mu, metric)
+                if d.max() > far.get(r, (-1.0, []))[0]:
+                    far[r] = (float(d.max()), x[int(np.argmax(d))].tolist())
                 order = np.argsort(k, kind="stable")
                 ks, at = np.unique(k[order], return_index=True)
                 sums[r][ks, :-2] += np.add.reduceat(x[order], at, axis=0)
                 sums[r][:, -2] += np.bincount(k, minlength=len(mu))
                 sums[r][:, -1] += np.bincount(k, weights=d, minlength=len(mu))
         rows = [(r, k, s[k, :-2].tolist(), int(s[k, -2]), float(s[k, -1])) for r, s in sums.items() for k in range(len(s)) if s[k, -2]]
+        rows += [(r, -1, v, 0, d) for r, (d, v) in far.items()]
         cols = list(zip(*rows, strict=True)) or [[]] * 5
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int32(), pa.int32(), pa.list_(pa.float64()), pa.int64(), pa.float64()), strict=True)], names=["resolution", "k", "s", "n", "d"])
 
     return run
 
 
-def step(probe: DataFrame, centres: Centres) -> tuple[Centres, dict[int, float]]:
-    """One iteration for all resolutions: new centres and the mean distance of each.  An empty cluster keeps its centre."""
+def step(probe: DataFrame, centres: Centres, metric: str = "cosine") -> tuple[Centres, dict[int, float]]:
+    """One iteration for all resolutions: new centres and the mean distance of each.
+
+    The first empty cluster moves to the sample farthest from its centre; others wait, and keep theirs.
+    """
     spark = probe.sparkSession
     d = next(iter(centres.values())).shape[1]
     shared = spark.sparkContext.broadcast(centres)
-    parts = probe.select("emb").mapInArrow(_partial_sums(shared), "resolution int, k int, s array<double>, n long, d double")
-    rows = parts.groupBy("resolution", "k").agg(F.array(*[F.sum(F.col("s")[i]) for i in range(d)]).alias("s"), F.sum("n").alias("n"), F.sum("d").alias("d")).collect()
+    parts = probe.select("emb").mapInArrow(_partial_sums(shared, metric), "resolution int, k int, s array<double>, n long, d double")
+    sums = F.array(*[F.sum(F.col("s")[i]) for i in range(d)])
+    rows = parts.groupBy("resolution", "k").agg(sums.alias("s"), F.sum("n").alias("n"), F.sum("d").alias("d"), F.max_by(F.when(F.col("k") < 0, F.col("s")), "d").alias("far")).collect()
     new = {r: mu.copy() for r, mu in centres.items()}
     cost, count = dict.fromkeys(centres, 0.0), dict.fromkeys(centres, 0)
-    for row in rows:
+    full: dict[int, set[int]] = {r: set() for r in centres}
+    for row in (row for row in rows if row["k"] >= 0):
         v = np.array(row["s"]) / row["n"]
-        length = np.linalg.norm(v)
+        length = np.linalg.norm(v) if metric == "cosine" else 1.0
         if length > 0:
             new[row["resolution"]][row["k"]] = v / length
+        full[row["resolution"]].add(row["k"])
         cost[row["resolution"]] += row["d"]
         count[row["resolution"]] += row["n"]
+    for row in (row for row in rows if row["k"] < 0):
+        empty = sorted(set(range(len(new[row["resolution"]]))) - full[row["resolution"]])
+        if empty:
+            new[row["resolution"]][empty[0]] = row["far"]
     return new, {r: cost[r] / count[r] if count[r] else 0.0 for r in centres}
 
 
-def sweep(probe: DataFrame, grid: list[int], iters: int = 20, tol: float = 1e-4, seed: int = SEED, how: str = "hash") -> Centres:
+def sweep(probe: DataFrame, grid: list[int], iters: int = 20, tol: float = 1e-4, seed: int = SEED, how: str = "hash", metric: str = "cosine") -> Centres:
     """Centres for every K of the grid.  A K beyond the number of samples is left out."""
     probe = probe.select("doc_id", "emb").persist()
     try:
@@ -125,7 +142,7 @@ def sweep(probe: DataFrame, grid: list[int], iters: int = 20, tol: float = 1e-4,
         centres = {k: start[:k] if how == "hash" else seed_rows(probe, k, seed, how) for k in sorted(set(grid)) if k <= len(start)}
         last: dict[int, float] = {}
         for _ in range(iters):
-            centres, now = step(probe, centres)
+            centres, now = step(probe, centres, metric)
             if last and all(abs(last[r] - now[r]) <= tol * max(last[r], 1e-12) for r in now):
                 break
             last = now
@@ -134,11 +151,11 @@ def sweep(probe: DataFrame, grid: list[int], iters: int = 20, tol: float = 1e-4,
         probe.unpersist()
 
 
-def fit(probe: DataFrame, k: int, iters: int = 20, tol: float = 1e-4, seed: int = SEED, how: str = "hash") -> np.ndarray:
-    return sweep(probe, [k], iters, tol, seed, how)[k]
+def fit(probe: DataFrame, k: int, iters: int = 20, tol: float = 1e-4, seed: int = SEED, how: str = "hash", metric: str = "cosine") -> np.ndarray:
+    return sweep(probe, [k], iters, tol, seed, how, metric)[k]
 
 
-def assign(feats: DataFrame, centres: np.ndarray, keep: tuple[str, ...] = (), k: str = "k", dist: str = "dist") -> DataFrame:
+def assign(feats: DataFrame, centres: np.ndarray, keep: tuple[str, ...] = (), k: str = "k", dist: str = "dist", metric: str = "cosine") -> DataFrame:
     """(doc_id, kept columns, k, dist): nearest centre of every sample; map-only, centres broadcast (K x d numbers)."""
     # a stream's plan outlives the broadcasts of the call that made it: its centres travel in the function
     shared = None if feats.isStreaming else feats.sparkSession.sparkContext.broadcast(centres)
@@ -150,13 +167,29 @@ def assign(feats: DataFrame, centres: np.ndarray, keep: tuple[str, ...] = (), k:
         mu = own if shared is None else shared.value
         for batch in batches:
             x = matrix(batch.column(batch.num_columns - 1))
-            ks, ds = _nearest(x, mu) if len(x) else (np.zeros(0, dtype=np.int32), np.zeros(0))
+            ks, ds = _nearest(x, mu, metric) if len(x) else (np.zeros(0, dtype=np.int32), np.zeros(0))
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(ks, pa.int32()), pa.array(ds, pa.float64())], names=[*columns, k, dist])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema.fields[:-1])
     return source.mapInArrow(run, f"{fields}, `{k}` int, `{dist}` double")
 
 
+def assign_all(feats: DataFrame, centres: Centres, keep: tuple[str, ...] = ()) -> DataFrame:
+    """(kept columns, resolution, k, dist): the nearest centre at every resolution, out of one scan."""
+    shared = feats.sparkSession.sparkContext.broadcast(centres)
+    source = feats.select(*keep, F.col("emb").alias("__emb"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x = matrix(batch.column(batch.num_columns - 1))
+            for r, mu in shared.value.items() if batch.num_rows else ():
+                ks, ds = _nearest(x, mu)
+                yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(np.full(len(x), r, dtype=np.int32)), pa.array(ks), pa.array(ds)], names=[*keep, "resolution", "k", "dist"])
+
+    fields = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in source.schema.fields[:-1])
+    return source.mapInArrow(run, f"{fields}resolution int, k int, dist double")
+
+
 def frame(spark, centres: Centres) -> DataFrame:
     """Centres as a table (resolution, k, mu)."""
     rows = [(r, i, mu[i].tolist()) for r, mu in centres.items() for i in range(len(mu))]

@@ -7,6 +7,7 @@ import math
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from curator.functions.keyed import SEED, draw
 from curator.functions.text import words
 
 #: Published scores (model, method, epoch, printed average, seven metrics).
@@ -35,10 +36,11 @@ def published(spark: SparkSession) -> DataFrame:
 
 
 def averages(results: DataFrame) -> DataFrame:
-    """Unweighted mean of the metrics beside the printed average, and the difference to random of the same model."""
+    """Unweighted mean of the metrics beside the printed average, and the difference to random of the same model: as a number
+    of one decimal and as a label with its sign."""
     avg = results.groupBy("model", "method", "epoch", "printed").agg(F.avg("value").alias("mean"))
     ref = avg.where("method = 'random'").select("model", F.col("mean").alias("ref"))
-    return avg.join(F.broadcast(ref), "model").select("model", "method", "epoch", "printed", "mean", (F.col("mean") - F.col("ref")).alias("delta"))
+    return avg.join(F.broadcast(ref), "model").select("model", "method", "epoch", "printed", "mean", (F.round(F.col("mean") - F.col("ref") + 1e-12, 1) + 0.0).alias("delta")).withColumn("sign", F.when(F.col("delta") > 0, "up").when(F.col("delta") < 0, "down").otherwise("same"))
 
 
 def efficiency(reference: list[tuple[float, float]], method: list[tuple[float, float]]) -> float | None:
@@ -101,12 +103,32 @@ def rejected(rows: DataFrame, subset: DataFrame, dist: str = "dist") -> DataFram
     return flagged.groupBy(F.coalesce("kept", F.lit(False)).alias("kept")).agg(F.avg(dist).alias("mean_dist"), F.avg((F.col(dist) >= F.col("far")).cast("double")).alias("far_share"))
 
 
-def cross_entropy(subset_docs: DataFrame, held_out: DataFrame, buckets: int = 1 << 14, alpha: float = 0.5, by: str = "lang") -> DataFrame:
-    """(by, value): negative cross-entropy per token of held-out texts under the subset's smoothed hashed-word model."""
-    bucket = lambda df, *keep: df.select(*keep, F.explode(words(F.lower("text"))).alias("w")).select(*keep, F.pmod(F.xxhash64("w"), F.lit(buckets)).cast("int").alias("bucket"))
-    model = bucket(subset_docs).groupBy("bucket").agg(F.count(F.lit(1)).alias("c"))
-    total = model.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("N"))
-    seen = bucket(held_out, by).groupBy(by, "bucket").agg(F.count(F.lit(1)).alias("t"))
+def word_bucket(buckets: int):
+    """Bucket of the word ``w``: the same number in SQL engines."""
+    return (F.conv(F.substring(F.md5(F.col("w").cast("binary")), 1, 8), 16, 10).cast("long") % buckets).cast("int")
+
+
+def cross_entropy_at(subset_docs: DataFrame, held_out: DataFrame, parts: tuple[float, ...] = (1.0,), buckets: int = 1 << 14, alpha: float = 0.5, by: str = "lang", seed: int = SEED) -> DataFrame:
+    """(part, by, value): negative cross-entropy per token of held-out texts under the smoothed hashed-word model of each
+    nested part (:func:`sampling.epoch_prefix`) of the subset; all parts out of one scan.
+
+    Words are counted before they are hashed, so md5 is taken once for each distinct word of a task.
+    """
+    ws = subset_docs.select(draw("doc_id", seed, "epoch").alias("u"), F.explode(words(F.lower("text"))).alias("w"))
+    level = F.lit(len(parts) - 1)
+    for i in range(len(parts) - 2, -1, -1):
+        level = F.when(F.col("u") < sorted(parts)[i], F.lit(i)).otherwise(level)
+    inside = ws.where(F.col("u") < max(parts)).groupBy(level.alias("level"), "w").agg(F.count(F.lit(1)).alias("c"))
+    taken = [F.sum(F.when(F.col("level") <= sorted(parts).index(p), F.col("c")).otherwise(0)).alias(f"c{i}") for i, p in enumerate(parts)]
+    model = inside.groupBy(word_bucket(buckets).alias("bucket")).agg(*taken)
+    total = model.agg(*[F.coalesce(F.sum(f"c{i}"), F.lit(0)).alias(f"N{i}") for i in range(len(parts))])
+    seen = held_out.select(by, F.explode(words(F.lower("text"))).alias("w")).groupBy(by, "w").agg(F.count(F.lit(1)).alias("t")).groupBy(by, word_bucket(buckets).alias("bucket")).agg(F.sum("t").alias("t"))
     joined = seen.join(model, "bucket", "left").crossJoin(F.broadcast(total))
-    logp = F.log((F.coalesce("c", F.lit(0)) + alpha) / (F.col("N") + alpha * buckets))
-    return joined.groupBy(by).agg((F.sum(F.col("t") * logp) / F.sum("t")).alias("value"))
+    logp = lambda i: F.log((F.coalesce(f"c{i}", F.lit(0)) + alpha) / (F.col(f"N{i}") + alpha * buckets))
+    values = joined.groupBy(by).agg(F.array(*[F.struct(F.lit(float(p)).alias("part"), (F.sum(F.col("t") * logp(i)) / F.sum("t")).alias("value")) for i, p in enumerate(parts)]).alias("v"))
+    return values.select(F.explode("v").alias("v"), by).select("v.part", by, "v.value")
+
+
+def cross_entropy(subset_docs: DataFrame, held_out: DataFrame, buckets: int = 1 << 14, alpha: float = 0.5, by: str = "lang") -> DataFrame:
+    """(by, value): the same for the whole subset."""
+    return cross_entropy_at(subset_docs, held_out, (1.0,), buckets, alpha, by).select(by, "value")

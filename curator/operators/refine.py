@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from curator.functions.keyed import SEED, draw, key32
+from curator.functions.vectors import unit
+from curator.functions.workspace import release, stash
 from curator.operators.lloyd import _nearest, matrix
 
 LAMBDA, EPSILON = 0.5, 0.01
@@ -37,16 +37,57 @@ def _fit_local(x: np.ndarray, m: int, iters: int) -> np.ndarray:
     return mu
 
 
+def _fit_shared(sample: DataFrame, parents: DataFrame, parts: Column, iters: int) -> DataFrame:
+    """(k, j, mu) by the same steps as :func:`_fit_local`, for parents too large for a task.
+
+    All parents advance together: a task holds one part of a parent's rows and that parent's centres, and sends back a
+    partial sum for each centre.  Centres are a written table; none reaches the driver.
+    """
+    sample = stash(sample.withColumn("salt", F.pmod(F.xxhash64("doc_id"), parts).cast("int")), "sub-sample")
+    d = len(sample.select("emb").first()[0])
+    salts = F.broadcast(parents.select("k", F.explode(F.sequence(F.lit(0), parts - 1)).alias("salt")))
+    order = Window.partitionBy("k").orderBy("h", "doc_id")
+    first = sample.select("k", "m", "h", "doc_id").withColumn("j", F.row_number().over(order) - 1).where("j < m").select("doc_id", "j")
+    centres = stash(sample.join(first, "doc_id").select("k", "j", F.col("emb").alias("mu")), "sub-centres")
+
+    def sums(rows: pa.Table, mus: pa.Table) -> pa.Table:
+        mus = mus.sort_by("j")
+        x, mu = matrix(rows["emb"]), matrix(mus["mu"])
+        if not len(x):
+            return pa.table({"k": pa.array([], pa.int32()), "j": pa.array([], pa.int32()), "s": pa.array([], pa.list_(pa.float64())), "c": pa.array([], pa.int64())})
+        j, _ = _nearest(x, mu)
+        order = np.argsort(j, kind="stable")
+        js, at = np.unique(j[order], return_index=True)
+        total = np.add.reduceat(x[order], at, axis=0)
+        return pa.table({"k": pa.array([rows["k"][0].as_py()] * len(js), pa.int32()), "j": pa.array(js, pa.int32()), "s": pa.array(total.tolist(), pa.list_(pa.float64())), "c": pa.array(np.bincount(j)[js])})
+
+    rows = sample.select("k", "salt", "emb")
+    for _ in range(iters):
+        spread = centres.join(salts, "k")
+        got = rows.groupBy("k", "salt").cogroup(spread.groupBy("k", "salt")).applyInArrow(sums, "k int, j int, s array<double>, c long")
+        mean = got.groupBy("k", "j").agg(F.array(*[F.sum(F.col("s")[i]) / F.sum("c") for i in range(d)]).alias("m"))
+        new = centres.join(mean, ["k", "j"], "left")
+        length = F.sqrt(F.aggregate("m", F.lit(0.0), lambda a, v: a + v * v))
+        new = stash(new.select("k", "j", F.when(length > 0, unit(F.col("m"), d)).otherwise(F.col("mu")).alias("mu")), "sub-centres")
+        release(centres)
+        centres = new
+    release(sample)
+    return centres
+
+
 def subcluster(assigned: DataFrame, counts: DataFrame, iters: int = 8, per_centre: int = 200, rows_per_task: int = 200_000, seed: int = SEED) -> DataFrame:
     """(doc_id, k, emb, ...) -> the same with j and dist_sub.
 
-    Each parent is fitted on a keyed sample of at most about ``per_centre`` rows for each of its sub-clusters, in one
-    task per parent; then all rows meet their own parent's centres only, parents split into salted parts of about
-    ``rows_per_task`` rows, so no task holds a whole hot parent or the centres of others.
+    Each parent is fitted on a keyed sample of at most about ``per_centre`` rows for each of its sub-clusters: in one
+    task if that are at most ``rows_per_task`` rows, else in shared scans.  Then all rows meet their own parent's centres
+    only, parents split into salted parts of about ``rows_per_task`` rows, so no task holds a whole hot parent or the
+    centres of others.  ``counts`` has a row for each parent.
     """
     sized = assigned.join(F.broadcast(counts.select("k", "n", "m")), "k")
     share = F.least(F.lit(1.0), F.lit(float(per_centre)) * F.col("m") / F.col("n"))
-    sample = sized.where(draw("doc_id", seed) < share).select("k", "m", "emb", key32("doc_id", seed + 1).alias("h"), "doc_id")
+    sample = sized.where(draw("doc_id", seed, "sub") < share).select("k", "n", "m", "emb", key32("doc_id", seed, "sub seeds").alias("h"), "doc_id")
+    rows_of = F.least(F.col("n").cast("double"), F.lit(float(per_centre)) * F.col("m"))
+    large = rows_of > rows_per_task
 
     def fit(table: pa.Table) -> pa.Table:
         table = table.sort_by([("h", "ascending"), ("doc_id", "ascending")])
@@ -54,7 +95,10 @@ def subcluster(assigned: DataFrame, counts: DataFrame, iters: int = 8, per_centr
         mu = _fit_local(x, min(m, len(x)), iters)
         return pa.table({"k": pa.array([k] * len(mu), pa.int32()), "j": pa.array(range(len(mu)), pa.int32()), "mu": pa.array(mu.tolist(), pa.list_(pa.float64()))})
 
-    centres = sample.groupBy("k").applyInArrow(fit, "k int, j int, mu array<double>")
+    centres = sample.where(~large).drop("n").groupBy("k").applyInArrow(fit, "k int, j int, mu array<double>")
+    if not counts.where(large).isEmpty():
+        shared = _fit_shared(sample.where(large), counts.where(large), F.greatest(F.ceil(rows_of / F.lit(rows_per_task)).cast("int"), F.lit(1)), iters)
+        centres = centres.unionByName(shared)
     parts = F.greatest(F.ceil(F.col("n") / F.lit(rows_per_task)).cast("int"), F.lit(1))
     salted = sized.withColumn("salt", F.pmod(F.xxhash64("doc_id"), parts).cast("int")).drop("n", "m")
     names = [c for c in salted.columns if c != "salt"]

@@ -11,9 +11,9 @@ from pyspark.sql import functions as F
 from curator.functions.keyed import SEED
 from curator.functions.text import n_tokens
 from curator.functions.vectors import centres as group_centres
-from curator.functions.workspace import stash
+from curator.functions.workspace import release, stash
 from curator.operators import baselines, consensus, embed, hygiene, lloyd, mixing, probes, refine, resolution, sampling
-from curator.operators.features import cluster_features, znorm
+from curator.operators.features import FEATURES, cluster_features, znorm
 
 
 @dataclass(frozen=True)
@@ -21,7 +21,7 @@ class CurationPlan:
     """Parameters; the defaults are the published ones where there are any."""
 
     k: int | None = None  # None: searched over ``grid``
-    grid: tuple[int, ...] = (8, 16, 24, 32)
+    grid: tuple[int, ...] = tuple(range(8, 97, 8))
     stride: int = 8
     rule: str = "argmax"
     tau_variant: str = "b"
@@ -43,6 +43,7 @@ class CurationPlan:
     ref: str = "siblings"
     normalise: str = "global"
     budget: sampling.Budget = field(default_factory=lambda: sampling.Budget(fraction=0.3))
+    per: str = "tokens"  # what a budget given as a fraction is spent in: tokens or docs
     max_repeat: float = 1.0
     sampler: str = "threshold"
     seed: int = SEED
@@ -77,50 +78,70 @@ def _scored(assigned: DataFrame, how: str, kind: str) -> tuple[DataFrame, dict[s
     return mixing.score(z, w), w
 
 
-def search(store: DataFrame, plan: CurationPlan) -> tuple[list[tuple[int, float | None]], dict[int, np.ndarray]]:
-    """Stability of every K of the grid against K + stride (averaged over seeds), and the centres of the first seed."""
+def stability(store: DataFrame, plan: CurationPlan, scales: tuple[float, ...] | None = None) -> tuple[dict[float, dict[int, list[float]]], dict[int, np.ndarray]]:
+    """For each bridge scale, the stability values of every K of the grid against K + stride (one for each repeat), and the
+    centres of the first repeat.
+
+    A repeat fits all K in shared scans and describes all their clusters in one more; a row per cluster reaches the driver.
+    """
     probe = stash(lloyd.probe_sample(store, plan.probe_fraction, plan.seed, plan.probe_cap), "probe")
     sizes = sorted(set(plan.grid) | {k + plan.stride for k in plan.grid})
-    values: dict[int, list[float]] = {k: [] for k in plan.grid}
+    scales = scales or (plan.scale,)
+    values: dict[float, dict[int, list[float]]] = {c: {k: [] for k in plan.grid} for c in scales}
     first: dict[int, np.ndarray] = {}
     for r in range(plan.repeats):
         mus = lloyd.sweep(probe, sizes, plan.iters, seed=plan.seed + r)
         first = first or mus
-        scores: dict[int, np.ndarray] = {}
-        for size, mu in mus.items():
-            assigned = lloyd.assign(probe, mu, keep=("lang", "n_tokens"))
-            s, _ = _scored(assigned, plan.weights, plan.affinity)
-            rows = s.select("k", "s").collect()  # a row per cluster
-            scores[size] = np.full(len(mu), np.nan)
-            for row in rows:
-                scores[size][row["k"]] = row["s"]
+        rows = cluster_features(lloyd.assign_all(probe, mus, keep=("lang", "n_tokens")), ["resolution", "k"]).collect() if mus else []
+        scores = {size: _scores_of([row for row in rows if row["resolution"] == size], len(mu), plan) for size, mu in mus.items()}
         for k in plan.grid:
             fine = k + plan.stride
             if k not in scores or fine not in scores:
                 continue
             a, b = ~np.isnan(scores[k]), ~np.isnan(scores[fine])
-            e = plan.scale * (mus[k][a] @ mus[fine][b].T)
-            pi = np.exp(e - e.max(1, keepdims=True))
-            pi /= pi.sum(1, keepdims=True)
-            j = resolution.tau_value(scores[k][a], pi @ scores[fine][b], plan.tau_variant)
-            if j is not None:
-                values[k].append(j)
-    return [(k, float(np.mean(v)) if v else None) for k, v in values.items()], first
+            cosine = mus[k][a] @ mus[fine][b].T
+            for c in scales:
+                pi = np.exp(c * (cosine - cosine.max(1, keepdims=True)))
+                pi /= pi.sum(1, keepdims=True)
+                j = resolution.tau_value(scores[k][a], pi @ scores[fine][b], plan.tau_variant)
+                if j is not None:
+                    values[c][k].append(j)
+    release(probe)
+    return values, first
+
+
+def _scores_of(rows: list, k: int, plan: CurationPlan) -> np.ndarray:
+    """Geometric scores of the clusters of one resolution; nan for a cluster without samples."""
+    out = np.full(k, np.nan)
+    at = [row["k"] for row in rows]
+    x = {f: np.array([row[f"z_{f}"] for row in rows]) for f in FEATURES}
+    zn = {f: (v - v.mean()) / v.std() if v.std() >= 1e-12 else np.zeros(len(v)) for f, v in x.items()}
+    w = consensus.weights_of(zn, plan.weights, plan.affinity)
+    out[at] = sum(consensus.SIGNS[f] * w[f] * zn[f] for f in FEATURES)
+    return out
+
+
+def search(store: DataFrame, plan: CurationPlan) -> tuple[list[tuple[int, float | None]], dict[int, np.ndarray]]:
+    """Stability of every K of the grid against K + stride (averaged over seeds), and the centres of the first seed."""
+    values, first = stability(store, plan)
+    return [(k, float(np.mean(v)) if v else None) for k, v in values[plan.scale].items()], first
+
+
+Macro = tuple[DataFrame, DataFrame, list, int]
 
 
-def macro(store: DataFrame, plan: CurationPlan) -> tuple[DataFrame, DataFrame, list, int]:
+def macro(store: DataFrame, plan: CurationPlan) -> Macro:
     """(assigned, budget with s and r, curve, K): clusters for all samples and each cluster's share."""
     curve: list = []
     if plan.k is None:
         curve, mus = search(store, plan)
         k = resolution.choose(curve, plan.rule) or min(plan.grid)
-        mu = mus[k]
     else:
-        probe = lloyd.probe_sample(store, plan.probe_fraction, plan.seed, plan.probe_cap)
-        mu = lloyd.sweep(probe, [plan.k], plan.iters, seed=plan.seed).get(plan.k)
-        if mu is None:  # fewer probes than clusters
-            mu = lloyd.fit(store, min(plan.k, store.count()), plan.iters, seed=plan.seed)
-        k = len(mu)
+        k, mus = plan.k, lloyd.sweep(lloyd.probe_sample(store, plan.probe_fraction, plan.seed, plan.probe_cap), [plan.k], plan.iters, seed=plan.seed)
+    mu = mus.get(k)
+    if mu is None:  # fewer probes than clusters
+        k = min(k, store.count())
+        mu = lloyd.fit(store, k, plan.iters, seed=plan.seed)
     assigned = stash(lloyd.assign(store, mu, keep=("lang", "source", "n_tokens", "emb")), "assigned")
     scored, _ = _scored(assigned, plan.weights, plan.affinity)
     return assigned, stash(mixing.budget(scored, plan.temperature), "budget"), curve, k
@@ -161,33 +182,36 @@ def _corpus_features(rows: DataFrame) -> DataFrame:
 
 
 def draw_subset(rows: DataFrame, weights: DataFrame, plan: CurationPlan, keys: tuple[str, ...] = ("k", "j")) -> DataFrame:
-    """Rows drawn under the plan's token budget."""
-    supply = rows.groupBy(*keys).agg(F.sum("n_tokens").alias("supply"))
+    """Rows drawn under the plan's budget: weights are shares of tokens, or of documents."""
+    unit = plan.budget.unit(plan.per)
+    supply = rows.groupBy(*keys).agg((F.sum("n_tokens") if unit == "tokens" else F.count(F.lit(1))).alias("supply"))
     cells = stash(weights.select(*keys, "w").join(supply, list(keys)), "cells")
     volume = plan.budget.volume(cells.agg(F.coalesce(F.sum("supply"), F.lit(0))).first()[0])
     quota = sampling.quotas(cells, volume, plan.max_repeat)
-    take = {"threshold": sampling.take_threshold, "exact": sampling.take_exact, "repeat": sampling.take_repeat}[plan.sampler]
+    if plan.sampler == "exact":
+        return sampling.take_exact(rows, quota, plan.seed, keys, "n_tokens" if unit == "tokens" else None)
+    take = {"threshold": sampling.take_threshold, "repeat": sampling.take_repeat}[plan.sampler]
     return take(rows, quota, plan.seed, keys)
 
 
-def curate(store: DataFrame, plan: CurationPlan, docs: DataFrame | None = None, labels: DataFrame | None = None) -> CurationResult:
-    """Feature store -> subset with every table behind it."""
-    assigned, budget, curve, k = macro(store, plan)
+def curate(store: DataFrame, plan: CurationPlan, docs: DataFrame | None = None, labels: DataFrame | None = None, given: Macro | None = None) -> CurationResult:
+    """Feature store -> subset with every table behind it.  ``given``: what :func:`macro` made of the same store and plan."""
+    assigned, budget, curve, k = given or macro(store, plan)
     sub, weights = micro(assigned, budget, plan, docs, labels)
     return CurationResult(draw_subset(sub, weights, plan).drop("emb"), curve, k, budget, weights, assigned, sub)
 
 
-def no_macro(store: DataFrame, plan: CurationPlan, docs: DataFrame | None = None, labels: DataFrame | None = None) -> CurationResult:
+def no_macro(store: DataFrame, plan: CurationPlan, docs: DataFrame | None = None, labels: DataFrame | None = None, given: Macro | None = None) -> CurationResult:
     """Uniform shares; penalty and gate refer to the whole corpus."""
-    assigned, budget, curve, k = macro(store, plan)
+    assigned, budget, curve, k = given or macro(store, plan)
     even = stash(mixing.uniform(budget.drop("r")), "even")
     sub, weights = micro(assigned, even, plan, docs, labels, "global")
     return CurationResult(draw_subset(sub, weights, plan).drop("emb"), curve, k, even, weights, assigned, sub)
 
 
-def no_micro(store: DataFrame, plan: CurationPlan) -> CurationResult:
+def no_micro(store: DataFrame, plan: CurationPlan, given: Macro | None = None) -> CurationResult:
     """Learned shares, uniform within each cluster."""
-    assigned, budget, curve, k = macro(store, plan)
+    assigned, budget, curve, k = given or macro(store, plan)
     subset = draw_subset(assigned, budget.withColumnRenamed("r", "w"), plan, ("k",)).drop("emb")
     return CurationResult(subset, curve, k, budget, None, assigned)
 
@@ -195,10 +219,14 @@ def no_micro(store: DataFrame, plan: CurationPlan) -> CurationResult:
 def flat_clusters(store: DataFrame, plan: CurationPlan, k_total: int) -> DataFrame:
     """One flat clustering with as many clusters as the hierarchy has sub-clusters.
 
-    K grows as the square root of the corpus: at scale assign in two levels (cluster the centres first).
+    The corpus is one parent whose sub-clusters are fitted and met in salted parts, so neither samples nor centres reach
+    the driver, however many there are.
     """
-    mu = lloyd.sweep(store, [min(k_total, store.count())], plan.iters, seed=plan.seed)
-    return stash(lloyd.assign(store, next(iter(mu.values())), keep=("lang", "source", "n_tokens", "emb")), "flat")
+    n = store.count()
+    one = store.select("doc_id", "lang", "source", "n_tokens", "emb", F.lit(0).alias("k"))
+    counts = store.sparkSession.createDataFrame([(0, n, min(k_total, n))], "k int, n long, m int")
+    flat = refine.subcluster(one, counts, iters=plan.iters, seed=plan.seed).drop("k")
+    return stash(flat.withColumnsRenamed({"j": "k", "dist_sub": "dist"}), "flat")
 
 
 def flat_random(store: DataFrame, plan: CurationPlan, k_total: int) -> CurationResult:

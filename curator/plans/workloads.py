@@ -8,9 +8,10 @@ from __future__ import annotations
 import time
 from dataclasses import replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from curator.functions.keyed import draw
 from curator.functions.text import n_tokens, strip_html
 from curator.functions.workspace import stash
 from curator.operators import baselines, consensus, hygiene, lloyd, measures, probes, refine, resolution, sampling, theory
@@ -19,16 +20,20 @@ from curator.plans.curation import CurationPlan
 from curator.sources.tables import table
 
 SCHEMA = "workload string, method string, epoch double, metric string, lang string, value double"
-PLAN = CurationPlan(k=12, iters=6, sub_cap=40)
+#: The published defaults: K is searched, sub-clusters follow the square root of the population.
+PLAN = CurationPlan()
+#: Budgets of the curves, as shares of an epoch.
+PARTS = (0.05, *(i / 10 for i in range(1, 11)))
 
 
 class Lab:
     """Tables and subsets that the workloads of one folder share, each built once."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, plan: CurationPlan = PLAN):
+    def __init__(self, spark: SparkSession, sf_dir: str, plan: CurationPlan = PLAN, same: Lab | None = None):
+        """``same``: a lab of the same folder whose corpus, and what no seed changes, is taken over."""
         self.spark, self.dir, self.plan = spark, sf_dir, plan
         self.docs, self.labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
-        self._made: dict = {}
+        self._made: dict = {k: v for k, v in same._made.items() if k in ("store", "tokens", "subset rating selector")} if same else {}
 
     def once(self, name: str, make):
         if name not in self._made:
@@ -36,15 +41,25 @@ class Lab:
         return self._made[name]
 
     @property
-    def held_out(self) -> DataFrame:
-        """Good labelled documents, kept out of every method's corpus."""
+    def apart(self) -> DataFrame:
+        """Good labelled documents, kept out of every method's corpus: half to tune by, half to judge by."""
         good = self.labels.where("quality = 1 and toxic = 0").select("doc_id")
         return self.docs.join(good, "doc_id", "left_semi").where(F.col("doc_id") % 5 == 0)
 
+    @property
+    def validation(self) -> DataFrame:
+        """What a method may look at to choose its settings."""
+        return self.apart.where(draw("doc_id", purpose="validation") < 0.5)
+
+    @property
+    def held_out(self) -> DataFrame:
+        """What only measures look at."""
+        return self.apart.where(draw("doc_id", purpose="validation") >= 0.5)
+
     @property
     def store(self) -> DataFrame:
         def make():
-            kept = self.docs.join(self.held_out.select("doc_id"), "doc_id", "left_anti")
+            kept = self.docs.join(self.apart.select("doc_id"), "doc_id", "left_anti")
             return curation.front_end(kept, table(self.spark, self.dir, "benchmark"))
 
         return self.once("store", make)
@@ -53,12 +68,16 @@ class Lab:
     def tokens(self) -> int:
         return self.once("tokens", lambda: self.store.agg(F.sum("n_tokens")).first()[0])
 
+    @property
+    def macro(self) -> curation.Macro:
+        return self.once("macro", lambda: curation.macro(self.store, self.plan))
+
     def k_total(self) -> int:
-        counts = refine.sub_counts(self.full().budget.select("k", "n"), self.plan.sub_c, self.plan.sub_cap)
+        counts = refine.sub_counts(self.macro[1].select("k", "n"), self.plan.sub_c, self.plan.sub_cap)
         return int(counts.agg(F.sum("m")).first()[0])
 
     def full(self):
-        return self.once("full", lambda: curation.curate(self.store, self.plan, self.docs, self.labels))
+        return self.once("full", lambda: curation.curate(self.store, self.plan, self.docs, self.labels, self.macro))
 
     def subset(self, method: str) -> DataFrame:
         def make():
@@ -69,16 +88,19 @@ class Lab:
             elif method == "rating selector":
                 rows = baselines.rating_selector(baselines.rated(corpus, labels=self.labels), share * self.tokens)
             elif method == "mixture optimiser":
-                shares, _ = baselines.mixture_optimiser(corpus, self.held_out, rounds=2, candidates=24, buckets=2048, seed=self.plan.seed)
+                shares, seen = baselines.mixture_optimiser(corpus, self.validation, seed=self.plan.seed)
+                self._made["proxy fits"] = len(seen)
                 rows = baselines.by_shares(self.store, shares, share * self.store.count(), seed=self.plan.seed)
+            elif method == "rating selector, code":
+                rows = baselines.rating_selector(baselines.rated(corpus, labels=self.labels, adapter=baselines.code_raters), share * self.tokens)
             elif method == "rules":
                 rows = baselines.rules(corpus).select("doc_id")
             elif method == "curator":
                 rows = self.full().subset
             elif method == "no macro":
-                rows = curation.no_macro(self.store, self.plan, self.docs, self.labels).subset
+                rows = curation.no_macro(self.store, self.plan, self.docs, self.labels, self.macro).subset
             elif method == "no micro":
-                rows = curation.no_micro(self.store, self.plan).subset
+                rows = curation.no_micro(self.store, self.plan, self.macro).subset
             elif method == "flat random":
                 rows = curation.flat_random(self.store, self.plan, self.k_total()).subset
             else:
@@ -92,7 +114,7 @@ class Lab:
         chosen = self.docs.join(ids.select("doc_id"), "doc_id", "left_semi")
         entropy = measures.cross_entropy(chosen, self.held_out, buckets).select(F.lit("entropy").alias("metric"), "lang", "value")
         quality = self.labels.join(ids, "doc_id", "left_semi").agg(F.avg(F.col("quality") * (1 - F.col("toxic"))).alias("value")).select(F.lit("quality").alias("metric"), F.lit("all").alias("lang"), "value")
-        cover = measures.coverage(self.full().assigned, ids).select(F.explode(F.array(*[F.struct(F.lit(c).alias("metric"), F.col(c).cast("double").alias("value")) for c in ("covered", "tv", "entropy")])).alias("x"))
+        cover = measures.coverage(self.macro[0], ids).select(F.explode(F.array(*[F.struct(F.lit(c).alias("metric"), F.col(c).cast("double").alias("value")) for c in ("covered", "tv", "entropy")])).alias("x"))
         cover = cover.select(F.concat(F.lit("cells_"), "x.metric").alias("metric"), F.lit("all").alias("lang"), F.col("x.value").alias("value"))
         share = chosen.groupBy("lang").agg(F.sum(n_tokens("text")).cast("double").alias("value")).select(F.lit("tokens").alias("metric"), "lang", "value")
         rows = entropy.unionByName(quality).unionByName(cover).unionByName(share)
@@ -112,17 +134,22 @@ def _union(parts: list[DataFrame]) -> DataFrame:
 
 def main_compare(spark, sf_dir):
     lab = Lab(spark, sf_dir)
-    parts = [lab.proxies("main", m, lab.subset(m)) for m in ("random", "rating selector", "mixture optimiser", "curator")]
+    parts = [lab.proxies("main", m, lab.subset(m)) for m in MAIN]
     parts.append(lab.proxies("main", "curator", sampling.epoch_prefix(lab.subset("curator"), 0.5), 0.5))
     return _union(parts)
 
 
-def seed_spread(spark, sf_dir, seeds: int = 3):
-    """The main comparison once for each seed; mean, least and most of each measure tell a ranking from chance."""
-    parts = []
+MAIN = ("random", "rating selector", "mixture optimiser", "curator")
+ABLATIONS = ("random", "flat random", "flat scored", "no micro", "no macro", "curator")
+
+
+def seed_spread(spark, sf_dir, seeds: int = 5, methods: tuple[str, ...] = MAIN):
+    """The main comparison (or other methods) once for each seed; mean, least and most of each measure tell a ranking from chance."""
+    parts, lab = [], None
     for k in range(seeds):
-        lab = Lab(spark, sf_dir, replace(PLAN, seed=PLAN.seed + 1000 * k))
-        parts += [lab.proxies("seeds", m, lab.subset(m)) for m in ("random", "rating selector", "mixture optimiser", "curator")]
+        lab = Lab(spark, sf_dir, replace(PLAN, seed=PLAN.seed + 1000 * k), lab)
+        # a seed's measures are written before the next one's are planned
+        parts.append(stash(_union([lab.proxies("seeds", m, lab.subset(m)) for m in methods]), "seed"))
     many = _union(parts).where("metric in ('entropy', 'quality')").groupBy("workload", "method", "epoch", "metric", "lang")
     spread = many.agg(F.avg("value").alias("mean"), F.min("value").alias("least"), F.max("value").alias("most"))
     kinds = F.explode(F.array(*[F.struct(F.lit(c).alias("name"), F.col(c).alias("value")) for c in ("mean", "least", "most")])).alias("x")
@@ -132,45 +159,63 @@ def seed_spread(spark, sf_dir, seeds: int = 3):
 
 def capacity_scaling(spark, sf_dir):
     lab = Lab(spark, sf_dir)
-    return _union([lab.proxies(f"capacity 2^{b}", m, lab.subset(m), buckets=1 << b) for b in (14, 16) for m in ("random", "curator")])
+    runs = [("random", 1.0), ("curator", 0.5), ("curator", 1.0)]
+    return _union([lab.proxies(f"capacity 2^{b}", m, sampling.epoch_prefix(lab.subset(m), e) if e < 1 else lab.subset(m), e, 1 << b) for b in (14, 16) for m, e in runs])
 
 
 def ablation(spark, sf_dir):
     lab = Lab(spark, sf_dir)
-    return _union([lab.proxies("ablation", m, lab.subset(m)) for m in ("random", "flat random", "flat scored", "no micro", "no macro", "curator")])
+    return _union([lab.proxies("ablation", m, lab.subset(m)) for m in ABLATIONS])
 
 
 def by_language(spark, sf_dir):
+    """Values and token shares by language, the gap to the rating selector, and both for the languages with fewer tokens
+    than the mean ('low') and the others ('high')."""
     lab = Lab(spark, sf_dir)
-    parts = [lab.proxies("language", m, lab.subset(m)).where("metric in ('entropy', 'tokens')") for m in ("rating selector", "no macro", "curator")]
-    for m in ("rating selector", "no macro", "curator"):
+    methods = ("rating selector", "no macro", "curator")
+    mine = _union([lab.proxies("language", m, lab.subset(m)).where("metric in ('entropy', 'tokens')") for m in methods])
+    mine = stash(mine, "language")
+    sizes = lab.store.groupBy("lang").agg(F.sum("n_tokens").alias("t"))
+    group = sizes.crossJoin(F.broadcast(sizes.agg(F.avg("t").alias("mean")))).select("lang", F.when(F.col("t") < F.col("mean"), "low").otherwise("high").alias("group"))
+    ours = mine.where("metric = 'entropy'")
+    ref = ours.where("method = 'rating selector'").select("lang", F.col("value").alias("ref"))
+    gap = ours.where("method <> 'rating selector'").join(F.broadcast(ref), "lang").select("workload", "method", "epoch", F.lit("gap to rating selector").alias("metric"), "lang", (F.col("value") - F.col("ref")).alias("value"))
+    both = ours.unionByName(gap)
+    apart = both.join(F.broadcast(group), "lang").groupBy("workload", "method", "epoch", "metric", "group").agg(F.avg("value").alias("value")).withColumnRenamed("group", "lang")
+    parts = [mine, gap, apart]
+    for m in methods:
         chosen = lab.docs.join(lab.subset(m), "doc_id", "left_semi")
         by_source = chosen.groupBy("source").agg(F.sum(n_tokens("text")).cast("double").alias("value"))
         parts.append(by_source.select(F.lit("source").alias("workload"), F.lit(m).alias("method"), F.lit(1.0).alias("epoch"), F.lit("tokens").alias("metric"), F.col("source").alias("lang"), "value"))
     return _union(parts)
 
 
-def k_sweep(spark, sf_dir, grid: tuple[int, ...] = (8, 16, 24, 32), repeats: int = 1):
+def k_sweep(spark, sf_dir, grid: tuple[int, ...] = PLAN.grid, repeats: int = 3):
+    """J of every K (mean, least and most over seeds), its gain over the K before, and the K that each rule chooses."""
     lab = Lab(spark, sf_dir)
     plan = replace(lab.plan, k=None, grid=grid, repeats=repeats)
-    curve, _ = curation.search(lab.store, plan)
-    known = spark.createDataFrame([(k, j) for k, j in curve], "K int, J double")
-    rows = resolution.gain(known)
+    values = curation.stability(lab.store, plan)[0][plan.scale]
+    curve = [(k, sum(v) / len(v) if v else None) for k, v in values.items()]
+    rows = resolution.gain(spark.createDataFrame(curve, "K int, J double"))
     parts = [rows.select(F.lit("k sweep").alias("workload"), F.concat(F.lit("K="), "K").alias("method"), F.lit(1.0).alias("epoch"), F.lit(n).alias("metric"), F.lit("all").alias("lang"), F.col(n).alias("value")) for n in ("J", "dJ")]
-    parts.append(_rows(spark, [("k sweep", rule, 1, "K*", "all", resolution.choose(curve, rule)) for rule in ("argmax", "plateau")]))
+    ends = [("k sweep", f"K={k}", 1, name, "all", f(v)) for k, v in values.items() if v for name, f in (("J least", min), ("J most", max))]
+    parts.append(_rows(spark, ends + [("k sweep", rule, 1, "K*", "all", resolution.choose(curve, rule)) for rule in ("argmax", "plateau")]))
     return _union(parts)
 
 
 def landscape(spark, sf_dir):
-    """Sub-clusters of the largest cluster: score, penalty factor, cohesion, weight, and the weight's correlations."""
+    """Sub-clusters of the largest cluster: score, penalty factor, cohesion, weight, and the weight's rank correlations there."""
     full = Lab(spark, sf_dir).full()
     top = full.budget.orderBy(F.desc("n"), "k").select("k").first()[0]
-    rows = full.weights.where(F.col("k") == top)
+    rows = stash(full.weights.where(F.col("k") == top), "landscape")
     cols = ("p", "l_struct", "penalty_factor", "z_coh", "beta", "w")
     long = rows.select(F.concat(F.lit("k"), "k", F.lit("/j"), "j").alias("method"), F.explode(F.array(*[F.struct(F.lit(c).alias("m"), F.col(c).cast("double").alias("v")) for c in cols])).alias("x"))
     long = long.select(F.lit("landscape").alias("workload"), "method", F.lit(1.0).alias("epoch"), F.col("x.m").alias("metric"), F.lit("all").alias("lang"), F.col("x.v").alias("value"))
-    ranks = full.weights.agg(*[consensus.safe_corr("w", c).alias(c) for c in cols[:-1]]).first()
-    return long.unionByName(_rows(spark, [("landscape", "all", 1, f"corr(w,{c})", "all", ranks[c]) for c in cols[:-1]]))
+    # one cluster's sub-clusters: a few thousand rows; ties share their mean rank
+    mean_rank = lambda c: F.rank().over(Window.partitionBy("k").orderBy(c)) + (F.count(F.lit(1)).over(Window.partitionBy("k", c)) - 1) / 2
+    ranked = rows.select(*[mean_rank(c).alias(c) for c in cols])
+    ranks = ranked.agg(*[consensus.safe_corr("w", c).alias(c) for c in cols[:-1]]).first()
+    return long.unionByName(_rows(spark, [("landscape", f"k{top}", 1, f"rank corr(w,{c})", "all", ranks[c]) for c in cols[:-1]]))
 
 
 def feature_shape(spark, sf_dir):
@@ -190,23 +235,21 @@ def feature_shape(spark, sf_dir):
     return _union(parts)
 
 
-def _curves(lab: Lab, parts: tuple[float, ...]) -> dict[str, list[tuple[float, float]]]:
-    curves: dict[str, list[tuple[float, float]]] = {}
-    for method in ("random", "curator"):
-        curves[method] = []
-        for part in parts:
-            ids = sampling.epoch_prefix(lab.subset(method), part) if part < 1 else lab.subset(method)
-            v = measures.cross_entropy(lab.docs.join(ids, "doc_id", "left_semi"), lab.held_out).agg(F.avg("value")).first()[0]
-            if v is not None:
-                curves[method].append((part, v))
-    return curves
+def _curve(lab: Lab, workload: str, method: str, parts: tuple[float, ...]) -> DataFrame:
+    """Held-out entropy by language at nested parts of a subset, out of one scan."""
+    v = measures.cross_entropy_at(lab.docs.join(lab.subset(method), "doc_id", "left_semi"), lab.held_out, parts)
+    return v.select(F.lit(workload).alias("workload"), F.lit(method).alias("method"), F.col("part").alias("epoch"), F.lit("entropy").alias("metric"), "lang", "value")
 
 
-def efficiency(spark, sf_dir, parts: tuple[float, ...] = (0.25, 0.5, 1.0)):
-    curves = _curves(Lab(spark, sf_dir), parts)
-    rows = [("efficiency", m, e, "entropy", "all", v) for m, c in curves.items() for e, v in c]
-    rows.append(("efficiency", "curator", 1, "times random", "all", measures.efficiency(curves["random"], curves["curator"])))
-    return _rows(spark, rows)
+def efficiency(spark, sf_dir, parts: tuple[float, ...] = PARTS):
+    lab = Lab(spark, sf_dir)
+    rows = stash(_union([_curve(lab, "efficiency", m, parts) for m in ("random", "curator")]), "efficiency")
+    rows = rows.groupBy("workload", "method", "epoch", "metric").agg(F.avg("value").alias("value")).select("workload", "method", "epoch", "metric", F.lit("all").alias("lang"), "value")
+    curves: dict[str, list[tuple[float, float]]] = {"random": [], "curator": []}
+    for r in rows.collect():  # a row per method and part
+        if r["value"] is not None:
+            curves[r["method"]].append((r["epoch"], r["value"]))
+    return rows.unionByName(_rows(spark, [("efficiency", "curator", 1, "times random", "all", measures.efficiency(curves["random"], curves["curator"]))]))
 
 
 def blend(spark, sf_dir):
@@ -224,11 +267,11 @@ def decontaminate(spark, sf_dir):
     return _rows(spark, [("decontaminate", "before", 1, "verbatim", "all", verbatim(docs)), ("decontaminate", "after", 1, "verbatim", "all", verbatim(kept)), ("decontaminate", "ngram", 1, "removed", "all", audit.select("doc_id").distinct().count())])
 
 
-def probe_scale(spark, sf_dir):
+def probe_scale(spark, sf_dir, k: int = 12):
     """Centres from a fifth of the corpus against centres from all of it: agreement of the assignments (adjusted Rand)."""
     lab = Lab(spark, sf_dir)
-    a = lloyd.assign(lab.store, lloyd.fit(lloyd.probe_sample(lab.store), lab.plan.k, lab.plan.iters), k="ka", dist="da")
-    b = lloyd.assign(lab.store, lloyd.fit(lab.store, lab.plan.k, lab.plan.iters), k="kb", dist="db")
+    a = lloyd.assign(lab.store, lloyd.fit(lloyd.probe_sample(lab.store), k, lab.plan.iters), k="ka", dist="da")
+    b = lloyd.assign(lab.store, lloyd.fit(lab.store, k, lab.plan.iters), k="kb", dist="db")
     cells = a.join(b, "doc_id").groupBy("ka", "kb").count().collect()  # K^2 cells at most
     pairs = lambda n: n * (n - 1) / 2
     rows, cols, n, index = {}, {}, 0, 0.0
@@ -244,7 +287,7 @@ def probe_scale(spark, sf_dir):
 
 
 def hyper(spark, sf_dir):
-    """Penalty strength, gate floor and bridge scale: entropy of the weights, or stability."""
+    """Penalty strength, gate floor and bridge scale: entropy of the weights, or stability of every K."""
     lab = Lab(spark, sf_dir)
     full = lab.full()
     rows = []
@@ -254,9 +297,9 @@ def hyper(spark, sf_dir):
         rows.append(("hyper", f"lambda={lam}", 1, "weight entropy", "all", spread(refine.weight(base.withColumn("penalty_factor", F.exp(-F.lit(lam) * F.col("l_struct")))))))
     for eps in (0.0, 0.01, 0.1):
         rows.append(("hyper", f"epsilon={eps}", 1, "weight entropy", "all", spread(refine.weight(full.weights.drop("w"), eps))))
-    for scale in (5.0, 20.0, 40.0):
-        curve, _ = curation.search(lab.store, replace(lab.plan, k=None, grid=(8,), scale=scale))
-        rows.append(("hyper", f"scale={scale:g}", 1, "J", "all", curve[0][1]))
+    scales = (5.0, 10.0, 20.0, 40.0)
+    for scale, values in curation.stability(lab.store, replace(lab.plan, k=None), scales)[0].items():
+        rows += [("hyper", f"scale={scale:g}", 1, f"J at K={k}", "all", sum(v) / len(v)) for k, v in values.items() if v]
     return _rows(spark, rows)
 
 
@@ -266,15 +309,9 @@ def saturation(spark, sf_dir):
     return long.select(F.lit("saturation").alias("workload"), F.col("stage").alias("method"), F.lit(1.0).alias("epoch"), F.col("x.m").alias("metric"), F.lit("all").alias("lang"), F.col("x.v").alias("value"))
 
 
-def progress_radar(spark, sf_dir, parts: tuple[float, ...] = (0.25, 0.5, 1.0)):
+def progress_radar(spark, sf_dir, parts: tuple[float, ...] = PARTS[1:]):
     lab = Lab(spark, sf_dir)
-    out = []
-    for m in ("random", "curator"):
-        for part in parts:
-            ids = sampling.epoch_prefix(lab.subset(m), part) if part < 1 else lab.subset(m)
-            v = measures.cross_entropy(lab.docs.join(ids, "doc_id", "left_semi"), lab.held_out)
-            out.append(v.select(F.lit("progress").alias("workload"), F.lit(m).alias("method"), F.lit(part).alias("epoch"), F.lit("entropy").alias("metric"), "lang", "value"))
-    return _union(out)
+    return _union([_curve(lab, "progress", m, parts) for m in ("random", "curator")])
 
 
 def overhead(spark, sf_dir):
@@ -287,7 +324,7 @@ def overhead(spark, sf_dir):
         lab.subset(m).count()
         rows.append(("overhead", m, 1, "seconds", "all", time.time() - began))
     cells = lab.full().weights.count()
-    rows += [("overhead", "curator", 1, "graded", "all", cells * lab.plan.probes), ("overhead", "rating selector", 1, "graded", "all", lab.store.count()), ("overhead", "mixture optimiser", 1, "proxy fits", "all", 48)]
+    rows += [("overhead", "curator", 1, "graded", "all", cells * lab.plan.probes), ("overhead", "rating selector", 1, "graded", "all", lab.store.count()), ("overhead", "mixture optimiser", 1, "proxy fits", "all", lab._made["proxy fits"])]
     return _rows(spark, rows)
 
 

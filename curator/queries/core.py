@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from contextvars import ContextVar
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,17 +19,19 @@ QUERIES: dict = {}
 ORACLES: dict = {}
 
 
-_memo: dict = {}
+_memo: ContextVar[dict | None] = ContextVar("steps of the query that is being built", default=None)
 
 
 def once(f):
     """Within one query, the frame of an intermediate step is written once and read wherever it is used."""
 
     def get(spark, d):
-        key = (f.__name__, d)
-        if key not in _memo:
-            _memo[key] = stash(f(spark, d), f.__name__)
-        return _memo[key]
+        made, key = _memo.get(), (f.__name__, d)
+        if made is None:
+            return f(spark, d)
+        if key not in made:
+            made[key] = stash(f(spark, d), f.__name__)
+        return made[key]
 
     return get
 
@@ -35,11 +39,11 @@ def once(f):
 def query(sql: str | None = None):
     def add(f):
         def run(spark, d):
-            _memo.clear()
+            token = _memo.set({})
             try:
                 return f(spark, d)
             finally:
-                _memo.clear()
+                _memo.reset(token)
 
         run.__name__, run.__doc__ = f.__name__, f.__doc__
         QUERIES[f.__name__] = run
@@ -105,7 +109,7 @@ LABEL = """ls AS (SELECT k, j, (coalesce(sum(good), 0) + 2.0 * any_value(rate))
 WEIGHT = "ww AS (SELECT h.*, b.r, ls.p AS p_, b.r * ls.p * penalty_factor * (beta + 0.01) AS raw FROM h JOIN b USING (k) JOIN ls USING (k, j))"
 FULL = f"{BASE}, {SUBS}, {PENALTY}, {GATE}, {PROBE}, {LABEL}, {WEIGHT}, wg AS (SELECT k, j, n, raw / sum(raw) OVER () AS w FROM ww)"
 SUPPLY = "su AS (SELECT k, j, sum(n_tokens)::DOUBLE AS supply, any_value(w) AS w FROM qs JOIN wg USING (k, j) GROUP BY k, j)"
-H = lambda x: f"('0x' || substr(md5('42:' || {x}), 1, 8))::BIGINT"
+H = lambda x, purpose: f"('0x' || substr(md5('42:{purpose}:' || {x}), 1, 8))::BIGINT"
 
 
 # ---------------------------------------------------------------- the same in Spark
@@ -231,7 +235,7 @@ def budget_uniform(spark, d):
     return r6(mixing.uniform(corpus_vec(spark, d).select("k").distinct()))
 
 
-SEEDS = f"m0 AS (SELECT (row_number() OVER (ORDER BY {H('doc_id')}, doc_id) - 1)::INT AS k_, emb AS mu FROM c QUALIFY k_ < 6)"
+SEEDS = f"m0 AS (SELECT (row_number() OVER (ORDER BY {H('doc_id', 'seeds')}, doc_id) - 1)::INT AS k_, emb AS mu FROM c QUALIFY k_ < 6)"
 _cos = "list_sum(list_transform(list_zip(emb, mu), lambda z: z[1] * z[2]))"
 
 
@@ -244,9 +248,9 @@ def _sql_round(i: int) -> str:
 ROUNDS = f"WITH {C}, c_ AS (SELECT doc_id, emb FROM c), {SEEDS}, " + ", ".join(_sql_round(i) for i in range(3))
 
 
-@query(f"WITH {C} SELECT doc_id, {H('doc_id')} AS h FROM c ORDER BY h, doc_id LIMIT 6")
+@query(f"WITH {C} SELECT doc_id, {H('doc_id', 'seeds')} AS h FROM c ORDER BY h, doc_id LIMIT 6")
 def seed_by_hash(spark, d):
-    return corpus_vec(spark, d).select("doc_id", key32("doc_id").alias("h")).orderBy("h", "doc_id").limit(6)
+    return corpus_vec(spark, d).select("doc_id", key32("doc_id", purpose="seeds").alias("h")).orderBy("h", "doc_id").limit(6)
 
 
 @query(f"{ROUNDS} SELECT doc_id, k_ AS k FROM x0")
@@ -257,7 +261,7 @@ def kmeans_assign_step(spark, d):
 
 @query(f"{ROUNDS} SELECT k_ AS k, round(mu[1], 6) + 0.0 AS x1, round(mu[64], 6) + 0.0 AS x64 FROM m1")
 def kmeans_update_step(spark, d):
-    c = corpus_vec(spark, d).drop("k").persist()
+    c = stash(corpus_vec(spark, d).drop("k"), "corpus")
     new, _ = lloyd.step(c, {6: lloyd.seed_rows(c, 6)})
     return r6(lloyd.frame(spark, new).select("k", F.col("mu")[0].alias("x1"), F.col("mu")[63].alias("x64")))
 
@@ -268,7 +272,7 @@ def kmeans_three_rounds(spark, d):
     return r6(lloyd.frame(spark, lloyd.sweep(c, [6], iters=3, tol=-1.0)).select("k", F.col("mu")[0].alias("x1"), F.col("mu")[63].alias("x64")))
 
 
-PROBE20 = f"WITH {C}, c_ AS (SELECT doc_id, emb FROM c WHERE {H('doc_id')} / 4294967296.0 < 0.2), c_all AS (SELECT doc_id, emb FROM c), {SEEDS.replace('FROM c ', 'FROM c_ ')}, {_sql_round(0)}"
+PROBE20 = f"WITH {C}, c_ AS (SELECT doc_id, emb FROM c WHERE {H('doc_id', 'probe')} / 4294967296.0 < 0.2), c_all AS (SELECT doc_id, emb FROM c), {SEEDS.replace('FROM c ', 'FROM c_ ')}, {_sql_round(0)}"
 
 
 @query(f"{PROBE20} SELECT doc_id, arg_min(k_, (-round({_cos}, 12), k_))::INT AS k FROM c_all CROSS JOIN m1 GROUP BY doc_id")
@@ -408,23 +412,23 @@ def quota_waterfill_one_round(spark, d):
     return one_round(spark, d).select("k", "j", (F.round("quota", 3) + 0.0).alias("quota"))
 
 
-@query(f"{QUOTA} SELECT doc_id, k, j FROM (SELECT qs.doc_id, qs.k, qs.j, quota, sum(n_tokens) OVER (PARTITION BY qs.k, qs.j ORDER BY {H('doc_id')}, doc_id ROWS UNBOUNDED PRECEDING) AS run FROM qs JOIN qu USING (k, j)) WHERE run <= quota + 1e-9")
+@query(f"{QUOTA} SELECT doc_id, k, j FROM (SELECT qs.doc_id, qs.k, qs.j, quota, sum(n_tokens) OVER (PARTITION BY qs.k, qs.j ORDER BY {H('doc_id', 'take')}, doc_id ROWS UNBOUNDED PRECEDING) AS run FROM qs JOIN qu USING (k, j)) WHERE run <= quota + 1e-9")
 def sample_exact_tokens(spark, d):
     return sampling.take_exact(subs(spark, d), one_round(spark, d)).select("doc_id", "k", "j")
 
 
-@query(f"{QUOTA} SELECT doc_id, k, j FROM qs JOIN qu USING (k, j) WHERE {H('doc_id')} / 4294967296.0 < quota / supply")
+@query(f"{QUOTA} SELECT doc_id, k, j FROM qs JOIN qu USING (k, j) WHERE {H('doc_id', 'take')} / 4294967296.0 < quota / supply")
 def sample_threshold(spark, d):
     return sampling.take_threshold(subs(spark, d), one_round(spark, d)).select("doc_id", "k", "j")
 
 
-@query(f"{QUOTA} SELECT * FROM (SELECT doc_id, (floor(2.5 * quota / supply) + CASE WHEN {H('doc_id')} / 4294967296.0 < 2.5 * quota / supply - floor(2.5 * quota / supply) THEN 1 ELSE 0 END)::INT AS copies FROM qs JOIN qu USING (k, j)) WHERE copies > 0")
+@query(f"{QUOTA} SELECT * FROM (SELECT doc_id, (floor(2.5 * quota / supply) + CASE WHEN {H('doc_id', 'take')} / 4294967296.0 < 2.5 * quota / supply - floor(2.5 * quota / supply) THEN 1 ELSE 0 END)::INT AS copies FROM qs JOIN qu USING (k, j)) WHERE copies > 0")
 def sample_with_repeats(spark, d):
     q = one_round(spark, d).withColumn("quota", 2.5 * F.col("quota"))
     return sampling.take_repeat(subs(spark, d), q).select("doc_id", "copies")
 
 
-@query("SELECT doc_id FROM documents WHERE ('0x' || substr(md5('49:' || doc_id), 1, 8))::BIGINT / 4294967296.0 < 0.5")
+@query("SELECT doc_id FROM documents WHERE ('0x' || substr(md5('42:epoch:' || doc_id), 1, 8))::BIGINT / 4294967296.0 < 0.5")
 def epoch_half_prefix(spark, d):
     return sampling.epoch_prefix(table(spark, d, "documents").select("doc_id"), 0.5)
 
@@ -434,7 +438,7 @@ def quantisation_term(spark, d):
     return r6(theory.quantisation(assigned(spark, d)))
 
 
-GAINS = f"WITH {FEATURES}, sel AS (SELECT *, ({H('doc_id')} / 4294967296.0 < 0.4) AS chosen FROM a), gn AS (SELECT k, count(*)::BIGINT AS n, avg(dist * dist) AS sigma2, count(*) FILTER (chosen) AS n_sel, avg(dist * dist) FILTER (chosen) AS sel2 FROM sel GROUP BY k), ga AS (SELECT *, n / sum(n) OVER () AS alpha FROM gn)"
+GAINS = f"WITH {FEATURES}, sel AS (SELECT *, ({H('doc_id', 'random')} / 4294967296.0 < 0.4) AS chosen FROM a), gn AS (SELECT k, count(*)::BIGINT AS n, avg(dist * dist) AS sigma2, count(*) FILTER (chosen) AS n_sel, avg(dist * dist) FILTER (chosen) AS sel2 FROM sel GROUP BY k), ga AS (SELECT *, n / sum(n) OVER () AS alpha FROM gn)"
 
 
 @once
@@ -478,7 +482,7 @@ def quantisation_rate_regr(spark, d):
     return r.select(F.round("slope", 6).alias("slope"), F.round("dimension", 4).alias("dimension"), F.round("constant", 6).alias("constant"))
 
 
-@query(f"SELECT doc_id FROM documents WHERE {H('doc_id')} / 4294967296.0 < 0.3")
+@query(f"SELECT doc_id FROM documents WHERE {H('doc_id', 'random')} / 4294967296.0 < 0.3")
 def baseline_random(spark, d):
     return baselines.random(table(spark, d, "documents").select("doc_id"), 0.3)
 
@@ -492,7 +496,7 @@ def baseline_rating_topk(spark, d):
     docs = table(spark, d, "documents")
     n = n_tokens("text")
     rating = F.round(0.5 * F.least(F.lit(1.0), n / 200.0) + 0.5 * F.when(F.col("n_chars") > 0, (F.col("n_chars") - digits).cast("double") / F.col("n_chars")).otherwise(0.0), 4)
-    s = docs.select("doc_id", n.alias("n_tokens"), rating.alias("rating")).persist()
+    s = stash(docs.select("doc_id", n.alias("n_tokens"), rating.alias("rating")), "ratings")
     return baselines.rating_selector(s, 0.3 * s.agg(F.sum("n_tokens")).first()[0]).select("doc_id")
 
 
@@ -502,17 +506,18 @@ def rating_logistic(spark, d):
     return baselines.rating_selector(s, 0.3 * s.agg(F.sum("n_tokens")).first()[0]).select("doc_id", "rating")
 
 
-@query(f"SELECT doc_id FROM documents JOIN (SELECT source, least(1.0, 300.0 / count(*) OVER () / n) AS share FROM (SELECT source, count(*)::DOUBLE AS n FROM documents GROUP BY source)) USING (source) WHERE {H('doc_id')} / 4294967296.0 < share")
+@query(f"SELECT doc_id FROM documents JOIN (SELECT source, least(1.0, 300.0 / count(*) OVER () / n) AS share FROM (SELECT source, count(*)::DOUBLE AS n FROM documents GROUP BY source)) USING (source) WHERE {H('doc_id', 'mix')} / 4294967296.0 < share")
 def baseline_flat_mix(spark, d):
     return baselines.flat_mix(table(spark, d, "documents").select("doc_id", "source"), 300.0, "uniform").select("doc_id")
 
 
-@query(f"SELECT doc_id FROM documents JOIN (SELECT lang, least(1.0, 300.0 * sqrt(n) / sum(sqrt(n)) OVER () / n) AS share FROM (SELECT lang, count(*)::DOUBLE AS n FROM documents GROUP BY lang)) USING (lang) WHERE {H('doc_id')} / 4294967296.0 < share")
+@query(f"SELECT doc_id FROM documents JOIN (SELECT lang, least(1.0, 300.0 * sqrt(n) / sum(sqrt(n)) OVER () / n) AS share FROM (SELECT lang, count(*)::DOUBLE AS n FROM documents GROUP BY lang)) USING (lang) WHERE {H('doc_id', 'mix')} / 4294967296.0 < share")
 def baseline_temperature_mix(spark, d):
     return baselines.flat_mix(table(spark, d, "documents").select("doc_id", "lang"), 300.0, "temperature", "lang").select("doc_id")
 
 
-@query()
+@query(r"""SELECT doc_id FROM (SELECT doc_id, text, len(regexp_extract_all(text, '[^ \t\n\r\f]+')) AS n, greatest(length(text), 1)::DOUBLE AS size, string_split(text, chr(10)) AS ls FROM documents)
+WHERE n BETWEEN 20 AND 20000 AND length(regexp_replace(text, '[^\p{L}\s.,;:''-]', '', 'g')) / size * (len(list_distinct(ls))::DOUBLE / len(ls)) >= 0.5 AND exp(-power((size / greatest(n, 1) - 6.5) / 3, 2)) >= 0.2""")
 def baseline_rules(spark, d):
     return baselines.rules(table(spark, d, "documents")).select("doc_id")
 
@@ -543,9 +548,9 @@ def ablation_no_macro_weights(spark, d):
     return r6(refine.weight(rows).select("k", "j", "w"))
 
 
-@query(f"WITH {_all}, {GLOBAL_PENALTY}, x AS (SELECT p.k, p.j, exp(-0.5 * l_struct) * (CASE WHEN p.n = 1 THEN 0.5 ELSE 1 / (1 + exp(fa.z_coh - p.z_coh)) END + 0.01) AS raw FROM p CROSS JOIN fa) SELECT k, j, round(raw / sum(raw) OVER (), 6) AS w FROM x")
+@query(f"WITH {_all}, {GLOBAL_PENALTY}, {PROBE}, {LABEL}, x AS (SELECT p.k, p.j, ls.p * exp(-0.5 * l_struct) * (CASE WHEN p.n = 1 THEN 0.5 ELSE 1 / (1 + exp(fa.z_coh - p.z_coh)) END + 0.01) AS raw FROM p JOIN ls USING (k, j) CROSS JOIN fa) SELECT k, j, round(raw / sum(raw) OVER (), 6) AS w FROM x")
 def ablation_flat_scored_weights(spark, d):
-    rows = _global_gate(spark, d).withColumns({"p": F.lit(1.0), "r": F.lit(1.0)})
+    rows = _global_gate(spark, d).join(label_scores(spark, d), ["k", "j"]).withColumn("r", F.lit(1.0))
     return r6(refine.weight(rows).select("k", "j", "w"))
 
 
@@ -584,7 +589,12 @@ def exact_copies(spark, d):
     return hygiene.dedup_exact(table(spark, d, "documents")).select("doc_id")
 
 
-@query()
+_G = lambda t, key, n=8: f"SELECT DISTINCT {key}, list_slice(w, i, i + {n - 1}) AS g FROM (SELECT {key}, w, unnest(range(1, greatest(len(w) - {n - 1}, 1) + 1)) AS i FROM (SELECT {key}, regexp_extract_all(lower(text), '[^ \\t\\n\\r\\f]+') AS w FROM {t}) WHERE len(w) > 0)"
+
+
+@query(f"""WITH RECURSIVE dg AS ({_G('documents', 'doc_id', 5)}), sz AS (SELECT doc_id, count(*) AS n FROM dg GROUP BY doc_id),
+pr AS (SELECT a, b FROM (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM dg x JOIN dg y USING (g) WHERE x.doc_id <> y.doc_id GROUP BY 1, 2) JOIN sz sa ON sa.doc_id = a JOIN sz sb ON sb.doc_id = b WHERE c >= 0.8 * (sa.n + sb.n - c)),
+r AS (SELECT a, b FROM pr UNION SELECT r.a, pr.b FROM r JOIN pr ON r.b = pr.a) SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT b FROM r WHERE a < b)""")
 def near_copies_minhash(spark, d):
     return hygiene.dedup_near(table(spark, d, "documents")).select("doc_id")
 
@@ -594,7 +604,11 @@ def contaminated_contains(spark, d):
     return hygiene.contains(table(spark, d, "documents"), table(spark, d, "benchmark")).distinct()
 
 
-_G = lambda t, key: f"SELECT DISTINCT {key}, list_slice(w, i, i + 7) AS g FROM (SELECT {key}, w, unnest(range(1, greatest(len(w) - 7, 1) + 1)) AS i FROM (SELECT {key}, regexp_extract_all(lower(text), '[^ \\t\\n\\r\\f]+') AS w FROM {t}) WHERE len(w) > 0)"
+@query(f"""WITH dg AS ({_G('documents', 'doc_id', 3)}), ig AS ({_G('benchmark', 'item_id', 3)}), sd AS (SELECT doc_id, count(*) AS n FROM dg GROUP BY doc_id), si AS (SELECT item_id, count(*) AS n FROM ig GROUP BY item_id)
+SELECT doc_id, item_id, round(c / (sd.n + si.n - c), 6) AS overlap FROM (SELECT doc_id, item_id, count(*) AS c FROM dg JOIN ig USING (g) GROUP BY doc_id, item_id) JOIN sd USING (doc_id) JOIN si USING (item_id) WHERE c >= 0.5 * (sd.n + si.n - c)""")
+def contaminated_minhash(spark, d):
+    """Documents near to an item as a whole."""
+    return r6(hygiene.decontaminate(table(spark, d, "documents"), table(spark, d, "benchmark"), mode="minhash")[1])
 
 
 @query(f"WITH dg AS ({_G('documents', 'doc_id')}), ig AS ({_G('benchmark', 'item_id')}), sz AS (SELECT item_id, count(*) AS size FROM ig GROUP BY item_id) SELECT doc_id, item_id, round(count(*) / any_value(size), 6) AS overlap FROM dg JOIN ig USING (g) JOIN sz USING (item_id) GROUP BY doc_id, item_id")
@@ -603,16 +617,20 @@ def contaminated_ngram(spark, d):
 
 
 @query("""WITH f AS (SELECT 'curated' AS component, doc_id, n_chars AS n FROM documents UNION ALL SELECT 'frozen', page_id, length(html) FROM pages), t AS (SELECT component, sum(n) AS have FROM f GROUP BY component)
-SELECT component, count(*)::BIGINT AS docs, sum(n)::BIGINT AS volume FROM f JOIN t USING (component) WHERE ('0x' || substr(md5('53:' || doc_id), 1, 8))::BIGINT / 4294967296.0 < least(1.0, 1000000 * CASE component WHEN 'curated' THEN 7 ELSE 3 END / 10 / have) GROUP BY component""")
+SELECT component, count(*)::BIGINT AS docs, sum(n)::BIGINT AS volume FROM f JOIN t USING (component) WHERE ('0x' || substr(md5('53:random:' || doc_id), 1, 8))::BIGINT / 4294967296.0 < least(1.0, 1000000 * CASE component WHEN 'curated' THEN 7 ELSE 3 END / 10 / have) GROUP BY component""")
 def blend_ratio(spark, d):
     docs = table(spark, d, "documents").select("doc_id", F.col("n_chars").alias("n_tokens"))
     pages = table(spark, d, "pages").select(F.col("page_id").alias("doc_id"), F.length("html").alias("n_tokens"))
     return blend(docs, pages, 1_000_000).groupBy("component").agg(F.count(F.lit(1)).alias("docs"), F.sum("n_tokens").alias("volume"))
 
 
-@query("SELECT * FROM (VALUES " + ", ".join(f"('{m}', '{n}', {e}::DOUBLE, {p}::DOUBLE, {round(sum(v) / 7 + 1e-12, 4)}::DOUBLE)" for m, n, e, p, v in measures.PUBLISHED) + ") t(model, method, epoch, printed, mean)")
+_PUB = "pub AS (SELECT * FROM (VALUES " + ", ".join(f"('{m}', '{n}', {e}::DOUBLE, {p}::DOUBLE, {sum(v) / 7!r}::DOUBLE)" for m, n, e, p, v in measures.PUBLISHED) + ") t(model, method, epoch, printed, mean))"
+
+
+@query(f"""WITH {_PUB}, de AS (SELECT p.*, round(p.mean - q.mean + 1e-12, 1) + 0.0 AS delta FROM pub p JOIN pub q ON p.model = q.model AND q.method = 'random')
+SELECT model, method, epoch, printed, round(mean + 1e-12, 4) AS mean, delta, CASE WHEN delta > 0 THEN 'up' WHEN delta < 0 THEN 'down' ELSE 'same' END AS sign FROM de""")
 def published_avg(spark, d):
-    return measures.averages(measures.published(spark)).select("model", "method", "epoch", "printed", F.round(F.col("mean") + 1e-12, 4).alias("mean"))
+    return measures.averages(measures.published(spark)).withColumn("mean", F.round(F.col("mean") + 1e-12, 4))
 
 
 @query()
@@ -621,15 +639,27 @@ def sliced_w2(spark, d):
     return theory.w2_sliced(c, baselines.random(c, 0.4), 16, 32)
 
 
-@query()
+@query("""WITH good AS (SELECT doc_id FROM labels WHERE quality = 1 AND toxic = 0), ws AS (SELECT doc_id, lang, unnest(regexp_extract_all(lower(text), '[^ \\t\\n\\r\\f]+')) AS w FROM documents),
+b AS (SELECT doc_id, lang, ('0x' || substr(md5(w), 1, 8))::BIGINT % 16384 AS bucket, doc_id IN (SELECT doc_id FROM good) AS held FROM ws), m AS (SELECT bucket, count(*) AS c FROM b WHERE NOT held GROUP BY bucket),
+s AS (SELECT lang, bucket, count(*) AS t FROM b WHERE held GROUP BY lang, bucket) SELECT lang, round(sum(t * ln((coalesce(c, 0) + 0.5) / ((SELECT sum(c) FROM m) + 0.5 * 16384))) / sum(t), 6) AS value FROM s LEFT JOIN m USING (bucket) GROUP BY lang""")
 def proxy_cross_entropy(spark, d):
     docs = table(spark, d, "documents")
     good = table(spark, d, "labels").where("quality = 1 and toxic = 0")
     held = docs.join(good, "doc_id", "left_semi")
-    return measures.cross_entropy(docs.join(good, "doc_id", "left_anti"), held)
+    return r6(measures.cross_entropy(docs.join(good, "doc_id", "left_anti"), held))
+
+
+_count = lambda pattern: f"len(regexp_extract_all(text, '{pattern}'))::DOUBLE"
+
 
+@query(f"""SELECT doc_id, round(1 - abs(o - c) / greatest(o + c, 1), 6) + 0.0 AS balanced, round(i / ls, 6) AS laid_out, round(least(1.0, 20 * s / greatest(n, 1)), 6) AS symbols FROM (SELECT doc_id, {_count(r'[(\[{]')} AS o, {_count(r'[)\]}]')} AS c,
+{_count('(?m)^[ \\t]+[^ \\t\\n]')} AS i, {_count('[(){};=<>]')} AS s, length(text)::DOUBLE AS n, len(string_split(text, chr(10)))::DOUBLE AS ls FROM documents)""")
+def rating_code(spark, d):
+    """The ratings that the adapter to program text brings in."""
+    return r6(baselines.rated(table(spark, d, "documents"), adapter=baselines.code_raters).select("doc_id", "balanced", "laid_out", "symbols"))
 
-@query(f"{QUOTA} SELECT doc_id, k, j FROM qs JOIN qu USING (k, j) WHERE {H('doc_id')} / 4294967296.0 < quota / supply")
+
+@query(f"{QUOTA} SELECT doc_id, k, j FROM qs JOIN qu USING (k, j) WHERE {H('doc_id', 'take')} / 4294967296.0 < quota / supply")
 def curate_given_clusters(spark, d):
     """The whole method with the given labels as clusters: what ``entry()`` returns."""
     return sampling.take_threshold(subs(spark, d), one_round(spark, d)).select("doc_id", "k", "j")
@@ -646,6 +676,13 @@ def curate_full(spark, d):
 def k_sweep_text(spark, d):
     from curator.plans.workloads import k_sweep
 
-    return k_sweep(spark, d, (8, 16))
+    return k_sweep(spark, d, repeats=1)
+
+
 
 
+ORACLES["wl_decontaminate"] = f"""WITH dg AS ({_G('documents', 'doc_id')}), ig AS ({_G('benchmark', 'item_id')}), sz AS (SELECT item_id, count(*) AS size FROM ig GROUP BY item_id),
+bad AS (SELECT DISTINCT doc_id FROM (SELECT doc_id, item_id, count(*) / any_value(size) AS o FROM dg JOIN ig USING (g) JOIN sz USING (item_id) GROUP BY doc_id, item_id) WHERE o >= 0.5),
+v AS (SELECT DISTINCT doc_id FROM documents d JOIN benchmark b ON contains(d.text, b.text))
+SELECT 'decontaminate' AS workload, method, 1.0::DOUBLE AS epoch, metric, 'all' AS lang, value::DOUBLE AS value FROM (SELECT 'before' AS method, 'verbatim' AS metric, count(*) AS value FROM v
+UNION ALL SELECT 'after', 'verbatim', count(*) FROM v ANTI JOIN bad USING (doc_id) UNION ALL SELECT 'ngram', 'removed', count(*) FROM bad)"""
