@@ -324,7 +324,8 @@ def near_groups(docs: DataFrame, k: int = SHINGLE_WORDS, percent: int = 80, band
         release(used)
     found = stash(components(checked), "found")
     more = _across(shared, heads, found, docs, k, percent, limit)
-    final = found if more.isEmpty() else stash(components(checked.unionAll(more)), "found")
+    # on from the components found so far, which are stars
+    final = found if more.isEmpty() else stash(components(found.toDF("a", "b").unionAll(more)), "found")
     for used in (shared, heads, checked, more):
         release(used)
 
