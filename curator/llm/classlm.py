@@ -99,7 +99,7 @@ def _count_pairs(shared):
 def pair_counts(learn: DataFrame, table: np.ndarray, number: np.ndarray, known: int) -> np.ndarray:
     """Square matrix of neighbouring tokens' counts; ``table`` is sorted, and ``known`` bounds what reaches the driver."""
     shared = learn.sparkSession.sparkContext.broadcast((table, np.append(number, 0), known))
-    got = learn.mapInArrow(_count_pairs(shared), "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).toPandas()
+    got = learn.mapInArrow(_count_pairs(shared), "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).toArrow()
     m = known + SHAPES + 1
     pairs = np.zeros(m * m)
     pairs[got["code"].to_numpy()] = got["n"].to_numpy()
@@ -303,8 +303,8 @@ def _fit(learn: DataFrame, counts: DataFrame) -> dict:
             break
         held, least = held + n, at
     frequent = (F.col("c") >= LEAST) & (step >= least)
-    rows = word.where(frequent).select("h", "c", "s").toPandas()
-    h, c, s = rows["h"].to_numpy(np.int64), rows["c"].to_numpy(np.int64), rows["s"].to_numpy(np.int64)
+    rows = word.where(frequent).select("h", "c", "s").toArrow()
+    h, c, s = (rows[name].to_numpy().astype(np.int64) for name in ("h", "c", "s"))
     order = np.argsort(h)
     h, c, s = h[order], c[order], s[order]
     head = np.lexsort((h, -c))[:HEAD]
@@ -327,7 +327,7 @@ def _fit(learn: DataFrame, counts: DataFrame) -> dict:
         provisional, width = one.T @ pairs @ one, 2 * one.shape[1]
         beside = learn.mapInArrow(_contexts(context.broadcast((h, class_of, moves, classes))), "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
         beside = beside.groupBy(F.expr(f"code div {width}").alias("word")).agg(F.collect_list(F.struct(F.expr(f"cast(code % {width} as int)").alias("d"), "n")).alias("beside"))
-        moved = beside.mapInArrow(_move(context.broadcast((provisional, classes))), "word long, class short").toPandas()
+        moved = beside.mapInArrow(_move(context.broadcast((provisional, classes))), "word long, class short").toArrow()
         class_of[moved["word"].to_numpy()] = moved["class"].to_numpy()
 
     pairs = pair_counts(learn, h, class_of, classes)
