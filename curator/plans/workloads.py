@@ -143,11 +143,11 @@ MAIN = ("random", "rating selector", "mixture optimiser", "curator")
 ABLATIONS = ("random", "flat random", "flat scored", "no micro", "no macro", "curator")
 
 
-def seed_spread(spark, sf_dir, seeds: int = 5, methods: tuple[str, ...] = MAIN):
+def seed_spread(spark, sf_dir, seeds: int = 5, methods: tuple[str, ...] = MAIN, plan: CurationPlan = PLAN):
     """The main comparison (or other methods) once for each seed; mean, least and most of each measure tell a ranking from chance."""
     parts, lab = [], None
     for k in range(seeds):
-        lab = Lab(spark, sf_dir, replace(PLAN, seed=PLAN.seed + 1000 * k), lab)
+        lab = Lab(spark, sf_dir, replace(plan, seed=plan.seed + 1000 * k), lab)
         # a seed's measures are written before the next one's are planned
         parts.append(stash(_union([lab.proxies("seeds", m, lab.subset(m)) for m in methods]), "seed"))
     many = _union(parts).where("metric in ('entropy', 'quality')").groupBy("workload", "method", "epoch", "metric", "lang")

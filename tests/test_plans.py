@@ -84,7 +84,7 @@ def test_centroid_joins_are_broadcast(spark, sf):
 def test_seed_spread(spark, sf):
     from curator.plans.workloads import seed_spread
 
-    got = {(r["method"], r["metric"], r["lang"]): r["value"] for r in seed_spread(spark, sf, seeds=2, methods=("random", "mixture optimiser")).collect()}
+    got = {(r["method"], r["metric"], r["lang"]): r["value"] for r in seed_spread(spark, sf, seeds=2, methods=("random", "mixture optimiser"), plan=CurationPlan(k=8)).collect()}
     assert {m for m, _, _ in got} == {"random", "mixture optimiser"}
     for (method, metric, lang), value in got.items():
         if metric.endswith("_mean"):
