@@ -174,3 +174,15 @@ def test_weights_on_the_driver_equal_those_of_the_table(spark):
     table = spark.createDataFrame([(k, *(float(zn[f][k]) for f in consensus.FEATURES)) for k in range(9)], "k int, " + ", ".join(f"zn_{f} double" for f in consensus.FEATURES))
     for how, kind in (("spectral", "shifted"), ("power", "relu"), ("uniform", "abs")):
         assert consensus.weights_of(zn, how, kind) == pytest.approx(consensus.weights(table, how, kind))
+
+
+def test_grams_are_hashed_once(spark):
+    texts = ["A b c d", "a B", "", None, " \t\n", "x y z x y z x y"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    bench = spark.createDataFrame([("i", "a b c e f"), ("j", "A b"), ("k", " "), ("l", "y z x y z")], "item_id string, text string")
+    got = {(r["doc_id"], r["item_id"], round(r["overlap"], 6)) for r in hygiene.overlap(docs, bench, 3).collect()}
+    assert got == {(0, "i", round(1 / 3, 6)), (1, "j", 1.0), (5, "l", 1.0)}
+    assert {r["doc_id"] for r in hygiene._gram_sets(docs, "doc_id", 3).collect()} == {0, 1, 5}
+    # no inferred filter that makes a text's words again for each of its grams
+    plan = hygiene._gram_hashes(docs, "doc_id", 8)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("regexp_extract_all") == 1
