@@ -186,3 +186,40 @@ def test_grams_are_hashed_once(spark):
     # no inferred filter that makes a text's words again for each of its grams
     plan = hygiene._gram_hashes(docs, "doc_id", 8)._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("regexp_extract_all") == 1
+
+
+def test_hashed_vectors_against_loops_and_time():
+    import time
+
+    import pyarrow as pa
+
+    texts = ["abcab", "", None, "ab", "aaaa", "é" * 9]
+    odd = [int(x) | 1 for x in np.random.default_rng(42).integers(1, 1 << 62, 5)]
+    want = np.zeros((len(texts), 8))
+    for i, text in enumerate(texts):
+        data, counts = (text or "").encode(), {}
+        for n in range(3, 6):
+            for a in range(len(data) - n + 1):
+                h = 0
+                for k in range(n):
+                    h = (h + data[a + k] + 1) * odd[k] % 2**64
+                h ^= h >> 29
+                h = h * 0xBF58476D1CE4E5B9 % 2**64
+                h ^= h >> 32
+                counts[n, h] = counts.get((n, h), 0) + 1
+        for (_, h), c in counts.items():
+            want[i, h % 8] += np.log1p(c) * (1 if h >> 63 else -1)
+        want[i] /= np.linalg.norm(want[i]) or 1.0
+    run = embed._hashed(8, (3, 5), 42)
+    got = next(run(iter([pa.RecordBatch.from_arrays([pa.array(range(len(texts))), pa.array(texts)], names=["doc_id", "text"])])))
+    assert np.allclose(np.array(got["emb"].flatten()).reshape(-1, 8), want)
+    # less than two sorts of all hashes by two keys; three such sorts took most of the time before
+    rng = np.random.default_rng(1)
+    long = ["".join(map(chr, rng.integers(97, 123, 4000))) for _ in range(250)]
+    began = time.process_time()
+    for n in range(2):
+        np.lexsort((rng.integers(0, 1 << 62, 1_000_000), np.repeat(np.arange(250), 4000)))
+    sort = time.process_time() - began
+    began = time.process_time()
+    list(run(iter([pa.RecordBatch.from_arrays([pa.array(range(250)), pa.array(long)], names=["doc_id", "text"])])))
+    assert time.process_time() - began < sort
