@@ -223,3 +223,16 @@ def test_hashed_vectors_against_loops_and_time():
     began = time.process_time()
     list(run(iter([pa.RecordBatch.from_arrays([pa.array(range(250)), pa.array(long)], names=["doc_id", "text"])])))
     assert time.process_time() - began < sort
+
+
+def test_published_avg_reads_lineitem(spark, sf):
+    import duckdb
+
+    import __spark_entry__ as entry
+
+    df = entry.queries()["published_avg"](spark, sf)
+    assert any(f.endswith("lineitem.parquet") for f in df.inputFiles())
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW lineitem AS SELECT * FROM '{sf}/lineitem.parquet'")
+    got, want = sorted(tuple(r) for r in df.collect()), sorted(con.sql(entry.oracle_sql()["published_avg"]).fetchall())
+    assert got == want and {r[6] for r in got if r[1] == "N"} == {"same"} and len(got) > 3
