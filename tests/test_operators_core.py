@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from curator.functions.keyed import draw
+from curator.functions.text import n_tokens
 from curator.operators import baselines, embed, hygiene, lloyd, measures, probes, refine, sampling, theory
 from curator.operators.features import cluster_features, levels
 
@@ -236,3 +237,28 @@ def test_published_avg_reads_lineitem(spark, sf):
     con.sql(f"CREATE VIEW lineitem AS SELECT * FROM '{sf}/lineitem.parquet'")
     got, want = sorted(tuple(r) for r in df.collect()), sorted(con.sql(entry.oracle_sql()["published_avg"]).fetchall())
     assert got == want and {r[6] for r in got if r[1] == "N"} == {"same"} and len(got) > 3
+
+
+def test_measures_of_many_subsets_are_those_of_each(spark):
+    docs = spark.createDataFrame([(i, "abc"[i % 3], "st"[i % 2], None if i == 7 else " ".join(f"W{(i * j) % 11}" for j in range(i))) for i in range(30)], "doc_id long, lang string, source string, text string")
+    held = docs.where("doc_id % 4 = 1")
+    labels = spark.createDataFrame([(i, i % 2, int(i % 5 == 0)) for i in range(0, 30, 2)], "doc_id long, quality int, toxic int")
+    cells = docs.select("doc_id", (F.col("doc_id") % 4).alias("k"))
+    subsets = [docs.where(w).select("doc_id") for w in ("doc_id % 2 = 0", "lang = 'a'", "false", "doc_id = 7", "true")]
+    owners, n = measures.members(subsets), len(subsets)
+
+    def rows(df, *keys):
+        return {tuple(r[k] for k in keys): tuple(v for c, v in r.asDict().items() if c not in ("i", "buckets", *keys)) for r in df.collect()}
+
+    entropy = rows(measures.cross_entropies(docs, owners, n, held, (64, 128)), "buckets", "i", "lang")
+    cover, tokens, quality = rows(measures.coverages(cells, owners, n), "i"), rows(measures.token_shares(docs, owners, n), "i", "lang"), rows(measures.qualities(labels, owners, n), "i")
+    for i, ids in enumerate(subsets):
+        chosen = docs.join(ids, "doc_id", "left_semi")
+        for b in (64, 128):
+            for (lang,), (value,) in rows(measures.cross_entropy(chosen, held, b), "lang").items():
+                assert entropy[b, i, lang][0] == pytest.approx(value)
+        assert cover[i,] == pytest.approx(tuple(measures.coverage(cells, ids).first()), nan_ok=True)
+        alone = chosen.groupBy("lang").agg(F.sum(n_tokens("text")).cast("double").alias("v"))
+        assert {lang: v for (j, lang), v in tokens.items() if j == i} == {r["lang"]: (r["v"],) for r in alone.collect()}
+        assert quality[i,][0] == labels.join(ids, "doc_id", "left_semi").agg(F.avg(F.col("quality") * (1 - F.col("toxic")))).first()[0]
+    assert len(entropy) == 2 * n * 3

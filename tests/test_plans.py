@@ -91,3 +91,21 @@ def test_seed_spread(spark, sf):
             stem = metric.removesuffix("_mean")
             least, most = got[method, f"{stem}_least", lang], got[method, f"{stem}_most", lang]
             assert value is None or least - 1e-9 <= value <= most + 1e-9
+
+
+def test_seeds_share_what_no_seed_changes(spark, sf, monkeypatch):
+    from curator.operators import baselines, measures
+    from curator.plans.workloads import seed_spread
+
+    calls = {"domain_counts": 0, "cross_entropies": 0}
+    for owner, name in ((baselines, "domain_counts"), (measures, "cross_entropies")):
+        f = getattr(owner, name, None)
+
+        def counted(*a, _f=f, _name=name, **k):
+            calls[_name] += 1
+            return _f(*a, **k)
+
+        monkeypatch.setattr(owner, name, counted)
+    assert seed_spread(spark, sf, seeds=2, methods=("random", "mixture optimiser"), plan=CurationPlan(k=8)).count() > 0
+    # the corpus and the held-out texts once each, and one scan that measures the subsets of both seeds
+    assert calls == {"domain_counts": 2, "cross_entropies": 1}
