@@ -262,3 +262,17 @@ def test_measures_of_many_subsets_are_those_of_each(spark):
         assert {lang: v for (j, lang), v in tokens.items() if j == i} == {r["lang"]: (r["v"],) for r in alone.collect()}
         assert quality[i,][0] == labels.join(ids, "doc_id", "left_semi").agg(F.avg(F.col("quality") * (1 - F.col("toxic")))).first()[0]
     assert len(entropy) == 2 * n * 3
+
+
+def test_step_sends_one_matrix_for_each_merger(spark):
+    rng = np.random.default_rng(4)
+    x = unit_rows(rng, 400, 5)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "doc_id long, emb array<double>").repartition(23)
+    got, cost = lloyd.step(df, {3: x[:3], 7: x[:7]})
+    for r in (3, 7):
+        k = np.argmax(x @ x[:r].T, axis=1)
+        mean = np.array([x[k == j].mean(axis=0) for j in range(r)])
+        assert np.allclose(got[r], mean / np.linalg.norm(mean, axis=1, keepdims=True))
+        assert cost[r] == pytest.approx(np.linalg.norm(x - x[:r][k], axis=1).mean())
+    parts = df.select("emb").mapInArrow(lloyd._partial_sums(spark.sparkContext.broadcast({3: x[:3]}), "cosine"), lloyd.PARTIAL).repartition(lloyd.MERGERS).mapInArrow(lloyd._merged, lloyd.PARTIAL)
+    assert parts.count() <= lloyd.MERGERS

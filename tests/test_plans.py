@@ -109,3 +109,14 @@ def test_seeds_share_what_no_seed_changes(spark, sf, monkeypatch):
     assert seed_spread(spark, sf, seeds=2, methods=("random", "mixture optimiser"), plan=CurationPlan(k=8)).count() > 0
     # the corpus and the held-out texts once each, and one scan that measures the subsets of both seeds
     assert calls == {"domain_counts": 2, "cross_entropies": 1}
+
+
+def test_bridge_scales_share_the_fitted_resolutions(spark, sf, monkeypatch):
+    from curator.operators import lloyd
+    from curator.plans.workloads import Lab, hyper
+
+    sweeps, f = [], lloyd.sweep
+    monkeypatch.setattr(lloyd, "sweep", lambda probe, sizes, *a, **k: sweeps.append(list(sizes)) or f(probe, sizes, *a, **k))
+    monkeypatch.setattr("curator.plans.workloads.Lab", lambda spark, d: Lab(spark, d, CurationPlan(grid=(4, 6), stride=2, iters=3)))
+    got = [r for r in hyper(spark, sf).collect() if r["method"].startswith("scale")]
+    assert sweeps == [[4, 6, 8]] and len({r["method"] for r in got}) == 4
