@@ -120,3 +120,17 @@ def test_bridge_scales_share_the_fitted_resolutions(spark, sf, monkeypatch):
     monkeypatch.setattr("curator.plans.workloads.Lab", lambda spark, d: Lab(spark, d, CurationPlan(grid=(4, 6), stride=2, iters=3)))
     got = [r for r in hyper(spark, sf).collect() if r["method"].startswith("scale")]
     assert sweeps == [[4, 6, 8]] and len({r["method"] for r in got}) == 4
+
+
+def test_ablations_share_their_clusters(spark, sf, monkeypatch):
+    from curator.operators import refine
+    from curator.plans.workloads import ABLATIONS, Lab
+
+    lab, made, f = Lab(spark, sf, CurationPlan(k=8, iters=3)), [], refine.subcluster
+    monkeypatch.setattr(refine, "subcluster", lambda rows, counts, **k: made.append(counts.count()) or f(rows, counts, **k))
+    got = {m: {r[0] for r in lab.subset(m).collect()} for m in ABLATIONS}
+    # the sub-clusters of all clusters once, and the flat clusters once
+    assert sorted(made) == [1, 8]
+    # each method by itself draws the same subset
+    alone = {"no macro": curation.no_macro(lab.store, lab.plan, lab.docs, lab.labels), "flat scored": curation.flat_scored(lab.store, lab.plan, lab.k_total(), lab.docs, lab.labels)}
+    assert all({r["doc_id"] for r in result.subset.collect()} == got[m] for m, result in alone.items())
