@@ -276,3 +276,27 @@ def test_step_sends_one_matrix_for_each_merger(spark):
         assert cost[r] == pytest.approx(np.linalg.norm(x - x[:r][k], axis=1).mean())
     parts = df.select("emb").mapInArrow(lloyd._partial_sums(spark.sparkContext.broadcast({3: x[:3]}), "cosine"), lloyd.PARTIAL).repartition(lloyd.MERGERS).mapInArrow(lloyd._merged, lloyd.PARTIAL)
     assert parts.count() <= lloyd.MERGERS
+
+
+def test_texts_that_share_no_words_with_an_item_are_sifted_out(spark):
+    rng = np.random.default_rng(5)
+    texts = [" ".join(rng.choice(list("abcé"), rng.integers(0, 12))) for _ in range(80)] + ["a  b\tc\fa\r\nb", "", None, " ", "é", "ab c a b"]
+    items = ["c a b é a", "É", "a b", "", None]
+    rows = lambda t, n: {tuple(w[i : i + n]) for w in [t.split()] for i in range(max(len(w) - n + 1, min(len(w), 1)))}
+    docs = spark.createDataFrame([(i, t and t.lower()) for i, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+    bench = spark.createDataFrame([(t and t.lower(),) for t in items], "text string")
+    for n in (1, 2, 4, 70):
+        wanted = {r for t in items if t for r in rows(t.lower(), n)}
+        got = {r["doc_id"] for r in hygiene._meeting(docs, bench, n).collect()}
+        assert got == {i for i, t in enumerate(texts) if t and rows(t.lower(), n) & wanted}
+    # texts in a row don't run into each other, and a sift of more marks than a task may hold leaves all
+    data = np.frombuffer(b"a bc d", dtype=np.uint8)
+    together, apart = hygiene._row_marks(data, np.array([0, 6]), 2), hygiene._row_marks(data, np.array([0, 3, 3, 6]), 2)
+    assert together[0].tolist() == [0, 0] and apart[0].tolist() == [0, 2] and together[1][0] != apart[1][0]
+
+
+def test_too_many_marks_leave_all_texts(spark, monkeypatch):
+    docs, bench = spark.createDataFrame([(1, "x"), (2, "a b")], "doc_id long, text string"), spark.createDataFrame([("a b c",)], "text string")
+    assert hygiene._meeting(docs, bench, 2).count() == 1
+    monkeypatch.setattr(hygiene, "MARKS", 1)
+    assert hygiene._meeting(docs, bench, 2).count() == 2

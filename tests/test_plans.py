@@ -134,3 +134,18 @@ def test_ablations_share_their_clusters(spark, sf, monkeypatch):
     # each method by itself draws the same subset
     alone = {"no macro": curation.no_macro(lab.store, lab.plan, lab.docs, lab.labels), "flat scored": curation.flat_scored(lab.store, lab.plan, lab.k_total(), lab.docs, lab.labels)}
     assert all({r["doc_id"] for r in result.subset.collect()} == got[m] for m, result in alone.items())
+
+
+def test_decontamination_searches_the_texts_once(spark, sf, monkeypatch):
+    from curator.operators import hygiene
+    from curator.plans import workloads
+
+    calls, contains = [], hygiene.contains
+    monkeypatch.setattr(hygiene, "contains", lambda *a, **b: calls.append(a) or contains(*a, **b))
+    got = {r["method"]: r["value"] for r in workloads.decontaminate(spark, sf).collect()}
+    docs, bench = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "benchmark"))
+    kept, audit = hygiene.decontaminate(docs, bench)
+    items = [r["text"] for r in bench.collect()]
+    count = lambda df: sum(any(i in r["text"] for i in items) for r in df.where("text IS NOT NULL").collect())
+    assert got == {"before": count(docs), "after": count(kept), "ngram": audit.select("doc_id").distinct().count()}
+    assert len(calls) == 1
