@@ -149,3 +149,14 @@ def test_decontamination_searches_the_texts_once(spark, sf, monkeypatch):
     count = lambda df: sum(any(i in r["text"] for i in items) for r in df.where("text IS NOT NULL").collect())
     assert got == {"before": count(docs), "after": count(kept), "ngram": audit.select("doc_id").distinct().count()}
     assert len(calls) == 1
+
+
+def test_curves_of_several_subsets_out_of_one_scan(spark, sf):
+    from curator.operators import measures
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    held, parts = docs.where("doc_id % 5 = 0"), (0.1, 0.5, 1.0)
+    subsets = [docs.where("doc_id % 5 = 1").select("doc_id"), docs.where("doc_id % 5 > 0").select("doc_id"), docs.where("doc_id < 0").select("doc_id")]
+    got = {(r["i"], r["part"], r["lang"]): r["value"] for r in measures.cross_entropy_curves(docs, measures.members(subsets), 3, held, parts).collect()}
+    want = {(i, r["part"], r["lang"]): r["value"] for i, s in enumerate(subsets) for r in measures.cross_entropy_at(docs.join(s, "doc_id", "left_semi"), held, parts).collect()}
+    assert got == pytest.approx(want) and len(got) == len(want) > 9
