@@ -160,3 +160,17 @@ def test_curves_of_several_subsets_out_of_one_scan(spark, sf):
     got = {(r["i"], r["part"], r["lang"]): r["value"] for r in measures.cross_entropy_curves(docs, measures.members(subsets), 3, held, parts).collect()}
     want = {(i, r["part"], r["lang"]): r["value"] for i, s in enumerate(subsets) for r in measures.cross_entropy_at(docs.join(s, "doc_id", "left_semi"), held, parts).collect()}
     assert got == pytest.approx(want) and len(got) == len(want) > 9
+
+
+def test_groups_are_measured_in_one_scan(spark, sf, monkeypatch):
+    from curator.operators import measures
+    from curator.plans import workloads
+
+    calls, many = [], measures.cross_entropies
+    monkeypatch.setattr(measures, "cross_entropies", lambda *a, **b: calls.append(a) or many(*a, **b))
+    monkeypatch.setattr(workloads.Lab, "subset", lambda self, method: self.docs.where(f"doc_id % 2 = {int(method == 'random')}").select("doc_id"))
+    got = {(r["method"], r["lang"]): r["value"] for r in workloads.suite_groups(spark, sf).where("workload = 'groups'").collect()}
+    lab = workloads.Lab(spark, sf)
+    held = lab.held_out.withColumn("lang", F.when(workloads.n_tokens("text") < 200, "short").otherwise("long"))
+    want = {(m, r["lang"]): r["value"] for m in ("random", "curator") for r in measures.cross_entropy(lab.docs.join(lab.subset(m), "doc_id", "left_semi"), held).collect()}
+    assert got == pytest.approx(want) and len(calls) == 1
