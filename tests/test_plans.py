@@ -174,3 +174,13 @@ def test_groups_are_measured_in_one_scan(spark, sf, monkeypatch):
     held = lab.held_out.withColumn("lang", F.when(workloads.n_tokens("text") < 200, "short").otherwise("long"))
     want = {(m, r["lang"]): r["value"] for m in ("random", "curator") for r in measures.cross_entropy(lab.docs.join(lab.subset(m), "doc_id", "left_semi"), held).collect()}
     assert got == pytest.approx(want) and len(calls) == 1
+
+
+def test_blend_needs_no_vectors(spark, sf, monkeypatch):
+    from curator.operators import embed
+    from curator.plans import workloads
+
+    lab = workloads.Lab(spark, sf)
+    assert sorted(lab.lengths.collect()) == sorted(lab.store.select("doc_id", "n_tokens").collect())
+    monkeypatch.setattr(embed, "hashed_text", None)
+    assert {r["method"] for r in workloads.blend(spark, sf).collect()} == {"curated", "frozen"}
