@@ -184,3 +184,17 @@ def test_blend_needs_no_vectors(spark, sf, monkeypatch):
     assert sorted(lab.lengths.collect()) == sorted(lab.store.select("doc_id", "n_tokens").collect())
     monkeypatch.setattr(embed, "hashed_text", None)
     assert {r["method"] for r in workloads.blend(spark, sf).collect()} == {"curated", "frozen"}
+
+
+def test_shapes_are_measured_on_written_tables(spark, sf, monkeypatch):
+    from types import SimpleNamespace
+
+    from curator.operators import measures
+    from curator.plans import workloads
+
+    plans, ks = [], measures.ks_normal
+    monkeypatch.setattr(measures, "ks_normal", lambda df, n: plans.append(df._jdf.queryExecution().optimizedPlan().toString()) or ks(df, n))
+    sub = spark.createDataFrame([(i % 3, i % 5, i / 7, i) for i in range(60)], "k int, j int, dist_sub double, n_tokens long")
+    monkeypatch.setattr(workloads.Lab, "full", lambda self: SimpleNamespace(sub=sub))
+    assert workloads.feature_shape(spark, sf).count() == 28
+    assert len(plans) == 8 and not any("regexp" in p or "Aggregate" in p for p in plans)
